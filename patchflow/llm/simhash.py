@@ -26,7 +26,7 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, map_arrow, read_table
+from .common import Scratch, as_bytes, map_arrow, no_null_id, read_table
 
 BITS = 64
 SLOTS = 1 << 16
@@ -56,18 +56,19 @@ def fingerprint(text: bytes, shingle: int, seed: int = 42) -> int:
 
 
 def with_fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
-    """Rows (doc_id, fp): fp is the fingerprint as a signed long."""
+    """Rows (doc_id, k2, fp): k2 is a hash of the text, fp the fingerprint as a signed long."""
 
     def run(batches: Iterator):
         import numpy as np
         import pyarrow as pa
 
         for batch in batches:
-            values = np.array([fingerprint(t, shingle) for t in as_bytes(batch.column(1))], np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values.view(np.int64))], ["doc_id", "fp"])
+            values = np.array([fingerprint(t, shingle) for t in as_bytes(batch.column(2))], np.uint64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(values.view(np.int64))], ["doc_id", "k2", "fp"])
 
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return map_arrow(texts, run, "doc_id long, fp long")
+    text = F.col("text").cast("string")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("k2"), text.alias("text"))
+    return map_arrow(texts, run, "doc_id long, k2 long, fp long")
 
 
 def block_keys(fp, blocks: int, agree: int) -> list:
@@ -131,7 +132,7 @@ def components(spark, edges: DataFrame, scratch: Scratch) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, blocks: int = 6, bucket: int = 64) -> DataFrame:
-    """(doc_id, fp, component_id) for every row of ``docs``."""
+    """(doc_id, k2, fp, label, component_id) for every row of ``docs``; label is the least fingerprint of the group."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "simhash")
     made = scratch.save(with_fingerprints(docs, shingle))
@@ -139,8 +140,16 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, blocks
     labels = components(spark, link_fingerprints(spark, distinct.select("fp"), scratch, distance, blocks, bucket), scratch)
     named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("label", "fp").alias("label"), "least")
     of_label = scratch.save(named.groupBy("label").agg(F.min("least").alias("component_id")))
-    of_fp = scratch.save(named.join(of_label, "label").select("fp", "component_id"))
-    return made.join(of_fp, "fp").select("doc_id", "fp", "component_id")
+    of_fp = scratch.save(named.join(of_label, "label").select("fp", "label", "component_id"))
+    return made.join(of_fp, "fp").select("doc_id", "k2", "fp", "label", "component_id")
+
+
+def keep_one(docs: DataFrame, shingle: int = 4, distance: int = 4) -> DataFrame:
+    """One row of each group, as it was: that of the least doc_id (null last), of equals the one with the least text hash."""
+    order = F.struct(F.col("doc_id").isNull(), "doc_id", "k2")
+    best = near_duplicates(docs, shingle, distance).groupBy("label").agg(F.min(order).alias("b")).select(F.coalesce("b.doc_id", F.lit(-(2**63))).alias("_k1"), F.col("b.k2").alias("_k2"))
+    keyed = docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))})
+    return keyed.join(best, ["_k1", "_k2"], "left_semi").dropDuplicates(["_k1", "_k2"]).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op2_simhash_near_dedup(spark, sf_dir: str) -> DataFrame:
