@@ -107,7 +107,10 @@ def link_fingerprints(spark, distinct: DataFrame, scratch: Scratch, distance: in
         masks = F.array(*[F.lit(m).cast("long") for m in midpoint_masks(distance // 2)])
         reached = dense.select("fp", F.explode(masks).alias("mask")).select("fp", F.col("fp").bitwiseXOR(F.col("mask")).alias("mid"))
         least = scratch.save(reached.groupBy("mid").agg(F.min("fp").alias("b"), F.max("fp").alias("top")).filter("b < top").select("mid", "b"))
-        edges = edges.union(reached.join(least, "mid").filter("fp > b").select(F.col("fp").alias("a"), "b")).distinct()
+        # a fingerprint's least partners, one per midpoint, are linked through the least of them: few pairs, as most agree
+        stars = reached.join(least, "mid").groupBy("fp").agg(F.min("b").alias("b"), F.collect_set("b").alias("others"))  # one per mask at most
+        ties = stars.select(F.col("fp").alias("a"), "b").union(stars.select(F.explode("others").alias("a"), "b"))
+        edges = edges.union(ties.filter("a > b")).distinct()
     return scratch.save(edges)
 
 
