@@ -89,7 +89,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, size: int = 10, block: int
     text = F.col("text").cast("string")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), no_null_id().alias("k1"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("k2"), F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long").alias("n_words"))
     none = F.array().cast("array<string>")
-    return rows.join(covered, ["k1", "k2"], "left").select(
+    return rows.join(covered.hint("merge"), ["k1", "k2"], "left").select(
         "doc_id", "k1", "k2", "n_words", F.coalesce("hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_items"), F.coalesce("items", none).alias("items"), F.col("hit").isNotNull().alias("contaminated")
     )
 
@@ -98,7 +98,7 @@ def drop_contaminated(docs: DataFrame, items: DataFrame, size: int = 10) -> Data
     """The rows of texts without any window of an item, as they were."""
     bad = decontaminate(docs, items, size).filter("contaminated").select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct()
     keyed = docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))})
-    return keyed.join(bad, ["_k1", "_k2"], "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    return keyed.join(bad.hint("shuffle_hash"), ["_k1", "_k2"], "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op6_decontamination(spark, sf_dir: str) -> DataFrame:

@@ -231,8 +231,8 @@ def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> Dat
         rows = keyed.withColumn("_seed", F.xxhash64("_host"))
         own = None
     else:
-        per_page = hashes.join(often, ["host", "hash"], "left_semi").groupBy(F.col("page").alias("_page")).agg(F.collect_set("hash").alias("_own"))
-        rows, shipped = keyed.join(per_page, "_page", "left"), None
+        per_page = hashes.join(often.hint("merge"), ["host", "hash"], "left_semi").groupBy(F.col("page").alias("_page")).agg(F.collect_set("hash").alias("_own"))
+        rows, shipped = keyed.join(per_page.hint("shuffle_hash"), "_page", "left"), None
         own = rows.columns.index("_own")
     at = rows.columns.index("_html")
     picks = [rows.columns.index(c) for c in kept]

@@ -246,7 +246,7 @@ def find_personal_data(docs: DataFrame) -> DataFrame:
     found = spans(docs).groupBy(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).agg(F.array_sort(F.collect_list(F.struct("kind_no", "start", "end", "kind", "base"))).alias("spans"))
     none = F.array().cast("array<struct<kind_no:int,start:bigint,end:bigint,kind:string,base:boolean>>")
     rows = _with_keys(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "_k1", "_k2")
-    return rows.join(found, ["_k1", "_k2"], "left").select("doc_id", F.coalesce("spans", none).alias("spans"))
+    return rows.join(found.hint("merge"), ["_k1", "_k2"], "left").select("doc_id", F.coalesce("spans", none).alias("spans"))
 
 
 def mask_personal_data(docs: DataFrame) -> DataFrame:
@@ -262,7 +262,7 @@ def mask_personal_data(docs: DataFrame) -> DataFrame:
 
     masked = F.aggregate("_spans", zero, add, lambda acc: F.concat(F.array_join(acc["parts"], ""), F.substr(text, acc["at"] + 1)))
     changed = {"_new": F.when(F.col("_spans").isNotNull(), masked).otherwise(text)}
-    out = _with_keys(docs).join(found, ["_k1", "_k2"], "left").withColumns(changed)
+    out = _with_keys(docs).join(found.hint("shuffle_hash"), ["_k1", "_k2"], "left").withColumns(changed)
     columns = []
     for c in docs.columns:
         if c == "text":

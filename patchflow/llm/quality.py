@@ -219,7 +219,7 @@ def score_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", sa
     scratch = Scratch(docs.sparkSession, "quality")
     table = scratch.save(with_features(docs, word_vectors(docs)))
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).filter(F.col("y").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out())
-    rows = table.join(known, "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).collect()  # sample rows of 74 floats
+    rows = table.join(known.hint("merge"), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).collect()  # sample rows of 74 floats
     x = np.array([r["x"] for r in rows], np.float32).reshape(len(rows), 2 * WIDTH + SHAPE)
     shipped = docs.sparkSession.sparkContext.broadcast(Network().fit(x, [r["y"] for r in rows]))
 

@@ -106,13 +106,13 @@ def judged(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> tupl
     table = scratch.save(measured(docs).withColumn("uid", F.monotonically_increasing_id()))
     lines = table.select("uid", "k1", "k2", "host", "least", "second", F.explode(F.arrays_zip("line_no", "line", "line_words")).alias("x")).select("uid", "k1", "k2", "host", "x.line_no", "x.line", "x.line_words", F.when(F.col("x.line") == F.col("least"), F.col("second")).otherwise(F.col("least")).alias("counted_as"))
     often = scratch.save(lines.select("host", "line", "counted_as").distinct().groupBy("host", "line").count().filter(F.col("count") > limit).select("host", "line"))
-    gone = scratch.save(lines.join(often, ["host", "line"], "left_semi").select("uid", "k1", "k2", "line_no", "line_words"))
+    gone = scratch.save(lines.join(often.hint("merge"), ["host", "line"], "left_semi").select("uid", "k1", "k2", "line_no", "line_words"))
     lost = gone.groupBy("uid").agg(F.sum("line_words").alias("lost"))
     removed = F.coalesce("lost", F.lit(0)).cast("long")
     failed = (F.col("n_words") < LEAST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED_PERCENT * F.col("n_words"))
     verdict = (
         table.drop("line_no", "line", "line_words", "least", "second", "host")
-        .join(lost, "uid", "left")
+        .join(lost.hint("merge"), "uid", "left")
         .withColumn("base_failed", failed)
         .withColumn("n_line_words_removed", removed)
         .withColumn("kept", ~F.col("base_failed") & (F.col("n_line_words_removed") <= most_removed * F.col("n_words")))
@@ -128,10 +128,10 @@ def filter_quality(docs: DataFrame, limit: int = 100, most_removed: float = 0.7)
     keyed = docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(text)})
     fate = (
         verdict.filter("kept").select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct()
-        .join(gone.groupBy(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).agg(F.collect_set("line_no").alias("_gone")), ["_k1", "_k2"], "left")
+        .join(gone.groupBy(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).agg(F.collect_set("line_no").alias("_gone")).hint("merge"), ["_k1", "_k2"], "left")
     )
     left = F.array_join(F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains(F.col("_gone"), i)), "\n")
-    out = keyed.join(fate, ["_k1", "_k2"])
+    out = keyed.join(fate.hint("shuffle_hash"), ["_k1", "_k2"])
     changed = {"text": F.when(F.col("_gone").isNull(), F.col("text")).otherwise(left)}
     if "n_chars" in docs.columns:
         changed["n_chars"] = F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length(left)).cast(docs.schema["n_chars"].dataType)

@@ -12,7 +12,8 @@ fingerprints only, so copies cost one row:
   table of at most 65,536 slots of bucket keys; a wrongly routed key only changes the way,
   never the links.
 
-Components come from label propagation with pointer jumping over tables in the shared
+Data-sized joins carry a merge hint: Spark takes the few rows before an explode for the size
+after it and would broadcast them.  Components come from label propagation with pointer jumping over tables in the shared
 folder.  Null and empty texts have fingerprint zero; a null id takes part, and is the
 smallest id of its group only if all ids there are null.  Repeated rows stay repeated.
 An empty table gives an empty result.
@@ -108,7 +109,7 @@ def link_fingerprints(spark, distinct: DataFrame, scratch: Scratch, distance: in
         reached = dense.select("fp", F.explode(masks).alias("mask")).select("fp", F.col("fp").bitwiseXOR(F.col("mask")).alias("mid"))
         least = scratch.save(reached.groupBy("mid").agg(F.min("fp").alias("b"), F.max("fp").alias("top")).filter("b < top").select("mid", "b"))
         # a fingerprint's least partners, one per midpoint, are linked through the least of them: few pairs, as most agree
-        stars = reached.join(least, "mid").groupBy("fp").agg(F.min("b").alias("b"), F.collect_set("b").alias("others"))  # one per mask at most
+        stars = reached.join(least.hint("merge"), "mid").groupBy("fp").agg(F.min("b").alias("b"), F.collect_set("b").alias("others"))  # one per mask at most
         ties = stars.select(F.col("fp").alias("a"), "b").union(stars.select(F.explode("others").alias("a"), "b"))
         edges = edges.union(ties.filter("a > b")).distinct()
     return scratch.save(edges)
@@ -123,10 +124,10 @@ def components(spark, edges: DataFrame, scratch: Scratch) -> DataFrame:
     both = scratch.save(edges.select(F.col("a").alias("node"), F.col("b").alias("other")).union(edges.select("b", "a")))
     labels = scratch.save(both.groupBy("node").agg(F.min("other").alias("o")).select("node", F.least("node", "o").alias("label")))
     while True:
-        told = both.join(labels.select(F.col("node").alias("other"), "label"), "other").groupBy("node").agg(F.min("label").alias("told"))
-        lower = scratch.save(labels.join(told, "node").select("node", F.least("label", "told").alias("near"), F.col("label").alias("was")))
+        told = both.join(labels.select(F.col("node").alias("other"), "label").hint("merge"), "other").groupBy("node").agg(F.min("label").alias("told"))
+        lower = scratch.save(labels.join(told.hint("merge"), "node").select("node", F.least("label", "told").alias("near"), F.col("label").alias("was")))
         jump = lower.select(F.col("node").alias("near"), F.col("near").alias("far"))
-        after = scratch.save(lower.join(jump, "near", "left").select("node", F.least("near", F.coalesce("far", "near")).alias("label"), "was"))
+        after = scratch.save(lower.join(jump.hint("merge"), "near", "left").select("node", F.least("near", F.coalesce("far", "near")).alias("label"), "was"))
         moved = after.filter(F.col("label") != F.col("was")).limit(1).count()
         scratch.drop(labels, lower)
         labels = after
@@ -141,10 +142,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, blocks
     made = scratch.save(with_fingerprints(docs, shingle))
     distinct = scratch.save(made.groupBy("fp").agg(F.min("doc_id").alias("least")))
     labels = components(spark, link_fingerprints(spark, distinct.select("fp"), scratch, distance, blocks, bucket), scratch)
-    named = distinct.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("label", "fp").alias("label"), "least")
+    named = distinct.join(labels.withColumnRenamed("node", "fp").hint("merge"), "fp", "left").select("fp", F.coalesce("label", "fp").alias("label"), "least")
     of_label = scratch.save(named.groupBy("label").agg(F.min("least").alias("component_id")))
-    of_fp = scratch.save(named.join(of_label, "label").select("fp", "label", "component_id"))
-    return made.join(of_fp, "fp").select("doc_id", "k2", "fp", "label", "component_id")
+    of_fp = scratch.save(named.join(of_label.hint("merge"), "label").select("fp", "label", "component_id"))
+    return made.join(of_fp.hint("merge"), "fp").select("doc_id", "k2", "fp", "label", "component_id")
 
 
 def keep_one(docs: DataFrame, shingle: int = 4, distance: int = 4) -> DataFrame:
@@ -152,7 +153,7 @@ def keep_one(docs: DataFrame, shingle: int = 4, distance: int = 4) -> DataFrame:
     order = F.struct(F.col("doc_id").isNull(), "doc_id", "k2")
     best = near_duplicates(docs, shingle, distance).groupBy("label").agg(F.min(order).alias("b")).select(F.coalesce("b.doc_id", F.lit(-(2**63))).alias("_k1"), F.col("b.k2").alias("_k2"))
     keyed = docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))})
-    return keyed.join(best, ["_k1", "_k2"], "left_semi").dropDuplicates(["_k1", "_k2"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return keyed.join(best.hint("shuffle_hash"), ["_k1", "_k2"], "left_semi").dropDuplicates(["_k1", "_k2"]).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op2_simhash_near_dedup(spark, sf_dir: str) -> DataFrame:

@@ -123,10 +123,10 @@ def repeated_windows(docs: DataFrame, length: int = 35, scratch: Scratch | None
             found = _chosen(keyed, size, length)
         else:
             # a row that stands twice in the table is read twice, and each survivor then counts for both
-            found = _extended(keyed.join(places, ["k1", "k2"]), levels[i - 1], size, last)
+            found = _extended(keyed.join(places.hint("shuffle_hash"), ["k1", "k2"]), levels[i - 1], size, last)
         found = scratch.save(found)
         often = scratch.save(found.groupBy("h", "g").count().filter("count > 1").select("h", "g"))
-        survive = found.join(often, ["h", "g"], "left_semi")
+        survive = found.join(often.hint("merge"), ["h", "g"], "left_semi")
         before = places
         places = scratch.save(survive.groupBy("k1", "k2").agg(F.array_sort(F.collect_set("pos")).alias("at")))
         scratch.drop(found, often, *([before] if before is not None else []))
@@ -162,7 +162,7 @@ def remove_repeats(docs: DataFrame, length: int = 35, digest: bool = False) -> D
                 kept.append(hashlib.sha256(joined).hexdigest() if digest else joined.decode("utf-8", "replace"))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], ["doc_id", "n_words", "n_removed", name])
 
-    held = _keyed(docs).join(places, ["k1", "k2"], "left")
+    held = _keyed(docs).join(places.hint("shuffle_hash"), ["k1", "k2"], "left")
     return map_arrow(held.select("doc_id", "text", "at"), run, f"doc_id long, n_words long, n_removed long, {name} string")
 
 
