@@ -24,17 +24,24 @@ from pyspark.sql import functions as F
 from .common import Scratch, no_null_id, read_table
 
 LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-#: Words before A-Z are lower-cased; the same places as after.
-WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+#: What parts words, before A-Z are lower-cased: listed one by one, which Java turns into a bit set.
+PARTING = [c for c in range(0x80) if not chr(c).isalnum()]
+PARTS = "[" + "".join(f"\\x{c:02X}" for c in PARTING) + "]+"
 
 
 def words_of(text: Column) -> Column:
-    return F.regexp_extract_all(text, F.lit(f"({WORD})"), F.lit(1))
+    """Words in order; the first and the last entry may be empty and are no words then."""
+    return F.split(text, PARTS, -1)
+
+
+def word_count(text: Column) -> Column:
+    words = words_of(text)
+    return F.coalesce(F.size(words) - F.element_at(words, 1).eqNullSafe("").cast("int") - (F.element_at(words, -1).eqNullSafe("") & (F.size(words) > 1)).cast("int"), F.lit(0))
 
 
 def item_windows(items: DataFrame, size: int) -> DataFrame:
     """Distinct windows (win, n, items): lower-cased words, their number, the items with them."""
-    words = F.transform(words_of(F.col("text").cast("string")), lambda w: F.translate(w, *LOWER))
+    words = F.filter(words_of(F.translate(F.col("text").cast("string"), *LOWER)), lambda w: w != "")
     listed = items.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("item"), words.alias("words")).filter(F.size("words") > 0)
     starts = listed.select("item", "words", F.explode(F.sequence(F.lit(1), F.greatest(F.size("words") - size + 1, F.lit(1)))).alias("s"))
     return starts.select("item", F.slice("words", F.col("s"), F.lit(size)).alias("win")).groupBy("win").agg(F.array_sort(F.collect_set("item")).alias("items")).withColumn("n", F.size("win"))
@@ -61,13 +68,14 @@ def occurrences(docs: DataFrame, items: DataFrame, size: int, block: int, scratc
     rarity = scratch.save(vocabulary.join(counts, "token", "left").select("token", F.coalesce("count", F.lit(0)).alias("seen")))
     placed = windows.select("win", F.posexplode("win").alias("offset", "w")).select("win", "offset", F.lower("w").alias("token"))
     prefix = placed.join(rarity, "token").filter("seen > 0 or token is null").groupBy("win").agg(F.min(F.struct("seen", "token", "offset")).alias("p"), F.count(F.lit(1)).alias("met"))
-    chosen = scratch.save(windows.join(prefix, "win").filter("met = n").select("p.token", "p.offset", "win", "n", "items"))
+    chosen = scratch.save(windows.join(prefix, "win").filter("met = n").select("p.token", "p.offset", "win", F.array_join("win", " ").alias("joined"), "n", "items"))
     out = None
-    for part in _blocks(chosen, n_windows, block, "win"):
+    for part in _blocks(chosen, n_windows, block, "joined"):
         at = split.select("k1", "k2", "words", F.posexplode("words").alias("pos", "w")).withColumn("token", F.lower("w"))
         start = F.col("pos") - F.col("offset")
-        candidates = at.join(F.broadcast(part), "token").filter((start >= 0) & (start + F.col("n") <= F.size("words")))
-        same = F.transform(F.slice("words", start + 1, F.col("n")), lambda w: F.translate(w, *LOWER)) == F.col("win")
+        candidates = at.join(F.broadcast(part.drop("win")), "token").filter((start >= 0) & (start + F.col("n") <= F.size("words")))
+        # as strings: words hold no space, and without lambdas the scan, join and comparison stay one generated loop
+        same = F.translate(F.array_join(F.slice("words", start + 1, F.col("n")), " "), *LOWER) == F.col("joined")
         hits = candidates.filter(same).select("k1", "k2", start.alias("start"), "n", "items")
         out = hits if out is None else out.union(hits)
     return out
@@ -87,7 +95,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, size: int = 10, block: int
 
     covered = per_text.select("k1", "k2", "items", F.aggregate("spans", zero, add, lambda acc: acc["total"]).alias("hit"))
     text = F.col("text").cast("string")
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), no_null_id().alias("k1"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("k2"), F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long").alias("n_words"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), no_null_id().alias("k1"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("k2"), word_count(text).cast("long").alias("n_words"))
     none = F.array().cast("array<string>")
     return rows.join(covered.hint("merge"), ["k1", "k2"], "left").select(
         "doc_id", "k1", "k2", "n_words", F.coalesce("hit", F.lit(0)).cast("long").alias("n_hit"), F.coalesce(F.size("items"), F.lit(0)).cast("long").alias("n_items"), F.coalesce("items", none).alias("items"), F.col("hit").isNotNull().alias("contaminated")

@@ -1,18 +1,23 @@
 """Substring dedup by level-wise doubling of repeated word windows.
 
 Goal: all windows of ``length`` words whose words also start elsewhere, in the same text or
-another one.  Levels are ``length`` / 4, / 2 and / 1 words (9, 18, 35 for 35).
-
-* First level: of the short windows inside every full window only the one with the least hash is
-  taken (leftmost of equals).  Both places of a repeated full window choose the same one, so
-  nothing is lost, while about 7 % of the places are listed.
-* A short window that occurs at one place only can't lie in a repeat; it goes.
-* Each one left is extended to twice its length, to the left and to the right: a repeat
-  that holds it has room on one side at least.  Again those at one place go.  The last step
-  gives every full window that holds a survivor; levels end early when none survive.
-
-Hashes have 64 bits in the early levels, where a false survivor costs time only, and 128 bits
-in the last.  Texts with survivors alone are read again for the next level.
+another one.
+
+* First level, a quarter of ``length`` (9 of 35): of the short windows inside every full window only the one
+  with the least hash is taken (leftmost of equals), its anchor.  Both places of a repeated full
+  window choose the same anchor, so nothing is lost, while about 7 % of the places are listed.
+  Anchors at one place only can't lie in a repeat; they go.
+* Long shot: the span of all full windows that hold the anchor (61 words, cut at the ends of the text).
+  Where the whole span stands elsewhere too, all its windows are repeats at once.
+* Anchors where it does not, and the others of the same hash, are doubled to the left and to
+  the right (18 words); a repeat that holds the anchor has room on one side at least, so
+  those with neither doubled window elsewhere go.
+* Last level: each full window that holds a surviving anchor is counted.
+
+Counting is always within the anchors of one hash, so a 64-bit collision must also happen among
+these few.  Texts are read again only for anchors that reach the last level, and sent for the
+removal only if they lose words: a bit map of 8 MB tells the scans which (a false
+hit sends one text more).
 
 Null texts have no words.  Rows are told apart by id and text: exact repeats of a row are other
 places, as they should be.  A null id is an id of its own.
@@ -26,20 +31,21 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, map_arrow, no_null_id, read_table, row_groups
+from .common import Scratch, as_bytes, map_arrow, read_table, row_groups
 
+#: Bits of the map of affected texts.
+MAP_BITS = 1 << 26
 
-def level_lengths(length: int) -> list[int]:
-    """From short to ``length``, each at most twice the one before."""
-    levels = [length]
-    while levels[0] > 12:
-        levels.insert(0, (levels[0] + 1) // 2)
-    return levels
+
+def anchor_length(length: int) -> int:
+    return max(1, (length + 3) // 4)
 
 
 def _keyed(docs: DataFrame) -> DataFrame:
-    text = F.col("text").cast("string")
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), no_null_id().alias("k1"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("k2"), text.alias("text"))
+    """doc_id, text and a key: k1 is the id (for null a hash of the text), k2 a 32-bit hash of the text."""
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    ident = F.col("doc_id").cast("long")
+    return docs.select(ident.alias("doc_id"), F.coalesce(ident, F.xxhash64(text)).alias("k1"), F.hash(text).alias("k2"), text.alias("text"))
 
 
 def _frame(names: list[str], columns: list):
@@ -48,122 +54,197 @@ def _frame(names: list[str], columns: list):
     return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names)
 
 
-def _chosen(keyed: DataFrame, short: int, length: int) -> DataFrame:
-    """(k1, k2, pos, h, g) of the least short window of every full window."""
+def _anchors(keyed: DataFrame, length: int) -> DataFrame:
+    """(k1, k2, pos, h, sides, span) of the anchors.
+
+    h: hash of the anchor; sides: 32 bits each of the doubled windows to the left and right; span: hash
+    of all words of full windows with the anchor.
+    """
+    short = anchor_length(length)
 
     def run(batches: Iterator):
         import numpy as np
 
-        from .textkernel import Words
+        from .textkernel import WORDS_POW, Words, mix, run_hash
 
         for batch in batches:
             k1, k2 = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
             for first, texts in row_groups(as_bytes(batch.column(2))):
                 words = Words(texts)
                 at, h = words.windows(short)
-                span = length - short + 1  # short windows in a full one
-                if len(h) < span:
+                inner = length - short + 1  # short windows in a full one
+                if len(h) < inner:
                     continue
-                views = np.lib.stride_tricks.sliding_window_view(h, span)
-                whole = words.doc[at[: len(views)]] == words.doc[at[span - 1 :]]
-                views, base = views[whole], np.flatnonzero(whole)
-                least = [views[i : i + 65536].argmin(axis=1) for i in range(0, len(views), 65536)]
+                views = np.lib.stride_tricks.sliding_window_view(h, inner)
+                base = np.flatnonzero(words.doc[at[: len(views)]] == words.doc[at[inner - 1 :]])
+                least = [views[base[i : i + 65536]].argmin(axis=1) for i in range(0, len(base), 65536)]
                 if not least:
                     continue
                 picked = np.unique(base + np.concatenate(least))
-                doc = words.doc[at[picked]]
-                yield _frame(["k1", "k2", "pos", "h", "g"], [k1[first + doc], k2[first + doc], (at[picked] - words.first[doc]).astype(np.int32), h[picked].view(np.int64), np.zeros(len(picked), np.int64)])
-
-    return map_arrow(keyed.select("k1", "k2", "text"), run, "k1 long, k2 long, pos int, h long, g long")
-
-
-def _extended(held: DataFrame, short: int, length: int, last: bool) -> DataFrame:
-    """Windows of ``length`` words around survivors; held: (k1, k2, text, at), at being places in the text."""
+                p = at[picked]
+                doc = words.doc[p]
+                begin, end = words.first[doc], words.first[doc + 1]
+                lo, hi = np.maximum(p - (inner - 1), begin), np.minimum(p + length, end)
+                sums = words.word_sums()
+                shape = ((p - lo) * 4096 + (hi - p)).astype(np.uint64)
+                span = mix(run_hash(sums, lo, hi, WORDS_POW) ^ mix(shape + np.uint64(1)))
+                alone = mix(mix(k1[first + doc].view(np.uint64)) ^ p.astype(np.uint64))  # no room: equal to nothing
+                left = np.where(p - short >= begin, run_hash(sums, np.maximum(p - short, 0), p + short, WORDS_POW), alone)
+                right = np.where(p + 2 * short <= end, run_hash(sums, p, np.minimum(p + 2 * short, len(words.hash)), WORDS_POW), alone)
+                sides = left >> np.uint64(32) << np.uint64(32) | right >> np.uint64(32)
+                yield _frame(["k1", "k2", "pos", "h", "sides", "span"], [k1[first + doc], k2[first + doc], (p - begin).astype(np.int32), h[picked].view(np.int64), sides.view(np.int64), span.view(np.int64)])
+
+    return map_arrow(keyed.select("k1", "k2", "text"), run, "k1 long, k2 int, pos int, h long, sides long, span long")
+
+
+def _full_windows(held: DataFrame, length: int) -> DataFrame:
+    """(k1, k2, pos, h, w): start and hash of each full window that holds an anchor of hash h; held: (k1, k2, text, at), at being pairs of place and h."""
+    short = anchor_length(length)
 
     def run(batches: Iterator):
         import numpy as np
 
-        from .textkernel import WORDS_POW, Powers, Words, mix, prefix, run_hash
+        from .textkernel import WORDS_POW, Words, run_hash
 
-        room, second = length - short, Powers(0xE7037ED1A0B428DB)
-        offsets = np.arange(room + 1) if last else np.array([0, room])
+        back = np.arange(length - short + 1)
         for batch in batches:
             k1, k2 = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
             places = batch.column(3)
             for first, texts in row_groups(as_bytes(batch.column(2))):
                 words = Words(texts)
-                row, start = [], []
+                row, start, anchor = [], [], []
                 for d in range(len(texts)):
-                    known = places[first + d].values.to_numpy(zero_copy_only=False)
-                    s = np.unique((known[:, None] - offsets[None, :]).ravel())
-                    s = s[(s >= 0) & (s + length <= words.count[d])]
-                    row.append(np.full(len(s), d))
-                    start.append(s)
-                row, start = np.concatenate(row), np.concatenate(start)
+                    known = places[first + d].values
+                    pos, h = (known.field(i).to_numpy(zero_copy_only=False) for i in (0, 1))
+                    s = (pos[:, None] - back[None, :]).ravel()
+                    good = (s >= 0) & (s + length <= words.count[d])
+                    row.append(np.full(good.sum(), d))
+                    start.append(s[good])
+                    anchor.append(np.repeat(h, len(back))[good])
+                row, start, anchor = (np.concatenate(x) for x in (row, start, anchor))
                 at = words.first[row] + start
-                h = run_hash(words.word_sums(), at, at + length, WORDS_POW)
-                g = np.zeros(len(h), np.int64)
-                if last and len(h):  # the same words under another scrambling and base: 128 bits together
-                    again = prefix(mix(words.hash ^ np.uint64(0x5851F42D4C957F2D)), second)
-                    g = run_hash(again, at, at + length, second).view(np.int64)
-                yield _frame(["k1", "k2", "pos", "h", "g"], [k1[first + row], k2[first + row], start.astype(np.int32), h.view(np.int64), g])
+                w = run_hash(words.word_sums(), at, at + length, WORDS_POW)
+                yield _frame(["k1", "k2", "pos", "h", "w"], [k1[first + row], k2[first + row], start.astype(np.int32), anchor, w.view(np.int64)])
+
+    return map_arrow(held.select("k1", "k2", "text", "at"), run, "k1 long, k2 int, pos int, h long, w long")
+
+
+def _repeated(rows: DataFrame, *keys: str) -> DataFrame:
+    return rows.groupBy(*keys).count().filter("count > 1").select(*keys)
+
+
+def _bit():
+    return F.pmod(F.xxhash64("k1", "k2"), F.lit(MAP_BITS))
+
+
+def _bit_map(keys: DataFrame):
+    """Bits of the keys: MAP_BITS / 8 bytes at most come to the driver and go to the executors."""
+    parts = keys.select((_bit() + 1).alias("b")).groupBy(F.bitmap_bucket_number("b").alias("k")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("b")).alias("bits"))
+    return keys.sparkSession.sparkContext.broadcast({k - 1: bytes(bits) for k, bits in parts.collect()})
+
 
-    return map_arrow(held.select("k1", "k2", "text", "at"), run, "k1 long, k2 long, pos int, h long, g long")
+def _is_set(bits: dict[int, bytes], b: int) -> bool:
+    part = bits.get(b >> 15)
+    return part is not None and bool(part[(b & 32767) >> 3] >> (b & 7) & 1)
+
+
+def _among(keyed: DataFrame, keys: DataFrame) -> DataFrame:
+    """The rows whose keys may be among ``keys``."""
+    shipped = _bit_map(keys)
+    rows = keyed.select("k1", "k2", "text", _bit().alias("b"))
+
+    def run(batches: Iterator):
+        import pyarrow as pa
+
+        for batch in batches:
+            yield batch.filter(pa.array([_is_set(shipped.value, b) for b in batch.column(3).to_pylist()], pa.bool_()))
+
+    return map_arrow(rows, run, rows.schema).drop("b")
 
 
 def repeated_windows(docs: DataFrame, length: int = 35, scratch: Scratch | None = None) -> DataFrame:
-    """(k1, k2, at): for each text with any, the sorted starts of its windows that occur elsewhere too."""
+    """(k1, k2, lo, hi): ranges of starts of the windows that occur elsewhere too."""
     scratch = scratch or Scratch(docs.sparkSession, "substring")
     keyed = _keyed(docs)
-    levels = level_lengths(length)
-    places = None
-    for i, size in enumerate(levels):
-        last = i == len(levels) - 1
-        if i == 0:
-            found = _chosen(keyed, size, length)
-        else:
-            # a row that stands twice in the table is read twice, and each survivor then counts for both
-            found = _extended(keyed.join(places.hint("shuffle_hash"), ["k1", "k2"]), levels[i - 1], size, last)
-        found = scratch.save(found)
-        often = scratch.save(found.groupBy("h", "g").count().filter("count > 1").select("h", "g"))
-        survive = found.join(often.hint("merge"), ["h", "g"], "left_semi")
-        before = places
-        places = scratch.save(survive.groupBy("k1", "k2").agg(F.array_sort(F.collect_set("pos")).alias("at")))
-        scratch.drop(found, often, *([before] if before is not None else []))
-        if last or not places.limit(1).count():
-            return places
-    return places
+    reach = length - anchor_length(length)
+    every = scratch.save(_anchors(keyed, length))
+    common = scratch.save(_repeated(every, "h"))
+    anchors = scratch.save(every.join(common.hint("merge"), "h", "left_semi"))
+    scratch.drop(every, common)
+
+    spans = scratch.save(_repeated(anchors, "h", "span").withColumn("whole", F.lit(True)))
+    told = scratch.save(anchors.join(spans.hint("merge"), ["h", "span"], "left").select("k1", "k2", "pos", "h", "sides", "whole"))
+    scratch.drop(anchors, spans)
+    ranges = told.filter("whole").select("k1", "k2", F.greatest(F.col("pos") - reach, F.lit(0)).alias("lo"), F.col("pos").alias("hi"))
+
+    open_hashes = scratch.save(told.filter("whole is null").select("h").distinct())
+    rest = scratch.save(told.join(open_hashes.hint("merge"), "h", "left_semi").select("k1", "k2", "pos", "h", F.shiftrightunsigned("sides", 32).alias("left"), F.col("sides").bitwiseAND(F.lit(0xFFFFFFFF).cast("long")).alias("right")))
+    doubled = None
+    for side in ("left", "right"):
+        again = scratch.save(_repeated(rest, "h", side))
+        found = rest.join(again.hint("merge"), ["h", side], "left_semi").select("k1", "k2", "pos", "h")
+        doubled = found if doubled is None else doubled.union(found)
+    places = scratch.save(doubled.groupBy("k1", "k2").agg(F.array_sort(F.collect_set(F.struct("pos", "h"))).alias("at")))
+    scratch.drop(rest, open_hashes)
+
+    windows = scratch.save(_full_windows(_among(keyed, places).join(places.hint("shuffle_hash"), ["k1", "k2"]), length))
+    again = scratch.save(_repeated(windows, "h", "w"))
+    single = scratch.save(windows.join(again.hint("merge"), ["h", "w"], "left_semi").select("k1", "k2", F.col("pos").alias("lo"), F.col("pos").alias("hi")).distinct())
+    scratch.drop(windows, again)
+    return ranges.union(single)
 
 
 def remove_repeats(docs: DataFrame, length: int = 35, digest: bool = False) -> DataFrame:
     """doc_id, n_words, n_removed and ``kept`` (the words left, joined by one space), or its digest ``kept_sha256``."""
-    places = repeated_windows(docs, length)
+    scratch = Scratch(docs.sparkSession, "substring")
+    places = scratch.save(repeated_windows(docs, length, scratch).groupBy("k1", "k2").agg(F.collect_set(F.struct("lo", "hi")).alias("at")))
+    shipped = _bit_map(places)
     name = "kept_sha256" if digest else "kept"
 
-    def run(batches: Iterator):
+    def told(words: list[bytes]) -> str:
+        joined = b" ".join(words)
+        return hashlib.sha256(joined).hexdigest() if digest else joined.decode("utf-8", "replace")
+
+    def whole(batches: Iterator):
+        """What stays as it is gets its result here; other texts go on."""
+        import pyarrow as pa
+
+        for batch in batches:
+            texts = as_bytes(batch.column(3))
+            sent = [_is_set(shipped.value, b) for b in batch.column(4).to_pylist()]
+            words = [None if s else t.split() for t, s in zip(texts, sent)]  # of bytes: the six ASCII spaces
+            yield pa.RecordBatch.from_arrays(
+                [*batch.columns[:3], pa.array([t if s else None for t, s in zip(texts, sent)], pa.binary()), pa.array([None if w is None else len(w) for w in words], pa.int64()), pa.array([None if w is None else told(w) for w in words], pa.string())],
+                ["doc_id", "k1", "k2", "text", "n_words", name],
+            )
+
+    def cut(batches: Iterator):
         import numpy as np
         import pyarrow as pa
 
         for batch in batches:
-            starts = batch.column(2)
-            total, removed, kept = [], [], []
-            for i, text in enumerate(as_bytes(batch.column(1))):
-                words = text.split()  # of bytes: the six ASCII spaces
-                total.append(len(words))
-                if starts[i].is_valid:
-                    at = starts[i].values.to_numpy(zero_copy_only=False)
+            total, removed, kept = (batch.column(i).to_pylist() for i in (2, 2, 3))
+            for i, text in enumerate(batch.column(1).to_pylist()):
+                removed[i] = 0
+                if text is None:
+                    continue
+                words = text.split()
+                total[i] = len(words)
+                ranges = batch.column(4)[i]
+                if ranges.is_valid:
+                    lo, hi = (ranges.values.field(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+                    hi = np.minimum(hi, len(words) - length)
                     edge = np.zeros(len(words) + 1, np.int64)
-                    np.add.at(edge, at, 1)
-                    np.add.at(edge, at + length, -1)
-                    left = np.flatnonzero(np.cumsum(edge[:-1]) == 0).tolist()
-                    words = [words[k] for k in left]
-                removed.append(total[-1] - len(words))
-                joined = b" ".join(words)
-                kept.append(hashlib.sha256(joined).hexdigest() if digest else joined.decode("utf-8", "replace"))
+                    np.add.at(edge, lo, 1)
+                    np.add.at(edge, hi + length, -1)
+                    words = [words[k] for k in np.flatnonzero(np.cumsum(edge[:-1]) == 0).tolist()]
+                removed[i] = total[i] - len(words)
+                kept[i] = told(words)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(total, pa.int64()), pa.array(removed, pa.int64()), pa.array(kept, pa.string())], ["doc_id", "n_words", "n_removed", name])
 
-    held = _keyed(docs).join(places.hint("shuffle_hash"), ["k1", "k2"], "left")
-    return map_arrow(held.select("doc_id", "text", "at"), run, f"doc_id long, n_words long, n_removed long, {name} string")
+    first = map_arrow(_keyed(docs).select("doc_id", "k1", "k2", "text", _bit().alias("b")), whole, f"doc_id long, k1 long, k2 int, text binary, n_words long, {name} string")
+    held = first.join(places.hint("shuffle_hash"), ["k1", "k2"], "left")
+    return map_arrow(held.select("doc_id", "text", "n_words", name, "at"), cut, f"doc_id long, n_words long, n_removed long, {name} string")
 
 
 def op3_substring_dedup(spark, sf_dir: str) -> DataFrame:
