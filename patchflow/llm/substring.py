@@ -11,8 +11,9 @@ another one.
   Where the whole span stands elsewhere too, all its windows are repeats at once.
 * Anchors where it does not, and the others of the same hash, are doubled to the left and to
   the right (18 words); a repeat that holds the anchor has room on one side at least, so
-  those with neither doubled window elsewhere go.
-* Last level: each full window that holds a surviving anchor is counted.
+  those with neither doubled window elsewhere go.  Of anchors with one
+  and the same repeated span a single one takes part, standing for two.
+* Last level: each full window whose anchor survives is counted.
 
 Counting is always within the anchors of one hash, so a 64-bit collision must also happen among
 these few.  Texts are read again only for anchors that reach the last level, and sent for the
@@ -54,6 +55,20 @@ def _frame(names: list[str], columns: list):
     return pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names)
 
 
+def _least_windows(words, short: int, inner: int):
+    """First words and hashes of all short windows; of each full window its first short window and its anchor, both by number."""
+    import numpy as np
+
+    at, h = words.windows(short)
+    none = np.zeros(0, np.int64)
+    if len(h) < inner:
+        return at, h, none, none
+    views = np.lib.stride_tricks.sliding_window_view(h, inner)
+    base = np.flatnonzero(words.doc[at[: len(views)]] == words.doc[at[inner - 1 :]])
+    least = [views[base[i : i + 65536]].argmin(axis=1) for i in range(0, len(base), 65536)]
+    return at, h, base, base + np.concatenate([none, *least])
+
+
 def _anchors(keyed: DataFrame, length: int) -> DataFrame:
     """(k1, k2, pos, h, sides, span) of the anchors.
 
@@ -61,6 +76,7 @@ def _anchors(keyed: DataFrame, length: int) -> DataFrame:
     of all words of full windows with the anchor.
     """
     short = anchor_length(length)
+    inner = length - short + 1  # short windows in a full one
 
     def run(batches: Iterator):
         import numpy as np
@@ -71,16 +87,10 @@ def _anchors(keyed: DataFrame, length: int) -> DataFrame:
             k1, k2 = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
             for first, texts in row_groups(as_bytes(batch.column(2))):
                 words = Words(texts)
-                at, h = words.windows(short)
-                inner = length - short + 1  # short windows in a full one
-                if len(h) < inner:
-                    continue
-                views = np.lib.stride_tricks.sliding_window_view(h, inner)
-                base = np.flatnonzero(words.doc[at[: len(views)]] == words.doc[at[inner - 1 :]])
-                least = [views[base[i : i + 65536]].argmin(axis=1) for i in range(0, len(base), 65536)]
-                if not least:
+                at, h, _, least = _least_windows(words, short, inner)
+                if not len(least):
                     continue
-                picked = np.unique(base + np.concatenate(least))
+                picked = np.unique(least)
                 p = at[picked]
                 doc = words.doc[p]
                 begin, end = words.first[doc], words.first[doc + 1]
@@ -98,39 +108,39 @@ def _anchors(keyed: DataFrame, length: int) -> DataFrame:
 
 
 def _full_windows(held: DataFrame, length: int) -> DataFrame:
-    """(k1, k2, pos, h, w): start and hash of each full window that holds an anchor of hash h; held: (k1, k2, text, at), at being pairs of place and h."""
+    """(k1, k2, pos, h, w, weight): start and hash of each full window whose anchor is at a place told; held: (k1, k2, text, at), at being (pos, weight)."""
     short = anchor_length(length)
+    inner = length - short + 1
 
     def run(batches: Iterator):
         import numpy as np
 
         from .textkernel import WORDS_POW, Words, run_hash
 
-        back = np.arange(length - short + 1)
         for batch in batches:
             k1, k2 = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
             places = batch.column(3)
             for first, texts in row_groups(as_bytes(batch.column(2))):
                 words = Words(texts)
-                row, start, anchor = [], [], []
+                at, h, base, least = _least_windows(words, short, inner)
+                weight = np.zeros(len(words.hash), np.int32)  # of the places told
                 for d in range(len(texts)):
-                    known = places[first + d].values
-                    pos, h = (known.field(i).to_numpy(zero_copy_only=False) for i in (0, 1))
-                    s = (pos[:, None] - back[None, :]).ravel()
-                    good = (s >= 0) & (s + length <= words.count[d])
-                    row.append(np.full(good.sum(), d))
-                    start.append(s[good])
-                    anchor.append(np.repeat(h, len(back))[good])
-                row, start, anchor = (np.concatenate(x) for x in (row, start, anchor))
-                at = words.first[row] + start
-                w = run_hash(words.word_sums(), at, at + length, WORDS_POW)
-                yield _frame(["k1", "k2", "pos", "h", "w"], [k1[first + row], k2[first + row], start.astype(np.int32), anchor, w.view(np.int64)])
+                    told = places[first + d].values
+                    pos, w = (told.field(i).to_numpy(zero_copy_only=False) for i in (0, 1))
+                    weight[words.first[d] + pos] = w
+                used = np.flatnonzero(weight[at[least]])
+                start, anchor = at[base[used]], least[used]
+                doc = words.doc[start]
+                w = run_hash(words.word_sums(), start, start + length, WORDS_POW)
+                yield _frame(["k1", "k2", "pos", "h", "w", "weight"], [k1[first + doc], k2[first + doc], (start - words.first[doc]).astype(np.int32), h[anchor].view(np.int64), w.view(np.int64), weight[at[anchor]]])
 
-    return map_arrow(held.select("k1", "k2", "text", "at"), run, "k1 long, k2 int, pos int, h long, w long")
+    return map_arrow(held.select("k1", "k2", "text", "at"), run, "k1 long, k2 int, pos int, h long, w long, weight int")
 
 
 def _repeated(rows: DataFrame, *keys: str) -> DataFrame:
-    return rows.groupBy(*keys).count().filter("count > 1").select(*keys)
+    """Keys at more than one place; a row with a weight stands for so many places."""
+    times = F.sum("weight") if "weight" in rows.columns else F.count(F.lit(1))
+    return rows.groupBy(*keys).agg(times.alias("n")).filter("n > 1").select(*keys)
 
 
 def _bit():
@@ -173,18 +183,23 @@ def repeated_windows(docs: DataFrame, length: int = 35, scratch: Scratch | None
     scratch.drop(every, common)
 
     spans = scratch.save(_repeated(anchors, "h", "span").withColumn("whole", F.lit(True)))
-    told = scratch.save(anchors.join(spans.hint("merge"), ["h", "span"], "left").select("k1", "k2", "pos", "h", "sides", "whole"))
+    told = scratch.save(anchors.join(spans.hint("merge"), ["h", "span"], "left"))
     scratch.drop(anchors, spans)
     ranges = told.filter("whole").select("k1", "k2", F.greatest(F.col("pos") - reach, F.lit(0)).alias("lo"), F.col("pos").alias("hi"))
 
-    open_hashes = scratch.save(told.filter("whole is null").select("h").distinct())
-    rest = scratch.save(told.join(open_hashes.hint("merge"), "h", "left_semi").select("k1", "k2", "pos", "h", F.shiftrightunsigned("sides", 32).alias("left"), F.col("sides").bitwiseAND(F.lit(0xFFFFFFFF).cast("long")).alias("right")))
+    place = ["k1", "k2", "pos", "h", "sides"]
+    undecided = told.filter("whole is null").select(*place, F.lit(1).alias("weight"))
+    open_hashes = scratch.save(undecided.select("h").distinct())
+    # anchors with one and the same span have the same windows: one stands for all
+    stand_ins = told.filter("whole").groupBy("h", "span").agg(F.min(F.struct("k1", "k2", "pos", "sides")).alias("x")).select("x.k1", "x.k2", "x.pos", "h", "x.sides", F.lit(2).alias("weight"))
+    rest = undecided.union(stand_ins.join(open_hashes.hint("merge"), "h", "left_semi").select(*place, "weight"))
+    rest = scratch.save(rest.select("k1", "k2", "pos", "h", F.shiftrightunsigned("sides", 32).alias("left"), F.col("sides").bitwiseAND(F.lit(0xFFFFFFFF).cast("long")).alias("right"), "weight"))
     doubled = None
     for side in ("left", "right"):
         again = scratch.save(_repeated(rest, "h", side))
-        found = rest.join(again.hint("merge"), ["h", side], "left_semi").select("k1", "k2", "pos", "h")
+        found = rest.join(again.hint("merge"), ["h", side], "left_semi").select("k1", "k2", "pos", "weight")
         doubled = found if doubled is None else doubled.union(found)
-    places = scratch.save(doubled.groupBy("k1", "k2").agg(F.array_sort(F.collect_set(F.struct("pos", "h"))).alias("at")))
+    places = scratch.save(doubled.groupBy("k1", "k2").agg(F.array_sort(F.collect_set(F.struct("pos", "weight"))).alias("at")))
     scratch.drop(rest, open_hashes)
 
     windows = scratch.save(_full_windows(_among(keyed, places).join(places.hint("shuffle_hash"), ["k1", "k2"]), length))
