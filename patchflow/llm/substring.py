@@ -225,13 +225,14 @@ def remove_repeats(docs: DataFrame, length: int = 35, digest: bool = False) -> D
         import pyarrow as pa
 
         for batch in batches:
-            texts = as_bytes(batch.column(3))
-            sent = [_is_set(shipped.value, b) for b in batch.column(4).to_pylist()]
-            words = [None if s else t.split() for t, s in zip(texts, sent)]  # of bytes: the six ASCII spaces
-            yield pa.RecordBatch.from_arrays(
-                [*batch.columns[:3], pa.array([t if s else None for t, s in zip(texts, sent)], pa.binary()), pa.array([None if w is None else len(w) for w in words], pa.int64()), pa.array([None if w is None else told(w) for w in words], pa.string())],
-                ["doc_id", "k1", "k2", "text", "n_words", name],
-            )
+            sent, total, kept = [], [], []
+            for t, b in zip(as_bytes(batch.column(3)), batch.column(4).to_pylist()):
+                go = _is_set(shipped.value, b)
+                words = None if go else t.split()  # of bytes: the six ASCII spaces
+                sent.append(t if go else None)
+                total.append(None if go else len(words))
+                kept.append(None if go else told(words))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(sent, pa.binary()), pa.array(total, pa.int64()), pa.array(kept, pa.string())], ["doc_id", "k1", "k2", "text", "n_words", name])
 
     def cut(batches: Iterator):
         import numpy as np
