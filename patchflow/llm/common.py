@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..shipping import ship_package
 
 #: Bytes of text that the numpy kernels take at a time (a longer text is taken alone).
-GROUP_BYTES = 1 << 20
+GROUP_BYTES = 1 << 19
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
