@@ -2,10 +2,21 @@
 
 from __future__ import annotations
 
+from importlib import import_module
+
+MODULES = ("tokens", "features", "curation", "gates", "scores", "surface")
+
+
+def _all(what: str) -> dict:
+    out = {}
+    for m in MODULES:
+        out |= getattr(import_module(f"{__package__}.{m}"), what)
+    return out
+
 
 def queries() -> dict:
-    return {}
+    return _all("QUERIES")
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return _all("SQL")
