@@ -1,3 +1,93 @@
-"""Placeholder."""
-QUERIES: dict = {}
-SQL: dict = {}
+"""Arithmetic of the printed tables: averages, wins, speed-ups, frontiers."""
+
+from __future__ import annotations
+
+from pyspark.sql import Window
+from pyspark.sql import functions as F
+
+from ..plans import reference_scores as R
+
+
+def _scores(spark):
+    return spark.createDataFrame(R.budget_scores(), "benchmark string, category string, system string, value double, time_s double")
+
+
+def _selectors(spark):
+    return spark.createDataFrame([(b, *map(float, x)) for b, *x in R.SELECTOR_ROWS], "benchmark string, a double, a_canvas double, b double, b_canvas double")
+
+
+def reference_table_checks(spark, d):
+    """Average score and canvases of the two selectors, and their ratio in percent."""
+    s = _selectors(spark)
+    return s.agg(*[F.round(F.avg(c), 6).alias(f"avg_{c}") for c in ("a", "a_canvas", "b", "b_canvas")], F.round(100 * F.avg("b_canvas") / F.avg("a_canvas"), 6).alias("canvas_percent"))
+
+
+def category_averages(spark, d):
+    s = _scores(spark)
+    return s.groupBy("system", "category").agg(F.round(F.avg("value"), 6).alias("average"), F.count("*").alias("n"))
+
+
+def average_of_averages(spark, d):
+    return category_averages(spark, d).groupBy("system").agg(F.round(F.avg("average"), 6).alias("average"))
+
+
+def wins_over_control(spark, d):
+    s = _scores(spark)
+    c = s.filter("system = 'control'").select("benchmark", F.col("value").alias("c"))
+    return s.filter("system <> 'control'").join(c, "benchmark").groupBy("system").agg(F.count_if(F.col("value") > F.col("c")).alias("wins"), F.count("*").alias("n"))
+
+
+def rank_marks(spark, d):
+    """Best and second best of each benchmark."""
+    w = Window.partitionBy("benchmark").orderBy(F.desc("value"))
+    return _scores(spark).withColumn("rank", F.dense_rank().over(w)).filter("rank <= 2").select("benchmark", "system", "rank")
+
+
+def speedup_reference(spark, d):
+    """Seconds of the control over those of each operating point."""
+    s = _scores(spark)
+    c = s.filter("system = 'control'").select("benchmark", F.col("time_s").alias("c"))
+    return s.filter("system like 'tc%'").join(c, "benchmark").select("benchmark", "system", F.round(F.col("c") / F.col("time_s"), 6).alias("speedup"))
+
+
+def load_time_allowance(spark, d):
+    """Rival's seconds less 1.01 s per eight samples, own system fully charged; 1,000 samples."""
+    return _scores(spark).filter("system = 'large'").select("benchmark", F.round(F.col("time_s") - 1.01 * 1000 / 8, 6).alias("adjusted_s"))
+
+
+def pareto_reference(spark, d):
+    """Systems that none beats in both score and seconds, per benchmark (a left anti join on few rows)."""
+    a, b = _scores(spark).alias("a"), _scores(spark).alias("b")
+    better = F.expr("a.benchmark = b.benchmark and b.value >= a.value and b.time_s <= a.time_s and (b.value > a.value or b.time_s < a.time_s)")
+    return a.join(b, better, "left_anti").select("benchmark", "system")
+
+
+def delta_pivot(spark, d):
+    """tc32 less tc8 and less the control."""
+    p = _scores(spark).groupBy("benchmark").pivot("system", list(R.SYSTEMS)).agg(F.first("value"))
+    return p.select("benchmark", F.round(F.col("tc32") - F.col("tc8"), 6).alias("over_tc8"), F.round(F.col("tc32") - F.col("control"), 6).alias("over_control"))
+
+
+def knee_reference(spark, d):
+    """Smallest operating point after which the mean score gains under one point."""
+    m = _scores(spark).filter("system like 'tc%'").groupBy(F.substring("system", 3, 9).cast("int").alias("n")).agg(F.avg("value").alias("v"))
+    w = Window.orderBy("n")  # three rows
+    return m.withColumn("gain", F.lead("v").over(w) - F.col("v")).select("n", F.round("v", 6).alias("mean"), F.round("gain", 6).alias("gain"), (F.coalesce("gain", F.lit(0.0)) < 1).alias("flat"))
+
+
+_F = (reference_table_checks, category_averages, average_of_averages, wins_over_control, rank_marks, speedup_reference, load_time_allowance, pareto_reference, delta_pivot, knee_reference)
+QUERIES = {f.__name__: f for f in _F}
+S = "s as (select * from (values " + ", ".join(f"('{b}', '{c}', '{s}', {v}::double, {t}::double)" for b, c, s, v, t in R.budget_scores()) + ") t(benchmark, category, \"system\", value, time_s))"
+X = "x as (select * from (values " + ", ".join(f"('{b}', {', '.join(f'{v}::double' for v in r)})" for b, *r in R.SELECTOR_ROWS) + ") t(benchmark, a, a_canvas, b, b_canvas))"
+SQL = {
+    "reference_table_checks": f"with {X} select round(avg(a), 6) avg_a, round(avg(a_canvas), 6) avg_a_canvas, round(avg(b), 6) avg_b, round(avg(b_canvas), 6) avg_b_canvas, round(100 * avg(b_canvas) / avg(a_canvas), 6) canvas_percent from x",
+    "category_averages": f'with {S} select "system", category, round(avg(value), 6) average, count(*) n from s group by 1, 2',
+    "average_of_averages": f'with {S} select "system", round(avg(average), 6) average from (select "system", category, round(avg(value), 6) average from s group by 1, 2) group by 1',
+    "wins_over_control": f"""with {S} select s."system", count(*) filter (s.value > c.value) wins, count(*) n from s join s c on c."system" = 'control' and c.benchmark = s.benchmark where s."system" <> 'control' group by 1""",
+    "rank_marks": f'with {S} select benchmark, "system", r::int "rank" from (select *, dense_rank() over (partition by benchmark order by value desc) r from s) where r <= 2',
+    "speedup_reference": f"""with {S} select s.benchmark, s."system", round(c.time_s / s.time_s, 6) speedup from s join s c on c."system" = 'control' and c.benchmark = s.benchmark where s."system" like 'tc%'""",
+    "load_time_allowance": f"""with {S} select benchmark, round(time_s - 1.01::double * 1000 / 8, 6) adjusted_s from s where "system" = 'large'""",
+    "pareto_reference": f"""with {S} select benchmark, "system" from s a where not exists (select 1 from s b where a.benchmark = b.benchmark and b.value >= a.value and b.time_s <= a.time_s and (b.value > a.value or b.time_s < a.time_s))""",
+    "delta_pivot": f"""with {S} select benchmark, round(max(value) filter ("system" = 'tc32') - max(value) filter ("system" = 'tc8'), 6) over_tc8, round(max(value) filter ("system" = 'tc32') - max(value) filter ("system" = 'control'), 6) over_control from s group by 1""",
+    "knee_reference": f"""with {S}, m as (select substr("system", 3)::int n, avg(value) v from s where "system" like 'tc%' group by 1), g as (select *, lead(v) over (order by n) - v gain from m) select n, round(v, 6) mean, round(gain, 6) gain, coalesce(gain, 0) < 1 flat from g""",
+}
