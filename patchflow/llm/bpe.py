@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import as_bytes, map_arrow, read_table
+from .common import as_bytes, fresh, map_arrow, read_table
 
 #: Entries of a worker's memos; they are emptied when full, which costs time only.
 MEMO = 400_000
@@ -168,14 +168,14 @@ def _extended(df: DataFrame, column: str, make, added: list[tuple[str, T.DataTyp
 
     names = [n for n, _ in added]
     kept = [c for c in df.columns if c not in names]
-    types = [to_arrow_type(t) for _, t in added]
+    types, source_name = [to_arrow_type(t) for _, t in added], fresh("_in", df.columns)
 
     def run(batches: Iterator):
         for batch in batches:
-            made = make(batch.column(batch.schema.names.index("_in")))
+            made = make(batch.column(batch.schema.names.index(source_name)))
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(kept))), *(pa.array(v, t) for v, t in zip(made, types))], [*kept, *names])
 
-    source = df.select(*[F.col(f"`{c}`") for c in kept], F.col(column).alias("_in"))
+    source = df.select(*[F.col(f"`{c}`") for c in kept], F.col(column).alias(source_name))
     schema = T.StructType([*(df.schema[c] for c in kept), *(T.StructField(n, t) for n, t in added)])
     return map_arrow(source, run, schema)
 

@@ -92,6 +92,19 @@ def no_null_id(column: str = "doc_id"):
     return F.coalesce(F.col(column).cast("long"), F.lit(-(2**63)))
 
 
+def keyed_rows(docs: DataFrame) -> DataFrame:
+    """``_row``, the whole row as a struct, so that no column of it clashes, and the key ``_k1``, ``_k2`` of id and text."""
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), no_null_id().alias("_k1"), F.xxhash64(text).alias("_k2"))
+
+
+def fresh(name: str, taken: list[str]) -> str:
+    """``name``, longer where ``taken`` has it already."""
+    while name.lower() in (t.lower() for t in taken):
+        name += "_"
+    return name
+
+
 def row_groups(texts: list[bytes], most: int = GROUP_BYTES) -> Iterator[tuple[int, list[bytes]]]:
     """Consecutive texts of about ``most`` bytes together, with the index of the first."""
     first, held, size = 0, [], 0

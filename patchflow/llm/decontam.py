@@ -21,7 +21,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, no_null_id, read_table
+from .common import Scratch, keyed_rows, no_null_id, read_table
 
 LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 #: What parts words, before A-Z are lower-cased: listed one by one, which Java turns into a bit set.
@@ -105,8 +105,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, size: int = 10, block: int
 def drop_contaminated(docs: DataFrame, items: DataFrame, size: int = 10) -> DataFrame:
     """The rows of texts without any window of an item, as they were."""
     bad = decontaminate(docs, items, size).filter("contaminated").select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct()
-    keyed = docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))})
-    return keyed.join(bad.hint("shuffle_hash"), ["_k1", "_k2"], "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    return keyed_rows(docs).join(bad.hint("shuffle_hash"), ["_k1", "_k2"], "left_anti").select("_row.*")
 
 
 def op6_decontamination(spark, sf_dir: str) -> DataFrame:

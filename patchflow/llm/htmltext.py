@@ -24,7 +24,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, map_arrow, read_table
+from .common import Scratch, as_bytes, fresh, map_arrow, read_table
 from .urlfilter import url_parts
 
 ATTRIBUTES = r"""(?:[^>"']+|"[^"]*"|'[^']*')*"""
@@ -35,6 +35,8 @@ FURNITURE = re.compile(
     r"|(?:^|\s)(?:navigation|complementary|contentinfo|search|dialog|alertdialog)(?:$|\s)",
     re.I,
 )
+LAYOUT = re.compile(r"(?:^|\s)(?:has|with|without|no|is|js|layout)[-_]\S*")
+NOT_MAIN = re.compile(r"(?:^|\s)(?:comments?|comment-\w+|reply|replies|ads?|advert\w*|related|promo\w*|sponsor\w*|teaser)(?:$|\s)", re.I)
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes".split())
 DROPPED = frozenset("head script style noscript template iframe noembed noframes xmp object svg math canvas form button select option textarea input datalist nav header footer aside menu dialog title".split())
@@ -63,7 +65,7 @@ def _named(attributes: str) -> tuple[str, bool, bool]:
         else:
             out |= key == "hidden" or key == "aria-hidden" and value == "true" or key == "style" and "display:none" in value.replace(" ", "")
     name = " ".join(said)
-    return name, out or bool(name and FURNITURE.search(name)), main
+    return name, out or bool(name and FURNITURE.search(LAYOUT.sub(" ", name))), main
 
 
 def parse(source: str) -> Node:
@@ -113,7 +115,10 @@ def parse(source: str) -> Node:
         attributes = found[3] if found[3] is not None else found[4]
         name, furniture, main = _named(attributes) if attributes else ("", False, False)
         article = tag in ("article", "main") or main
-        node = Node(tag, name, here, tag in DROPPED or furniture and tag not in ("html", "body") and not article, article)
+        if article:
+            furniture = bool(name and NOT_MAIN.search(name))
+            article = not furniture
+        node = Node(tag, name, here, tag in DROPPED or furniture and tag not in ("html", "body"), article)
         here.children.append(node)
         if tag in RAW:
             end = re.compile(rf"</{tag}(?=[\s/>])[^>]*>?", re.I).search(source, at)
@@ -125,18 +130,18 @@ def parse(source: str) -> Node:
 
 
 def _articles(root: Node) -> list[Node]:
-    """Outermost articles that aren't furniture."""
-    out, stack = [], [root]
-    while stack:
-        node = stack.pop()
-        for c in reversed(node.children):
-            if type(c) is Node and not c.dropped:
-                if c.article:
-                    out.append(c)
-                else:
-                    stack.append(c)
-    # of many, in page order: the stack holds later ones below
-    return out
+    """Outermost articles in page order; those inside furniture only if there are no others."""
+    for all_over in (False, True):
+        out, stack = [], [root]
+        while stack:
+            node = stack.pop()
+            if node.article:
+                out.append(node)
+            elif not node.dropped or all_over and node.tag not in DROPPED:
+                stack.extend(c for c in reversed(node.children) if type(c) is Node)
+        if out:
+            return out
+    return []
 
 
 def subtree_hashes(root: Node) -> list[tuple[Node, int]]:
@@ -222,21 +227,22 @@ def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> Dat
     html = F.col("html").cast("string")
     host, _ = url_parts(F.col("url").cast("string"))
     kept = [c for c in pages.columns if c not in ("html", "text")]
-    keyed = pages.select(*[F.col(f"`{c}`") for c in kept], host.alias("_host"), F.xxhash64("url", html).alias("_page"), html.alias("_html"))
-    hashes = _page_hashes(keyed.select(F.col("_host").alias("host"), F.col("_page").alias("page"), F.col("_html").alias("html")))
+    c_host, c_page, c_html, c_seed, c_own = (fresh(c, pages.columns) for c in ("_host", "_page", "_html", "_seed", "_own"))
+    keyed = pages.select(*[F.col(f"`{c}`") for c in kept], host.alias(c_host), F.xxhash64("url", html).alias(c_page), html.alias(c_html))
+    hashes = _page_hashes(keyed.select(F.col(c_host).alias("host"), F.col(c_page).alias("page"), F.col(c_html).alias("html")))
     often = scratch.save(hashes.groupBy("host", "hash").agg(F.count_distinct("page").alias("n")).filter(F.col("n") >= many).select(F.xxhash64("host", "hash").alias("key"), "host", "hash"))
     n = often.count()
     if n <= most_hashes:  # 8 bytes each
         shipped = spark.sparkContext.broadcast(frozenset(r[0] for r in often.select("key").collect()))
-        rows = keyed.withColumn("_seed", F.xxhash64("_host"))
+        rows = keyed.withColumn(c_seed, F.xxhash64(c_host))
         own = None
     else:
-        per_page = hashes.join(often.hint("merge"), ["host", "hash"], "left_semi").groupBy(F.col("page").alias("_page")).agg(F.collect_set("hash").alias("_own"))
-        rows, shipped = keyed.join(per_page.hint("shuffle_hash"), "_page", "left"), None
-        own = rows.columns.index("_own")
-    at = rows.columns.index("_html")
+        per_page = hashes.join(often.hint("merge"), ["host", "hash"], "left_semi").groupBy(F.col("page").alias(c_page)).agg(F.collect_set("hash").alias(c_own))
+        rows, shipped = keyed.join(per_page.hint("shuffle_hash"), c_page, "left"), None
+        own = rows.columns.index(c_own)
+    at = rows.columns.index(c_html)
     picks = [rows.columns.index(c) for c in kept]
-    seed = rows.columns.index("_seed") if shipped else None
+    seed = rows.columns.index(c_seed) if shipped else None
 
     def run(batches: Iterator):
         import pyarrow as pa

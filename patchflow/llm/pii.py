@@ -25,7 +25,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, no_null_id, read_table
+from .common import Scratch, keyed_rows, no_null_id, read_table
 
 # fixed values: the kinds of the contract in its order, then the kind that the method adds
 KINDS = ("email", "ip", "card", "phone", "secret")
@@ -237,22 +237,18 @@ def spans(docs: DataFrame) -> DataFrame:
     return accepted.withColumn("free", free).filter(F.col("base") | F.col("free")).select("k1", "k2", kind_no.cast("int").alias("kind_no"), "kind", "start", "end", "base")
 
 
-def _with_keys(docs: DataFrame) -> DataFrame:
-    return docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))})
-
-
 def find_personal_data(docs: DataFrame) -> DataFrame:
     """doc_id and ``spans``, an array of (kind_no, start, end, kind, base) in order."""
     found = spans(docs).groupBy(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).agg(F.array_sort(F.collect_list(F.struct("kind_no", "start", "end", "kind", "base"))).alias("spans"))
     none = F.array().cast("array<struct<kind_no:int,start:bigint,end:bigint,kind:string,base:boolean>>")
-    rows = _with_keys(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "_k1", "_k2")
+    rows = keyed_rows(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")).select(F.col("_row.doc_id").alias("doc_id"), "_k1", "_k2")
     return rows.join(found.hint("merge"), ["_k1", "_k2"], "left").select("doc_id", F.coalesce("spans", none).alias("spans"))
 
 
 def mask_personal_data(docs: DataFrame) -> DataFrame:
     """The rows with each span replaced by its kind in brackets; n_chars (where present) anew."""
     found = spans(docs).groupBy(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).agg(F.array_sort(F.collect_list(F.struct("start", "end", "kind"))).alias("_spans"))
-    text = F.col("text").cast("string")
+    text = F.col("_row.text").cast("string")
     zero = F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<string>").alias("parts"))
 
     def add(acc, x):
@@ -261,17 +257,12 @@ def mask_personal_data(docs: DataFrame) -> DataFrame:
         return F.when(x["start"] >= acc["at"], new).otherwise(F.struct(F.greatest(acc["at"], x["end"]).alias("at"), acc["parts"].alias("parts")))
 
     masked = F.aggregate("_spans", zero, add, lambda acc: F.concat(F.array_join(acc["parts"], ""), F.substr(text, acc["at"] + 1)))
-    changed = {"_new": F.when(F.col("_spans").isNotNull(), masked).otherwise(text)}
-    out = _with_keys(docs).join(found.hint("shuffle_hash"), ["_k1", "_k2"], "left").withColumns(changed)
-    columns = []
-    for c in docs.columns:
-        if c == "text":
-            columns.append(F.col("_new").alias("text"))
-        elif c == "n_chars":
-            columns.append(F.when(F.col("_spans").isNull(), F.col("n_chars")).otherwise(F.length("_new")).cast(docs.schema["n_chars"].dataType).alias("n_chars"))
-        else:
-            columns.append(F.col(f"`{c}`"))
-    return out.select(*columns)
+    whole = F.col("_spans").isNull()
+    out = keyed_rows(docs).join(found.hint("shuffle_hash"), ["_k1", "_k2"], "left").withColumn("_new", F.when(whole, text).otherwise(masked))
+    row = F.col("_row").withField("text", F.col("_new"))
+    if "n_chars" in docs.columns:
+        row = row.withField("n_chars", F.when(whole, F.col("_row.n_chars")).otherwise(F.length("_new").cast(docs.schema["n_chars"].dataType)))
+    return out.select(row.alias("_row")).select("_row.*")
 
 
 def _base_of(kind: str):

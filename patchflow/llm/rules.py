@@ -18,7 +18,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, map_arrow, no_null_id, read_table, row_groups
+from .common import Scratch, as_bytes, keyed_rows, map_arrow, no_null_id, read_table, row_groups
 
 SYMBOLS = "#*$%&|<>"
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
@@ -124,18 +124,16 @@ def judged(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> tupl
 def filter_quality(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> DataFrame:
     """The rows kept, without their removed lines; other columns as they were, n_chars (where present) anew if the text changed."""
     verdict, gone = judged(docs, limit, most_removed)
-    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    keyed = docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(text)})
     fate = (
         verdict.filter("kept").select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct()
         .join(gone.groupBy(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).agg(F.collect_set("line_no").alias("_gone")).hint("merge"), ["_k1", "_k2"], "left")
     )
-    left = F.array_join(F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains(F.col("_gone"), i)), "\n")
-    out = keyed.join(fate.hint("shuffle_hash"), ["_k1", "_k2"])
-    changed = {"text": F.when(F.col("_gone").isNull(), F.col("text")).otherwise(left)}
+    text, whole = F.col("_row.text"), F.col("_gone").isNull()
+    left = F.array_join(F.filter(F.split(text, "\n", -1), lambda x, i: ~F.array_contains(F.col("_gone"), i)), "\n")
+    row = F.col("_row").withField("text", F.when(whole, text).otherwise(left))
     if "n_chars" in docs.columns:
-        changed["n_chars"] = F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length(left)).cast(docs.schema["n_chars"].dataType)
-    return out.withColumns(changed).select(*[F.col(f"`{c}`") for c in docs.columns])
+        row = row.withField("n_chars", F.when(whole, F.col("_row.n_chars")).otherwise(F.length(left).cast(docs.schema["n_chars"].dataType)))
+    return keyed_rows(docs).join(fate.hint("shuffle_hash"), ["_k1", "_k2"]).select(row.alias("_row")).select("_row.*")
 
 
 def op9_quality_rules(spark, sf_dir: str) -> DataFrame:

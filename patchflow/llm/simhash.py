@@ -27,7 +27,7 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, map_arrow, no_null_id, read_table
+from .common import Scratch, as_bytes, keyed_rows, map_arrow, read_table
 
 BITS = 64
 SLOTS = 1 << 16
@@ -152,8 +152,7 @@ def keep_one(docs: DataFrame, shingle: int = 4, distance: int = 4) -> DataFrame:
     """One row of each group, as it was: that of the least doc_id (null last), of equals the one with the least text hash."""
     order = F.struct(F.col("doc_id").isNull(), "doc_id", "k2")
     best = near_duplicates(docs, shingle, distance).groupBy("label").agg(F.min(order).alias("b")).select(F.coalesce("b.doc_id", F.lit(-(2**63))).alias("_k1"), F.col("b.k2").alias("_k2"))
-    keyed = docs.withColumns({"_k1": no_null_id(), "_k2": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))})
-    return keyed.join(best.hint("shuffle_hash"), ["_k1", "_k2"], "left_semi").dropDuplicates(["_k1", "_k2"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return keyed_rows(docs).join(best.hint("shuffle_hash"), ["_k1", "_k2"], "left_semi").dropDuplicates(["_k1", "_k2"]).select("_row.*")
 
 
 def op2_simhash_near_dedup(spark, sf_dir: str) -> DataFrame:

@@ -22,7 +22,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, map_arrow, read_table
+from .common import Scratch, fresh, map_arrow, read_table
 
 LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
@@ -146,7 +146,7 @@ def judge_urls(pages: DataFrame, url: str = "url", rules: tuple[Rule, ...] = RUL
     spark = pages.sparkSession
     scratch = Scratch(spark, "urls")
     host, path = url_parts(F.col(url).cast("string"))
-    parted = pages.drop("host", "path", "rule", "verdict").withColumns({"host": host, "path": path})
+    parted = pages.withColumns({"host": host, "path": path}).drop("rule", "verdict")
     seen = F.substring("path", 1, max(len(r.path) for r in rules))
     keys = [F.xxhash64(F.lit(seed), "host", seen) for seed in (11, 12)]
     listed = F.coalesce(rule_of(F.col("host"), seen, rules, "verdict") == "block", F.lit(False))
@@ -154,11 +154,12 @@ def judge_urls(pages: DataFrame, url: str = "url", rules: tuple[Rule, ...] = RUL
     n_in, n_out = universe.agg(F.count_if("listed"), F.count_if(~F.col("listed"))).first()
     bytes_needed = 0.25 * n_in * (8 + max(0.0, math.log2(max(n_out, 1) / max(n_in, 1))))
     shards = max(1, math.ceil(bytes_needed / most_bytes))
-    rows = parted.withColumns({"rule": rule_of(F.col("host"), F.col("path"), rules, "name"), "_h1": keys[0], "_h2": keys[1]})
+    one, two = fresh("_h1", parted.columns), fresh("_h2", parted.columns)
+    rows = parted.withColumns({"rule": rule_of(F.col("host"), F.col("path"), rules, "name"), one: keys[0], two: keys[1]})
     out = None
     for s in range(shards):
         shipped = spark.sparkContext.broadcast(build_cascade(universe.filter(F.pmod("h1", F.lit(shards)) == s), scratch))
-        part = rows.filter(F.pmod("_h1", F.lit(shards)) == s)
+        part = rows.filter(F.pmod(one, F.lit(shards)) == s)
         last = len(part.columns)
 
         def run(batches: Iterator, shipped=shipped, last=last):
@@ -167,7 +168,7 @@ def judge_urls(pages: DataFrame, url: str = "url", rules: tuple[Rule, ...] = RUL
                 blocked = member(shipped.value, h1, h2)
                 yield pa.RecordBatch.from_arrays([*batch.columns[: last - 2], pa.array(["block" if b else "allow" for b in blocked], pa.string())], [*batch.schema.names[: last - 2], "verdict"])
 
-        schema = part.drop("_h1", "_h2").schema.add("verdict", "string")
+        schema = part.drop(one, two).schema.add("verdict", "string")
         done = map_arrow(part, run, schema)
         out = done if out is None else out.unionByName(done)
     return out
