@@ -60,7 +60,7 @@ PAIRED = {
     "agg_max_by_segment": ("select c_mktsegment, max_by(c_custkey, struct(c_acctbal, -c_custkey)) as best from customer group by c_mktsegment", "select c_mktsegment, arg_max(c_custkey, (c_acctbal, -c_custkey)) best from customer group by 1"),
     "agg_percentile_exact": ("select event_type, round(percentile(value, 0.9), 6) as p90 from events group by event_type", "select event_type, round(quantile_cont(value, 0.9), 6) p90 from events group by 1"),
     "agg_sort_based": ("select conv_id, array_join(transform(array_sort(collect_list(struct(turn, role))), x -> x.role), ',') as roles from conversations group by conv_id", "select conv_id, string_agg(role, ',' order by turn) roles from conversations group by 1"),
-    "agg_pivot": ("select * from (select lang, source from documents where source in ('src1', 'src2')) pivot (count(*) for source in ('src1' as s1, 'src2' as s2))", "select lang, count(*) filter (source = 'src1') s1, count(*) filter (source = 'src2') s2 from documents where source in ('src1', 'src2') group by 1"),
+    "agg_pivot": ("select lang, coalesce(s1, 0L) as s1, coalesce(s2, 0L) as s2 from (select lang, source from documents where source in ('src1', 'src2')) pivot (count(*) for source in ('src1' as s1, 'src2' as s2))", "select lang, count(*) filter (source = 'src1') s1, count(*) filter (source = 'src2') s2 from documents where source in ('src1', 'src2') group by 1"),
     "agg_unpivot": ("select * from (select p_partkey, p_size as size, cast(p_retailprice as int) as price from part) unpivot (v for k in (size, price))", "select p_partkey, 'size' k, p_size v from part union all select p_partkey, 'price', trunc(p_retailprice)::int from part"),
     "str_tokens": ("select doc_id, size(split(text, ' ')) as n, size(array_distinct(split(lower(text), ' '))) as kinds from documents", "select doc_id, len(string_split(text, ' '))::int n, len(list_distinct(string_split(lower(text), ' ')))::int kinds from documents"),
     "str_sentences": ("select doc_id, cast(regexp_count(text, '[.!?]') as bigint) as n from documents", "select doc_id, len(regexp_extract_all(text, '[.!?]')) n from documents"),
