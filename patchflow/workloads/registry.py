@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("tokens", "features", "curation", "gates", "scores", "surface")
+MODULES = ("tokens", "features", "curation", "captions", "gates", "scores", "surface")
 
 
 def _all(what: str) -> dict:
