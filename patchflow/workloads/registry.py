@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("tokens", "features", "curation", "neardups", "captions", "gates", "scores", "surface")
+MODULES = ("tokens", "features", "curation", "neardups", "captions", "recipes", "balances", "gates", "scores", "surface")
 
 
 def _all(what: str) -> dict:
