@@ -53,3 +53,31 @@ def equal_tokens(pool: DataFrame, total: DataFrame) -> DataFrame:
 def weak_spots(scores: DataFrame, at: str = "domain") -> DataFrame:
     """The weakest dimension of each group: scores are (group, dimension, value); of equals the first by name."""
     return scores.groupBy(at).agg(F.min_by("dimension", F.struct("value", "dimension")).alias("dimension"), F.min("value").alias("value"))
+
+
+def lint_rulebook(samples: DataFrame, rulebook: dict[str, tuple[str, ...]], openers: tuple[str, ...] = (), short_words: int = 4) -> DataFrame:
+    """(sample_id, violations): map of family to hits, of the families that a text breaks.
+
+    The rulebook names word lists (absence, affect, effect, hedge, inference, summary), single words in lower case.
+    Counts are whole: words of each list, sentences said again, runs of three short sentences, lines of
+    markup, paragraphs past the first.  A null text breaks nothing; the rulebook is data of a few words a family.
+    """
+    text = F.coalesce("text", F.lit(""))
+    w = F.filter(F.split(F.lower(text), r"[ \n\t.,!?]+"), lambda x: x != "")
+    s = F.filter(F.transform(F.split(text, r"[.!?]", -1), lambda x: F.regexp_replace(x, r"^\s+|\s+$", "")), lambda x: x != "")
+    lengths = F.array_join(F.transform("_s", lambda x: F.when(F.size(F.split(x, " ")) < short_words, "1").otherwise("0")), "")
+
+    def listed(v):
+        return F.size(F.filter("_w", lambda x: x.isin(*v)))
+
+    hits = {k: listed(v) for k, v in rulebook.items() if v}
+    hits |= {
+        "opener": F.element_at("_w", 1).isin(*openers).cast("int") if openers else F.lit(0),
+        "restated": F.size("_s") - F.size(F.array_distinct("_s")),
+        "short_run": F.size(F.regexp_extract_all(lengths, F.lit("(1{3,})"), 1)),
+        "markup": F.size(F.filter(F.split(text, "\n", -1), lambda x: x.rlike(r"\*\*|^#{1,6} |^[-*] "))),
+        "paragraphs": F.size(F.filter(F.split(text, r"\n+", -1), lambda x: F.trim(x) != "")) - 1,
+    }
+    wide = samples.withColumn("_w", F.when(F.size(w) > 0, w).otherwise(F.array(F.lit("")))).withColumn("_s", s)
+    pairs = F.filter(F.array(*[F.struct(F.lit(k).alias("key"), v.cast("long").alias("value")) for k, v in sorted(hits.items())]), lambda p: p["value"] > 0)
+    return wide.select("sample_id", F.map_from_entries(pairs).alias("violations"))

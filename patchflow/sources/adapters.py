@@ -8,7 +8,6 @@ from pyspark.sql import functions as F
 EPOCH = 1704067200  # 2024-01-01, first day of the event stream
 FRAME_SECONDS, FRAMES, CLIPS = 40500, 64, 16
 GRID = (4, 5)
-EVENT_TYPES = ("cart", "click", "purchase", "search", "view")
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -7,6 +7,7 @@ sequences; a sequence silent for the watermark's delay could be dropped by a tim
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -59,11 +60,19 @@ def live_gate(stream: DataFrame, tau: int) -> DataFrame:
 
 
 def _drain(spark: SparkSession, stream: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream over all that is there and returns the sink as a table."""
+    """Runs a stream over all that is there and returns the sink as a table.
+
+    Appended rows go to files in the shared folder with their checkpoint beside them, so neither the driver's
+    memory nor a lost executor matters; only complete aggregates, a row per group, go to the memory sink.
+    """
     name = f"sink_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    if mode == "append":
+        root = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp(prefix='patchflow-stream-')}/{name}"
+        w = stream.writeStream.format("parquet").option("path", f"{root}/rows").option("checkpointLocation", f"{root}/state").outputMode(mode)
+    else:
+        w = stream.writeStream.format("memory").queryName(name).outputMode(mode)
+    w.trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{root}/rows") if mode == "append" else spark.table(name)
 
 
 def run_available(spark: SparkSession, sf_dir: str, tau: int) -> DataFrame:
