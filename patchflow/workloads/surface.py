@@ -44,6 +44,12 @@ SHARED = {
     "win_range_recent": "select event_id, count(*) over (partition by user_id order by event_id range between 600 preceding and current row) as recent from events",
     "sort_global_topk": "select l_orderkey, l_linenumber, l_partkey, l_extendedprice from lineitem order by l_extendedprice desc, l_orderkey, l_linenumber, l_partkey, l_suppkey, l_quantity limit 100",
     "topk_per_group": "select l_suppkey, l_orderkey, l_partkey from (select *, row_number() over (partition by l_suppkey order by l_extendedprice desc, l_orderkey, l_linenumber, l_partkey, l_quantity) as r from lineitem) t where r <= 3",
+    "agg_cube_domain_duration": "select lang, source, count(*) as n, cast(sum(n_chars) as bigint) as chars, cast(grouping(lang) as int) as all_langs, cast(grouping(source) as int) as all_sources from documents group by cube (lang, source)",
+    "join_theta_pareto": "select a.p_partkey from (select p_partkey, p_size, p_retailprice from part where p_size <= 3) a where not exists (select 1 from (select p_size, max(p_retailprice) as best from part group by p_size) b where b.p_size <= a.p_size and b.best > a.p_retailprice)",
+    "join_asof_query": "select q_id, turn from (select event_id as q_id, is_query, max(case when is_query = 0 then event_id end) over (partition by clip order by event_id rows between unbounded preceding and current row) as turn from (select event_id, user_id % 16 as clip, case when event_type = 'signup' then 1 else 0 end as is_query from events) u) t where is_query = 1",
+    "win_row_number_topk": "select clip, event_id from (select user_id % 16 as clip, event_id, row_number() over (partition by user_id % 16 order by value desc, event_id) as r from events) t where r <= 20",
+    "set_union_byname": "select event_id as id, 'event' as kind from events union all select doc_id as id, 'text' as kind from documents",
+    "set_intersect_selectors": "select user_id from events where event_type = 'purchase' intersect select user_id from events where event_type = 'click'",
     "limit_offset": "select c_custkey, c_acctbal from customer order by c_acctbal desc, c_custkey limit 20 offset 40",
     "set_union_distinct": "select lang from documents union select source from documents",
     "set_intersect": "select doc_id from documents intersect select doc_id from labels",
@@ -57,6 +63,13 @@ SHARED = {
 }
 #: name -> (Spark SQL, oracle SQL)
 PAIRED = {
+    "agg_min_by_dimension": ("select lang, min_by(doc_id, struct(n_chars, doc_id)) as shortest from documents group by lang", "select lang, arg_min(doc_id, (n_chars, doc_id)) shortest from documents group by 1"),
+    "str_regex_count": ("select doc_id, cast(regexp_count(text, '[0-9]+') as bigint) as numbers from documents", "select doc_id, len(regexp_extract_all(text, '[0-9]+'))::bigint numbers from documents"),
+    "date_epoch": ("select event_id, unix_timestamp(cast(ts as timestamp)) as t_s from events", "select event_id, floor(epoch(ts))::bigint t_s from events"),
+    "arr_zip_distance": ("select vec_id, round(aggregate(zip_with(slice(embedding, 1, 32), slice(embedding, 33, 32), (a, b) -> (cast(a as double) - b) * (cast(a as double) - b)), 0D, (s, x) -> s + x), 5) as d2 from embeddings", "select vec_id, round(list_sum(list_transform(range(1, 33), lambda i: (embedding[i]::double - embedding[i + 32]) * (embedding[i]::double - embedding[i + 32]))), 5) d2 from embeddings"),
+    "json_to_row": ("select event_id, to_json(named_struct('user_id', user_id, 'event_type', event_type)) as j from events", "select event_id, '{\"user_id\":' || user_id || ',\"event_type\":\"' || event_type || '\"}' j from events"),
+    "map_rubric_get": ("select doc_id, map('chars', n_chars, 'bytes', cast(octet_length(text) as bigint))['bytes'] as bytes from documents", "select doc_id, strlen(text)::bigint bytes from documents"),
+    "lateral_candidates": ("select c.conv_id, t.t_s from (select conv_id, max(turn) as last from conversations group by conv_id) c, lateral (select explode(sequence(0, c.last)) as t_s) t", "select conv_id, unnest(range(0, max(turn) + 1)) t_s from conversations group by conv_id"),
     "agg_max_by_segment": ("select c_mktsegment, max_by(c_custkey, struct(c_acctbal, -c_custkey)) as best from customer group by c_mktsegment", "select c_mktsegment, arg_max(c_custkey, (c_acctbal, -c_custkey)) best from customer group by 1"),
     "agg_percentile_exact": ("select event_type, round(percentile(value, 0.9), 6) as p90 from events group by event_type", "select event_type, round(quantile_cont(value, 0.9), 6) p90 from events group by 1"),
     "agg_sort_based": ("select conv_id, array_join(transform(array_sort(collect_list(struct(turn, role))), x -> x.role), ',') as roles from conversations group by conv_id", "select conv_id, string_agg(role, ',' order by turn) roles from conversations group by 1"),
