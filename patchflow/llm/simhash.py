@@ -3,14 +3,15 @@
 Fingerprints are made per text in Arrow batches.  Linking works on distinct
 fingerprints only, so copies cost one row:
 
-* the 64 bits are cut in six blocks; two fingerprints that differ in at most four bits
-  agree on at least two blocks, so each of the 15 block pairs gives one key;
+* the 64 bits are cut in four blocks more than must agree; two fingerprints that differ in at
+  most four bits leave enough blocks alike, so each choice of agreeing blocks gives one key: 15
+  keys of 21 bits for up to some 30 million fingerprints, 35 of 27 bits and 70 of 32 bits beyond,
+  so that the buckets stay small.  The links are the same for each number of blocks;
 * buckets of at most ``bucket`` fingerprints are compared pair by pair and verified;
 * fingerprints of larger buckets meet exactly, and linearly, at midpoints: two values are
   within four bits if, and only if, some value is within two bits of both, so all
-  fingerprints that reach a midpoint are linked to the smallest one there.  Routing uses a
-  table of at most 65,536 slots of bucket keys; a wrongly routed key only changes the way,
-  never the links.
+  fingerprints that reach a midpoint are linked to the smallest one there.  The keys of large
+  buckets are broadcast while they are at most 65,536, and joined by merge beyond.
 
 Data-sized joins carry a merge hint: Spark takes the few rows before an explode for the size
 after it and would broadcast them.  Components come from label propagation with pointer jumping over tables in the shared
@@ -30,7 +31,8 @@ from pyspark.sql import functions as F
 from .common import Scratch, as_bytes, keyed_rows, map_arrow, read_table
 
 BITS = 64
-SLOTS = 1 << 16
+#: Keys of large buckets that may be broadcast.
+SENT_KEYS = 1 << 16
 
 
 def fingerprint(text: bytes, shingle: int, seed: int = 42) -> int:
@@ -91,20 +93,29 @@ def midpoint_masks(bits: int) -> list[int]:
     return [m - (1 << BITS) if m >> (BITS - 1) else m for m in masks]
 
 
-def link_fingerprints(spark, distinct: DataFrame, scratch: Scratch, distance: int = 4, blocks: int = 6, bucket: int = 64) -> DataFrame:
+def block_count(fingerprints: int, distance: int = 4, mean: int = 16) -> int:
+    """Fewest blocks whose keys put at most ``mean`` of so many uniform fingerprints in a bucket; four of them agree at most."""
+    agree = 2
+    while agree < 4 and fingerprints >> (BITS * agree // (agree + distance)) >= mean:
+        agree += 1
+    return distance + agree
+
+
+def link_fingerprints(spark, distinct: DataFrame, scratch: Scratch, distance: int = 4, blocks: int | None = None, bucket: int = 64, sent: int = SENT_KEYS) -> DataFrame:
     """Edges (a, b), a > b, whose components are those of all pairs within ``distance`` bits."""
+    blocks = blocks or block_count(distinct.count(), distance)
     keys = distinct.select("fp", F.explode(F.array(*block_keys(F.col("fp"), blocks, blocks - distance))).alias("key"))
-    slot = F.pmod(F.xxhash64("key"), F.lit(SLOTS))
-    hot = scratch.save(keys.groupBy("key").count().filter(F.col("count") > bucket).select(slot.alias("slot")).distinct())
-    routed = keys.withColumn("slot", slot)
-    small = routed.join(F.broadcast(hot), "slot", "left_anti")  # SLOTS rows at most
+    hot = scratch.save(keys.groupBy("key").count().filter(F.col("count") > bucket).select("key"))
+    n_hot = hot.count()
+    crowded = F.broadcast(hot) if n_hot <= sent else hot.hint("merge")
+    small = keys.join(crowded, "key", "left_anti")
     lists = small.groupBy("key").agg(F.collect_list("fp").alias("m")).filter(F.size("m") > 1)
     near = lists.select("m", F.explode("m").alias("a")).select(
         "a", F.explode(F.filter("m", lambda x: (x < F.col("a")) & (F.bit_count(x.bitwiseXOR(F.col("a"))) <= distance))).alias("b")
     )
     edges = near.distinct()
-    if hot.limit(1).count():
-        dense = scratch.save(routed.join(F.broadcast(hot), "slot", "left_semi").select("fp").distinct())
+    if n_hot:
+        dense = scratch.save(keys.join(crowded, "key", "left_semi").select("fp").distinct())
         masks = F.array(*[F.lit(m).cast("long") for m in midpoint_masks(distance // 2)])
         reached = dense.select("fp", F.explode(masks).alias("mask")).select("fp", F.col("fp").bitwiseXOR(F.col("mask")).alias("mid"))
         least = scratch.save(reached.groupBy("mid").agg(F.min("fp").alias("b"), F.max("fp").alias("top")).filter("b < top").select("mid", "b"))
@@ -135,7 +146,7 @@ def components(spark, edges: DataFrame, scratch: Scratch) -> DataFrame:
             return labels.select("node", "label")
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, blocks: int = 6, bucket: int = 64) -> DataFrame:
+def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, blocks: int | None = None, bucket: int = 64) -> DataFrame:
     """(doc_id, k2, fp, label, component_id) for every row of ``docs``; label is the least fingerprint of the group."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "simhash")

@@ -66,9 +66,9 @@ def components(values, distance=4):
     return [top(i) for i in range(len(values))]
 
 
-@pytest.mark.parametrize("bucket", [1, 64])
-def test_fingerprint_links_equal_all_pairs(spark, bucket):
-    """Both ways: pairs within small buckets, and midpoints when every bucket counts as large."""
+@pytest.mark.parametrize(("bucket", "blocks", "sent"), [(1, None, 1 << 16), (64, 6, 1 << 16), (4, 7, 0), (64, 8, 0), (2, 8, 1 << 16)])
+def test_fingerprint_links_equal_all_pairs(spark, bucket, blocks, sent):
+    """Pairs within small buckets, midpoints beyond; each number of blocks; crowded keys broadcast and merged."""
     rng = random.Random(3)
     values = set()
     for _ in range(12):
@@ -82,7 +82,7 @@ def test_fingerprint_links_equal_all_pairs(spark, bucket):
     signed = [v - (1 << 64) if v >> 63 else v for v in values]
     s = Scratch(spark, "t")
     df = spark.createDataFrame([(v,) for v in signed], "fp long")
-    got = {r.node: r.label for r in simhash.components(spark, simhash.link_fingerprints(spark, df, s, bucket=bucket), s).collect()}
+    got = {r.node: r.label for r in simhash.components(spark, simhash.link_fingerprints(spark, df, s, blocks=blocks, bucket=bucket, sent=sent), s).collect()}
     want = components(values)
     groups = collections.defaultdict(set)
     for v, g in zip(signed, want):
@@ -91,6 +91,10 @@ def test_fingerprint_links_equal_all_pairs(spark, bucket):
         assert {got.get(v, v) for v in g} == {min(g)}
 
 
+def test_block_count_grows_with_the_fingerprints():
+    assert [simhash.block_count(n) for n in (0, 10**6, 10**8, 10**10, 10**13)] == [6, 6, 7, 8, 8]
+
+
 def test_simhash_messy(messy, nothing):
     out = simhash.near_duplicates(messy).collect()
     assert len(out) == 10
