@@ -69,3 +69,17 @@ def region_and_border(a: DataFrame, b: DataFrame) -> DataFrame:
 
     out = common(a.select(*key), b.select(*key), "all").join(common(border(a.select(*key)), border(b.select(*key)), "edge"), ["clip_id", "frame_idx"])
     return out.select("clip_id", "frame_idx", F.round(F.col("all_ab") / (F.col("all_a") + F.col("all_b") - F.col("all_ab")), 6).alias("j"), F.round(F.coalesce(F.try_divide(2 * F.col("edge_ab"), F.col("edge_a") + F.col("edge_b")), F.lit(0.0)), 6).alias("f"))
+
+
+def short_events(facts: DataFrame) -> DataFrame:
+    """(clip_id, frame_idx, row, col): tiles that are active in one frame and in neither neighbour of it."""
+    w = Window.partitionBy("clip_id", "row", "col").orderBy("frame_idx")
+    busy = facts.select("clip_id", "frame_idx", "row", "col").distinct().withColumns({"before": F.lag("frame_idx").over(w), "after": F.lead("frame_idx").over(w)})
+    alone = (F.coalesce("before", F.lit(-2)) < F.col("frame_idx") - 1) & (F.col("after").isNull() | (F.col("after") > F.col("frame_idx") + 1))
+    return busy.filter(alone).select("clip_id", "frame_idx", "row", "col")
+
+
+def event_recall(events: DataFrame, kept: DataFrame, on: list[str]) -> DataFrame:
+    """(n_events, hits, recall): share of events that a sample hits; no events, no recall."""
+    seen = events.join(kept.select(*on).distinct().withColumn("hit", F.lit(1)), on, "left")
+    return seen.agg(F.count("*").alias("n_events"), F.count("hit").alias("hits")).withColumn("recall", F.when(F.col("n_events") > 0, F.round(F.col("hits") / F.col("n_events"), 6)))

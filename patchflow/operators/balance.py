@@ -77,3 +77,14 @@ def consistency(timeline: DataFrame, activity: DataFrame, width: int = 16) -> Da
     met = seg.join(act.hint("merge"), ["video_id", "block"], "left")
     inside = (F.col("t_s") >= F.col("start_s")) & (F.col("t_s") < F.col("end_s"))
     return met.groupBy("video_id", "seg_idx").agg(F.coalesce(F.sum(F.when(inside, F.col("amount"))), F.lit(0)).cast("long").alias("activity"))
+
+
+def supplement(pool: DataFrame, scores: DataFrame, threshold: float, extra: int, used: Column, seed: int = 13) -> DataFrame:
+    """(sample_id, domain): up to ``extra`` unused rows, the first by md5 key, of each domain scored under the threshold.
+
+    A domain without a score is not drawn from; the rank filter becomes a group limit, so no domain is gathered whole.
+    """
+    weak = scores.filter(F.col("score") < threshold).select("domain")
+    w = Window.partitionBy("domain").orderBy(bucket("sample_id", seed=seed), "sample_id")
+    spare = pool.filter(~used).join(weak, "domain", "left_semi").select("sample_id", "domain")
+    return spare.withColumn("r", F.row_number().over(w)).filter(F.col("r") <= extra).select("sample_id", "domain")

@@ -57,3 +57,13 @@ def centroid_probe(features: DataFrame) -> DataFrame:
     test = features.filter("not train")
     guess = assign(test.select("sample_id", "q"), means.select(F.col("label").alias("center_id"), "p"))
     return test.join(guess, "sample_id").agg(F.count("*").alias("n"), F.count_if(F.col("label") == F.col("center_id")).alias("hits"))
+
+
+def attentive_pool(tokens: DataFrame, query: DataFrame, temperature: float = 0.1) -> DataFrame:
+    """(clip_id, dim, v): mean of a clip's vectors, weighted by the softmax of their product with a query.
+
+    tokens: (clip_id, x) of unit length, so that the exponent stays in range; query: one row (query).
+    """
+    dot = F.aggregate(F.zip_with("x", "query", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
+    weighed = tokens.crossJoin(F.broadcast(query)).select("clip_id", F.exp(dot / temperature).alias("w"), F.posexplode("x").alias("dim", "v"))
+    return weighed.groupBy("clip_id", "dim").agg((F.sum(F.col("w") * F.col("v")) / F.sum("w")).alias("v"))
