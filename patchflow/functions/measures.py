@@ -79,7 +79,10 @@ def short_events(facts: DataFrame) -> DataFrame:
     return busy.filter(alone).select("clip_id", "frame_idx", "row", "col")
 
 
-def event_recall(events: DataFrame, kept: DataFrame, on: list[str]) -> DataFrame:
-    """(n_events, hits, recall): share of events that a sample hits; no events, no recall."""
-    seen = events.join(kept.select(*on).distinct().withColumn("hit", F.lit(1)), on, "left")
-    return seen.agg(F.count("*").alias("n_events"), F.count("hit").alias("hits")).withColumn("recall", F.when(F.col("n_events") > 0, F.round(F.col("hits") / F.col("n_events"), 6)))
+def event_recall(events: DataFrame, hits: dict) -> DataFrame:
+    """One row: ``n_events`` and, under each name, the share of events for which its condition holds; no events, no share.
+
+    All schemes are judged in one pass over the events, joined before with whatever the conditions need.
+    """
+    n = F.count("*")
+    return events.agg(n.alias("n_events"), *[F.when(n > 0, F.round(F.count_if(c) / n, 6)).alias(k) for k, c in hits.items()])

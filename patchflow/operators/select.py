@@ -62,6 +62,12 @@ def capped_by(imp: DataFrame, tokens: DataFrame, gop: int = 16, frames: int = 64
     return chosen.join(used, "clip_id").filter(F.col("rank_in_clip") <= F.col("cap")).drop("cap")
 
 
+def uniform_indices(n: int, frames: int) -> list[int]:
+    """The frames of ``uniform_frames``; they are the same for every clip."""
+    m = min(n, frames)
+    return [((2 * i + 1) * frames) // (2 * m) for i in range(m)]
+
+
 def uniform_frames(clips: DataFrame, n: int, frames: int) -> DataFrame:
     """n frames at the middles of n equal parts; all frames if there are fewer."""
     m = min(n, frames)

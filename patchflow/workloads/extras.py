@@ -12,9 +12,7 @@ from ..shipping import ship_package
 from ..sources import adapters as A
 from ..sources.tilefeed import tile_feed
 from ..streaming import flows
-from . import features, gates, tokens
-
-BUDGETS = (4, 8, 16, 32, 64)
+from . import gates, tokens
 
 
 def _folder(spark, what):
@@ -24,15 +22,12 @@ def _folder(spark, what):
 
 def event_recall_short(spark, d):
     """Short events hit by the budgeted tiles and by uniform frames of as many tokens, N = 4 ... 64 frames."""
-    short = measures.short_events(A.tile_facts_events(spark, d))
-    ranked = select.topk_budget(tokens.importance_events(spark, d), 1 << 30, tokens.GOP, A.FRAMES, A.GRID)
-    tiles, out = A.GRID[0] * A.GRID[1], None
-    for n in BUDGETS:
-        codec = measures.event_recall(short, ranked.filter(F.col("rank_in_clip") <= n * tiles), list(select.KEY)).select("n_events", F.col("recall").alias("codec"))
-        flat = measures.event_recall(short, select.uniform_frames(tokens._clips(spark, d), n, A.FRAMES), ["clip_id", "frame_idx"]).select(F.col("recall").alias("uniform"))
-        part = codec.crossJoin(flat).select(F.lit(n).alias("n"), "n_events", "codec", "uniform")  # a row each
-        out = part if out is None else out.union(part)
-    return out
+    tiles = A.GRID[0] * A.GRID[1]
+    ranked = select.topk_budget(tokens.importance_events(spark, d), tokens.BUDGETS[-1] * tiles, tokens.GOP, A.FRAMES, A.GRID)
+    short = measures.short_events(A.tile_facts_events(spark, d)).join(ranked.select(*select.KEY, "rank_in_clip"), list(select.KEY), "left")
+    hits = {f"codec{n}": F.col("rank_in_clip") <= n * tiles for n in tokens.BUDGETS} | {f"uniform{n}": F.col("frame_idx").isin(select.uniform_indices(n, A.FRAMES)) for n in tokens.BUDGETS}
+    recall = measures.event_recall(short, hits)
+    return tokens.budget_rows(recall, ("n_events", lambda n: F.col("n_events")), *[(side, lambda n, side=side: F.col(f"{side}{n}")) for side in ("codec", "uniform")])
 
 
 def _pooled(spark, d):
@@ -126,7 +121,7 @@ def st_restart(spark, d):
 _F = (event_recall_short, attentive_pool_embeddings, attentive_probe_clips, supplement_documents, udaf_ap_grouped, udtf_shingles, cogroup_selectors, sql_views_budget, scan_partition_pruned, source_synthetic_tiles, st_late_drop, st_restart)
 QUERIES = {f.__name__: f for f in _F}
 
-_HITS = "round(nullif(count(*) filter ({cond}), -1) / nullif(count(*), 0)::double, 6)"
+_HITS = "round(count(*) filter ({cond}) / nullif(count(*), 0)::double, 6)"
 _KEY = 'x.clip_id = e.clip_id and x.frame_idx = e.frame_idx and x."row" = e."row" and x.col = e.col'
 SQL = {
     "event_recall_short": f"""with {tokens.RANKED_EVENTS},
@@ -134,7 +129,7 @@ SQL = {
       near as (select *, lag(frame_idx) over w b, lead(frame_idx) over w a from busy window w as (partition by clip_id, "row", col order by frame_idx)),
       e as (select clip_id, frame_idx, "row", col from near where (b is null or frame_idx - b > 1) and (a is null or a - frame_idx > 1)),
       hit as (select e.*, coalesce(x.rank_in_clip, 1 << 30) rk from e left join ranked x on {_KEY}) """ + " union all ".join(
-        f"""select {n} n, count(*) n_events, {_HITS.format(cond=f"rk <= {n * 20}")} codec, {_HITS.format(cond=f"frame_idx in (select {tokens.UNIFORM.format(n=n)} from range({n}) i(i))")} uniform from hit""" for n in BUDGETS),
+        f"""select {n} n, count(*) n_events, {_HITS.format(cond=f"rk <= {n * 20}")} codec, {_HITS.format(cond=f"frame_idx in (select {tokens.UNIFORM.format(n=n)} from range({n}) i(i))")} uniform from hit""" for n in tokens.BUDGETS),
     "attentive_pool_embeddings": """with e as (select vec_id, (i - 1)::int dim, embedding[i]::double v from embeddings, range(1, 65) t(i)),
       q as (select dim, avg(v) q from e group by 1), w as (select vec_id, exp(sum(v * q) / 0.1) w from e join q using (dim) group by 1)
       select vec_id // 8 clip_id, dim, round(sum(w * v) / sum(w), 6) v from e join w using (vec_id) group by 1, 2""",

@@ -86,18 +86,27 @@ def _canvas(n):
     return query
 
 
+BUDGETS = (4, 8, 16, 32, 64)
+
+
+def budget_rows(one_row, *columns):
+    """(n, columns ...): the columns c4, c8 ... of one row, one row a budget."""
+    return one_row.select(F.inline(F.array(*[F.struct(F.lit(n).alias("n"), *[make(n).alias(name) for name, make in columns]) for n in BUDGETS])))
+
+
 def budget_curve_events(spark, d):
-    """Importance caught by the budgeted selection and by uniform frames of as many tokens, N = 4 ... 64 frames."""
+    """Importance caught by the budgeted selection and by uniform frames of as many tokens, N = 4 ... 64 frames.
+
+    Each side is one aggregate over all budgets, so the selection is ranked once.
+    """
     imp = importance_events(spark, d)
-    total = imp.agg(F.sum("importance").alias("total"))
-    tiles, out = A.GRID[0] * A.GRID[1], None
-    ranked = select.topk_budget(imp, 1 << 30, GOP, A.FRAMES, A.GRID)
-    for n in (4, 8, 16, 32, 64):
-        codec = ranked.filter(F.col("rank_in_clip") <= n * tiles).agg(F.sum("importance").alias("codec"))
-        flat = imp.join(F.broadcast(select.uniform_frames(_clips(spark, d), n, A.FRAMES).select("clip_id", "frame_idx")), ["clip_id", "frame_idx"]).agg(F.sum("importance").alias("uniform"))
-        part = codec.crossJoin(flat).crossJoin(total).select(F.lit(n).alias("n"), F.round(F.col("codec") / F.col("total"), 6).alias("codec"), F.round(F.col("uniform") / F.col("total"), 6).alias("uniform"))
-        out = part if out is None else out.union(part)
-    return out
+    tiles = A.GRID[0] * A.GRID[1]
+    ranked = select.topk_budget(imp, BUDGETS[-1] * tiles, GOP, A.FRAMES, A.GRID)
+    mass = F.col("importance")
+    codec = ranked.agg(*[F.sum(F.when(F.col("rank_in_clip") <= n * tiles, mass)).alias(f"codec{n}") for n in BUDGETS])
+    flat = imp.agg(F.sum(mass).alias("total"), *[F.sum(F.when(F.col("frame_idx").isin(select.uniform_indices(n, A.FRAMES)), mass)).alias(f"uniform{n}") for n in BUDGETS])
+    one = codec.crossJoin(flat)  # a row each
+    return budget_rows(one, *[(side, lambda n, side=side: F.round(F.col(f"{side}{n}") / F.col("total"), 6)) for side in ("codec", "uniform")])
 
 
 def densest_segment_lineitem(spark, d):
