@@ -11,9 +11,9 @@ from pyspark.sql import DataFrame, SparkSession
 from patchflow.llm.bpe import token_digests
 from patchflow.llm.common import Scratch, read_table
 from patchflow.llm.decontam import drop_contaminated
+from patchflow.llm.jaccard import keep_one
 from patchflow.llm.pii import mask_personal_data
 from patchflow.llm.rules import filter_quality
-from patchflow.llm.simhash import keep_one
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
