@@ -3,9 +3,8 @@
 One pass measures every text and lists its lines as hashes (words lower-cased in A-Z, joined
 by one space).  Lines are counted per host (``source``) over distinct documents,
 a line above ``limit`` is removed, and a text that loses more than ``most_removed`` of
-its words is rejected.  Copies must not make each other look like boilerplate, so a
-document counts under the least line hash of its other lines, which exact copies share
-and near copies mostly share.
+its words is rejected.  Copies must not make each other look like boilerplate, so
+documents of the same words (lower-cased in A-Z) count as one; texts that differ in a word count each.
 
 Null texts have no words and fail the base rule.  A null source is a host of its own.
 Repeated rows get equal results; ties can't arise, as all figures are counts.
@@ -26,8 +25,8 @@ LEAST_WORDS = 50
 MOST_REPEATED_PERCENT = 50
 
 
-def _measure(texts: list[bytes]) -> tuple[list, list]:
-    """The counts of each text; its lines with words, as (numbers, hashes, words)."""
+def _measure(texts: list[bytes]) -> tuple:
+    """The counts of each text; its lines with words, as (numbers, hashes, words); the hash of all its words."""
     import numpy as np
 
     from .textkernel import BYTES_POW, WORDS_POW, Words, run_hash, with_doc
@@ -63,31 +62,28 @@ def _measure(texts: list[bytes]) -> tuple[list, list]:
     begins = np.concatenate([[0], ends[:-1]])
     line_ends = np.flatnonzero(buffer == 10)
     number = np.searchsorted(line_ends, start) - np.searchsorted(line_ends, plain.doc_start)[doc]
-    return [plain.count, chars, found, dup, repeat], [(number[a:b], line[a:b], (to_word - from_word)[a:b]) for a, b in zip(begins, ends)]
+    return [plain.count, chars, found, dup, repeat], [(number[a:b], line[a:b], (to_word - from_word)[a:b]) for a, b in zip(begins, ends)], run_hash(lower.word_sums(), lower.first[:-1], lower.first[1:], WORDS_POW).view(np.int64)
 
 
 def measured(docs: DataFrame) -> DataFrame:
-    """doc_id, k1, k2, host, the counts, and the lines: numbers, hashes, words, and the two least hashes."""
+    """doc_id, k1, k2, host, the counts, the lines: numbers, hashes, words, and the hash of all words."""
     fields = "doc_id long, k1 long, k2 long, host string, " + ", ".join(f"{c} long" for c in COUNTS)
-    schema = fields + ", line_no array<int>, line array<long>, line_words array<int>, least long, second long"
+    schema = fields + ", line_no array<int>, line array<long>, line_words array<int>, whole long"
 
     def run(batches: Iterator):
-        import numpy as np
         import pyarrow as pa
 
         kinds = [pa.list_(pa.int32()), pa.list_(pa.int64()), pa.list_(pa.int32())]
-        names = ["doc_id", "k1", "k2", "host", *COUNTS, "line_no", "line", "line_words", "least", "second"]
+        names = ["doc_id", "k1", "k2", "host", *COUNTS, "line_no", "line", "line_words", "whole"]
         for batch in batches:
             for first, texts in row_groups(as_bytes(batch.column(4))):
-                counts, lines = _measure(texts)
-                smallest = [np.unique(h)[:2] for _, h, _ in lines]
+                counts, lines, whole = _measure(texts)
                 yield pa.RecordBatch.from_arrays(
                     [
                         *(batch.column(i).slice(first, len(texts)) for i in range(4)),
                         *(pa.array(c, pa.int64()) for c in counts),
                         *(pa.array([x[k] for x in lines], t) for k, t in enumerate(kinds)),
-                        pa.array([int(s[0]) if len(s) else None for s in smallest], pa.int64()),
-                        pa.array([int(s[-1]) if len(s) else None for s in smallest], pa.int64()),
+                        pa.array(whole),
                     ],
                     names,
                 )
@@ -104,14 +100,14 @@ def judged(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> tupl
     """
     scratch = Scratch(docs.sparkSession, "rules")
     table = scratch.save(measured(docs).withColumn("uid", F.monotonically_increasing_id()))
-    lines = table.select("uid", "k1", "k2", "host", "least", "second", F.explode(F.arrays_zip("line_no", "line", "line_words")).alias("x")).select("uid", "k1", "k2", "host", "x.line_no", "x.line", "x.line_words", F.when(F.col("x.line") == F.col("least"), F.col("second")).otherwise(F.col("least")).alias("counted_as"))
-    often = scratch.save(lines.select("host", "line", "counted_as").distinct().groupBy("host", "line").count().filter(F.col("count") > limit).select("host", "line"))
+    lines = table.select("uid", "k1", "k2", "host", "whole", F.explode(F.arrays_zip("line_no", "line", "line_words")).alias("x")).select("uid", "k1", "k2", "host", "whole", "x.*")
+    often = scratch.save(lines.select("host", "line", "whole").distinct().groupBy("host", "line").count().filter(F.col("count") > limit).select("host", "line"))
     gone = scratch.save(lines.join(often.hint("merge"), ["host", "line"], "left_semi").select("uid", "k1", "k2", "line_no", "line_words"))
     lost = gone.groupBy("uid").agg(F.sum("line_words").alias("lost"))
     removed = F.coalesce("lost", F.lit(0)).cast("long")
     failed = (F.col("n_words") < LEAST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED_PERCENT * F.col("n_words"))
     verdict = (
-        table.drop("line_no", "line", "line_words", "least", "second", "host")
+        table.drop("line_no", "line", "line_words", "whole", "host")
         .join(lost.hint("merge"), "uid", "left")
         .withColumn("base_failed", failed)
         .withColumn("n_line_words_removed", removed)

@@ -333,6 +333,16 @@ def test_boilerplate_lines_go_and_copies_stay(spark):
     assert set(kept) == {*range(1, 31), *range(100, 130)} and "Subscribe" not in kept[3] and kept[100] == rows[30][1]
 
 
+def test_lines_that_travel_together_count_every_document(spark):
+    own = lambda i, n: " ".join(f"w{i}_{k}" for k in range(n))
+    menu = [own(f"m{k}", 6) for k in range(10)]
+    rows = [(i, "\n".join([*menu, own(f"a{i}", 30), own(f"b{i}", 30)]), "s") for i in range(150)]
+    rows += [(1000 + i, "\n".join(own(9999 + k, 20) for k in range(5)), "s") for i in range(150)]  # copies of one text
+    kept = {r.doc_id: r.text for r in rules.filter_quality(spark.createDataFrame(rows, "doc_id long, text string, source string"), limit=100).collect()}
+    assert len(kept) == 300 and kept[1000] == rows[150][1]
+    assert all(kept[i] == f"{own(f'a{i}', 30)}\n{own(f'b{i}', 30)}" for i in range(150))
+
+
 # 10
 
 
