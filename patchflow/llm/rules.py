@@ -2,8 +2,8 @@
 
 One pass measures every text and lists its lines as hashes (words lower-cased in A-Z, joined
 by one space).  Lines are counted per host (``source``) over distinct documents,
-a line above ``limit`` is removed, and a text that loses more than ``most_removed`` of
-its words is rejected.  Copies must not make each other look like boilerplate, so
+a line in more than ``SHARE`` of its host's documents, and in more than ``FLOOR`` of them, is removed
+(``limit`` sets a number for all hosts instead), and a text that loses more than ``most_removed`` of its words is rejected.  Copies must not make each other look like boilerplate, so
 documents of the same words (lower-cased in A-Z) count as one; texts that differ in a word count each.
 
 Null texts have no words and fail the base rule.  A null source is a host of its own.
@@ -18,11 +18,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, as_bytes, keyed_rows, map_arrow, no_null_id, read_table, row_groups
+from .simhash import SENT_KEYS
 
 SYMBOLS = "#*$%&|<>"
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 LEAST_WORDS = 50
 MOST_REPEATED_PERCENT = 50
+#: Share of a host's distinct documents, and least number, above which a line is boilerplate.
+SHARE, FLOOR = 0.05, 10
 
 
 def _measure(texts: list[bytes]) -> tuple:
@@ -93,7 +96,7 @@ def measured(docs: DataFrame) -> DataFrame:
     return map_arrow(keyed, run, schema)
 
 
-def judged(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> tuple[DataFrame, DataFrame]:
+def judged(docs: DataFrame, limit: int | None = None, most_removed: float = 0.7) -> tuple[DataFrame, DataFrame]:
     """The verdict of each row, and the lines removed as (k1, k2, line_no).
 
     Verdict rows: doc_id, k1, k2, the counts, base_failed, n_line_words_removed, kept.
@@ -101,7 +104,11 @@ def judged(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> tupl
     scratch = Scratch(docs.sparkSession, "rules")
     table = scratch.save(measured(docs).withColumn("uid", F.monotonically_increasing_id()))
     lines = table.select("uid", "k1", "k2", "host", "whole", F.explode(F.arrays_zip("line_no", "line", "line_words")).alias("x")).select("uid", "k1", "k2", "host", "whole", "x.*")
-    often = scratch.save(lines.select("host", "line", "whole").distinct().groupBy("host", "line").count().filter(F.col("count") > limit).select("host", "line"))
+    counts = lines.select("host", "line", "whole").distinct().groupBy("host", "line").count().filter(F.col("count") > (FLOOR if limit is None else limit))
+    if limit is None:  # hosts too small for the share to pass the floor need no size
+        large = scratch.save(table.filter("n_words > 0").select("host", "whole").distinct().groupBy("host").agg((SHARE * F.count("*")).alias("most")).filter(F.col("most") > FLOOR))
+        counts = counts.join(F.broadcast(large) if large.count() <= SENT_KEYS else large.hint("merge"), "host", "left").filter(F.col("count") > F.coalesce("most", F.lit(float(FLOOR))))
+    often = scratch.save(counts.select("host", "line"))
     gone = scratch.save(lines.join(often.hint("merge"), ["host", "line"], "left_semi").select("uid", "k1", "k2", "line_no", "line_words"))
     lost = gone.groupBy("uid").agg(F.sum("line_words").alias("lost"))
     removed = F.coalesce("lost", F.lit(0)).cast("long")
@@ -117,7 +124,7 @@ def judged(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> tupl
     return verdict, gone.select("k1", "k2", "line_no").distinct()
 
 
-def filter_quality(docs: DataFrame, limit: int = 100, most_removed: float = 0.7) -> DataFrame:
+def filter_quality(docs: DataFrame, limit: int | None = None, most_removed: float = 0.7) -> DataFrame:
     """The rows kept, without their removed lines; other columns as they were, n_chars (where present) anew if the text changed."""
     verdict, gone = judged(docs, limit, most_removed)
     fate = (

@@ -343,6 +343,14 @@ def test_lines_that_travel_together_count_every_document(spark):
     assert all(kept[i] == f"{own(f'a{i}', 30)}\n{own(f'b{i}', 30)}" for i in range(150))
 
 
+def test_line_limit_follows_the_host(spark):
+    own = lambda i, n: " ".join(f"w{i}_{k}" for k in range(n))
+    rows = [(i, ("all rights are kept by us\n" if i < 20 else "") + own(i, 60), "small") for i in range(60)]
+    rows += [(1000 + i, ("it was a good day\n" if i < 120 else "sign up for news\n" if i < 400 else "") + own(1000 + i, 60), "large") for i in range(3000)]
+    kept = {r.doc_id: r.text for r in rules.filter_quality(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()}
+    assert kept == {i: t if t.startswith(("w", "it")) else t.split("\n")[1] for i, t, _ in rows}
+
+
 # 10
 
 
