@@ -3,10 +3,12 @@
 Pages are read by one scan over tags, with a stack of open elements.  Three things leave the
 text: markup that never is text (scripts, styles, forms ...), elements that name themselves
 as furniture (nav, footer, aside, or such a word in class, id or role), and site templates:
-every element subtree outside the article is hashed, Spark counts on how many pages of its
-host a hash stands, and subtrees on ``many`` pages or more are deleted.  An article
-(``article``, ``main`` or role main) is the text itself and is never taken for a template; with
-no article the body is used.
+every element subtree is hashed, Spark counts on how many pages of its host a hash stands, and
+subtrees on ``many`` pages or more are deleted.  An article (``article``, ``main`` or role main) is
+the text itself and is never taken for a template as a whole.  What stands in it is counted apart,
+and pages with equal articles count as one there, so that copies of a page keep their text; inline
+elements amid text and table cells are parts of a sentence or row and go or stay with it.  With no
+article the body is used.
 
 The recurring hashes are sent to the executors while they are at most ``most_hashes``; beyond that
 each page gets its own by a join.
@@ -43,6 +45,8 @@ DROPPED = frozenset("head script style noscript template iframe noembed noframes
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 #: An opening tag that ends an open element of its own sort, up to the border given.
 ENDS = {"li": (("li",), ("ul", "ol", "menu")), "dt": (("dt", "dd"), ("dl",)), "dd": (("dt", "dd"), ("dl",)), "tr": (("tr",), ("table",)), "td": (("td", "th"), ("tr", "table")), "th": (("td", "th"), ("tr", "table")), "option": (("option",), ("select",))}
+#: Parts of a row, which alone are no template.
+CELLS = frozenset("td th".split())
 ENDS_P = BLOCK - {"body", "html", "td", "th", "tr", "tbody", "thead", "tfoot", "li", "dd", "dt", "legend", "summary"}
 SPACE = re.compile(r"\s+")
 
@@ -144,8 +148,11 @@ def _articles(root: Node) -> list[Node]:
     return []
 
 
-def subtree_hashes(root: Node) -> list[tuple[Node, int]]:
-    """Hashes of the subtrees outside articles, from tag, name, text and the hashes below; without a stack limit."""
+def subtree_hashes(root: Node) -> tuple[list[tuple[Node, int]], list[tuple[Node, int]], int]:
+    """Hashes of the subtrees outside articles, those inside, and the hash of the articles themselves.
+
+    Made from tag, name, text and the hashes below; without a stack limit.
+    """
     import xxhash
 
     order, stack = [], [root]
@@ -155,26 +162,43 @@ def subtree_hashes(root: Node) -> list[tuple[Node, int]]:
         stack.extend(c for c in node.children if type(c) is Node)
     hashes: dict[int, int] = {}
     holds: set[int] = set()
-    out = []
+    mixed: set[int] = set()
     for node in reversed(order):
         parts = [node.tag, node.name]
         inner = node.article
+        said = False
         for c in node.children:
             if type(c) is Node:
                 parts.append("%x" % hashes[id(c)])
                 inner |= id(c) in holds
             else:
                 parts.append(SPACE.sub(" ", c).strip())
+                said |= bool(parts[-1])
         hashes[id(node)] = xxhash.xxh64_intdigest("\x1f".join(parts).encode("utf-8", "replace"))
         if inner:
             holds.add(id(node))
-        elif node.children and node.tag not in ("#", "html", "body"):
-            out.append((node, hashes[id(node)]))
+        if said:
+            mixed.add(id(node))
+    signed = lambda h: h - (1 << 64) if h >> 63 else h
+    tops = _articles(root)
+    top_ids = {id(t) for t in tops}
+    body: set[int] = set()
     inside: set[int] = set()
+    out, within = [], []
     for node in order:  # parents first
-        if node.article or node.parent is not None and id(node.parent) in inside:
+        up = id(node.parent)
+        if node.article or up in inside:
             inside.add(id(node))
-    return [(node, h - (1 << 64) if h >> 63 else h) for node, h in out if id(node) not in inside]
+        if id(node) in top_ids or up in body:
+            body.add(id(node))
+        if not node.children or node.tag in ("#", "html", "body"):
+            continue
+        if id(node) in body:
+            if id(node) not in top_ids and node.tag not in CELLS and (node.tag in BLOCK or up not in mixed):
+                within.append((node, signed(xxhash.xxh64_intdigest(b"%x" % hashes[id(node)], 1))))
+        elif id(node) not in inside and id(node) not in holds:
+            out.append((node, signed(hashes[id(node)])))
+    return out, within, signed(xxhash.xxh64_intdigest(" ".join("%x" % hashes[id(t)] for t in tops)))
 
 
 def main_text(root: Node, deleted: set[int] = frozenset()) -> str:
@@ -207,17 +231,25 @@ def main_text(root: Node, deleted: set[int] = frozenset()) -> str:
     return "\n\n".join(blocks)
 
 
-def _page_hashes(pages: DataFrame) -> DataFrame:
-    """(host, hash, page): the distinct subtree hashes of each page."""
+def _page_hashes(pages: DataFrame, by_page: bool = False) -> DataFrame:
+    """(host, hash, page): the distinct subtree hashes of each page; of those inside articles the page is the hash of its articles, unless ``by_page``."""
 
     def run(batches: Iterator):
         import pyarrow as pa
 
         for batch in batches:
-            lists = [sorted({h for _, h in subtree_hashes(parse(t.decode("utf-8", "replace")))}) for t in as_bytes(batch.column(2))]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(lists, pa.list_(pa.int64()))], ["host", "page", "hashes"])
+            made = [subtree_hashes(parse(t.decode("utf-8", "replace"))) for t in as_bytes(batch.column(2))]
+            lists = [pa.array([sorted({h for _, h in m[k]}) for m in made], pa.list_(pa.int64())) for k in (0, 1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([m[2] for m in made], pa.int64()), *lists], ["host", "page", "article", "hashes", "within"])
+
+    made = map_arrow(pages.select("host", "page", "html"), run, "host string, page long, article long, hashes array<long>, within array<long>")
+    units = F.array(F.struct("page", "hashes"), F.struct(F.col("page" if by_page else "article").alias("page"), F.col("within").alias("hashes")))
+    return made.select("host", F.inline(units)).select("host", "page", F.explode("hashes").alias("hash"))
+
 
-    return map_arrow(pages.select("host", "page", "html"), run, "host string, page long, hashes array<long>").select("host", "page", F.explode("hashes").alias("hash"))
+def _all_hashes(root: Node) -> list[tuple[Node, int]]:
+    out, within, _ = subtree_hashes(root)
+    return out + within
 
 
 def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> DataFrame:
@@ -229,7 +261,8 @@ def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> Dat
     kept = [c for c in pages.columns if c not in ("html", "text")]
     c_host, c_page, c_html, c_seed, c_own = (fresh(c, pages.columns) for c in ("_host", "_page", "_html", "_seed", "_own"))
     keyed = pages.select(*[F.col(f"`{c}`") for c in kept], host.alias(c_host), F.xxhash64("url", html).alias(c_page), html.alias(c_html))
-    hashes = _page_hashes(keyed.select(F.col(c_host).alias("host"), F.col(c_page).alias("page"), F.col(c_html).alias("html")))
+    paged = keyed.select(F.col(c_host).alias("host"), F.col(c_page).alias("page"), F.col(c_html).alias("html"))
+    hashes = _page_hashes(paged)
     often = scratch.save(hashes.groupBy("host", "hash").agg(F.count_distinct("page").alias("n")).filter(F.col("n") >= many).select(F.xxhash64("host", "hash").alias("key"), "host", "hash"))
     n = often.count()
     if n <= most_hashes:  # 8 bytes each
@@ -237,7 +270,8 @@ def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> Dat
         rows = keyed.withColumn(c_seed, F.xxhash64(c_host))
         own = None
     else:
-        per_page = hashes.join(often.hint("merge"), ["host", "hash"], "left_semi").groupBy(F.col("page").alias(c_page)).agg(F.collect_set("hash").alias(c_own))
+        held = _page_hashes(paged, by_page=True)
+        per_page = held.join(often.hint("merge"), ["host", "hash"], "left_semi").groupBy(F.col("page").alias(c_page)).agg(F.collect_set("hash").alias(c_own))
         rows, shipped = keyed.join(per_page.hint("shuffle_hash"), c_page, "left"), None
         own = rows.columns.index(c_own)
     at = rows.columns.index(c_html)
@@ -255,10 +289,10 @@ def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> Dat
                     gone = set()
                     if shipped.value:
                         first = batch.column(seed)[i].as_py()
-                        gone = {id(node) for node, h in subtree_hashes(root) if spark_hash(h, first) in shipped.value}
+                        gone = {id(node) for node, h in _all_hashes(root) if spark_hash(h, first) in shipped.value}
                 else:
                     mine = set(batch.column(own)[i].as_py() or ())
-                    gone = {id(node) for node, h in subtree_hashes(root) if h in mine} if mine else set()
+                    gone = {id(node) for node, h in _all_hashes(root) if h in mine} if mine else set()
                 texts.append(main_text(root, gone))
             yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in picks), pa.array(texts, pa.string())], [*kept, "text"])
 

@@ -284,6 +284,16 @@ def test_site_templates_go(spark, most):
     assert all(t == ("shared" if i % 2 else f"page {i}") for i, t in got.items())
 
 
+@pytest.mark.parametrize("most", [500_000, 0])
+def test_templates_inside_articles_go_and_copies_stay(spark, most):
+    box = "<div class='x1'><h3>Get our letter</h3><p>Every week, no fee</p></div>"
+    page = "<html><body><article><h1>Title %s</h1><p>text %s says <b>this</b> well</p>%s<p>end %s</p></article></body></html>"
+    rows = [(i, f"http://h.org/{i}", page % (i, i, box, i)) for i in range(40)]
+    rows += [(100 + i, f"http://h.org/c{i}", page % ("c", "c", "", "c")) for i in range(40)]  # copies of one page
+    got = {r.page_id: r.text for r in htmltext.extract(spark.createDataFrame(rows, "page_id long, url string, html string"), most_hashes=most).collect()}
+    assert all(t == "Title {0}\n\ntext {0} says this well\n\nend {0}".format(i if i < 100 else "c") for i, t in got.items())
+
+
 # 8
 
 
