@@ -15,13 +15,13 @@ def near_dup_pairs_documents(spark, d):
 
 
 def near_dup_components_documents(spark, d):
-    return neardup.near_duplicates(A.samples(spark, d))
+    return neardup.near_duplicates(A.samples(spark, d), exact=True)
 
 
 def near_dup_kept(spark, d):
     """Texts before and after one of each component is kept, by language."""
     s = A.samples(spark, d)
-    c = neardup.near_duplicates(s).join(s.select("sample_id", "lang"), "sample_id")
+    c = neardup.near_duplicates(s, exact=True).join(s.select("sample_id", "lang"), "sample_id")
     return c.groupBy("lang").agg(F.count("*").alias("n"), F.count_if(F.col("sample_id") == F.col("component_id")).alias("kept"))
 
 

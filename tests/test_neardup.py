@@ -3,6 +3,7 @@
 import random
 
 from patchflow.operators import neardup
+from patchflow.workloads import neardups
 
 
 def plain(rows, n=5, threshold=0.8):
@@ -62,3 +63,14 @@ def test_long_chain_and_empty(spark):
     assert neardup.components(nodes, pairs).filter("component_id <> 0").count() == 0
     none = spark.createDataFrame([], "sample_id long, text string")
     assert neardup.near_duplicates(none).count() == 0
+
+
+def test_queries_lose_no_link_that_bands_miss(spark, monkeypatch, tmp_path):
+    rows = planted()
+    spark.createDataFrame([(i, t, "en") for i, t in rows], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    monkeypatch.setattr(neardup, "pairs_minhash", lambda sets: neardup.pairs_exact(sets).limit(0))  # bands that miss all
+    monkeypatch.setattr(neardups.A, "samples", lambda s, d: s.read.parquet(f"{d}/documents.parquet").withColumnRenamed("doc_id", "sample_id"))
+    _, want = plain(rows)
+    got = {x.sample_id: (x.class_id, x.links, x.component_id) for x in neardups.near_dup_components_documents(spark, str(tmp_path)).collect()}
+    assert got == want
+    assert [x.kept for x in neardups.near_dup_kept(spark, str(tmp_path)).collect()] == [sum(i == c for i, (_, _, c) in want.items())]
