@@ -46,6 +46,7 @@ SHARED = {
     "topk_per_group": "select l_suppkey, l_orderkey, l_partkey from (select *, row_number() over (partition by l_suppkey order by l_extendedprice desc, l_orderkey, l_linenumber, l_partkey, l_quantity) as r from lineitem) t where r <= 3",
     "agg_cube_domain_duration": "select lang, source, count(*) as n, cast(sum(n_chars) as bigint) as chars, cast(grouping(lang) as int) as all_langs, cast(grouping(source) as int) as all_sources from documents group by cube (lang, source)",
     "join_theta_pareto": "select a.p_partkey from (select p_partkey, p_size, p_retailprice from part where p_size <= 3) a where not exists (select 1 from (select p_size, max(p_retailprice) as best from part group by p_size) b where b.p_size <= a.p_size and b.best > a.p_retailprice)",
+    "join_theta_pareto_all_sizes": "select a.p_partkey from part a where not exists (select 1 from (select p_size, max(p_retailprice) as best from part group by p_size) b where b.p_size <= a.p_size and b.best > a.p_retailprice)",
     "join_asof_query": "select q_id, turn from (select event_id as q_id, is_query, max(case when is_query = 0 then event_id end) over (partition by clip order by event_id rows between unbounded preceding and current row) as turn from (select event_id, user_id % 16 as clip, case when event_type = 'signup' then 1 else 0 end as is_query from events) u) t where is_query = 1",
     "win_row_number_topk": "select clip, event_id from (select user_id % 16 as clip, event_id, row_number() over (partition by user_id % 16 order by value desc, event_id) as r from events) t where r <= 20",
     "set_union_byname": "select event_id as id, 'event' as kind from events union all select doc_id as id, 'text' as kind from documents",

@@ -53,3 +53,13 @@ def test_python_functions():
     a = pd.DataFrame({"frame_idx": [0, 1], "row": [0, 0], "col": [0, 0]})
     assert pyfuncs.agreement((7,), a, a.iloc[:1]).iloc[0].tolist() == [7, 2, 1, 1, 0.5]
     assert pyfuncs.agreement((7,), a.iloc[:0], a).iloc[0].tolist() == [7, 0, 2, 0, 0.0]
+
+
+def test_pareto_of_all_sizes(spark):
+    from patchflow.workloads import surface
+
+    d = "/root/testdata/sf0.01"
+    rows = [(r.p_partkey, r.p_size, r.p_retailprice) for r in spark.read.parquet(f"{d}/part.parquet").collect()]
+    want = {k for k, size, price in rows if not any(z <= size and p > price for _, z, p in rows)}
+    got = [r.p_partkey for r in surface.QUERIES["join_theta_pareto_all_sizes"](spark, d).collect()]
+    assert set(got) == want and len(got) == len(want) > 3
