@@ -8,11 +8,15 @@ import tempfile
 import uuid
 from collections.abc import Iterator
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..shipping import ship_package
 
+#: Rows of a join's one-row-a-key side that may be broadcast, after a count.
+SENT_KEYS = 1 << 16
+#: Keys that may be answered apart in a merge because they hold many rows: those of at least this share of all.
+HOT_SHARE, HOT_ROWS = 1024, 10_000
 #: Bytes of text that the numpy kernels take at a time (a longer text is taken alone).
 GROUP_BYTES = 1 << 19
 
@@ -70,12 +74,16 @@ class Scratch:
         self.saved = 0
         atexit.register(self.close)
 
-    def save(self, df: DataFrame) -> DataFrame:
+    def save(self, df: DataFrame, **counted) -> DataFrame:
+        """The table as read back, with ``rows``; ``counted`` names conditions whose rows are counted as it is written, in ``found``."""
         self.saved += 1
         path = f"{self.root}/t{self.saved}"
-        df.write.option("compression", "zstd").parquet(path)
+        seen = Observation()
+        watched = df.observe(seen, F.count(F.lit(1)).alias("rows"), *[F.count_if(c).alias(n) for n, c in counted.items()])
+        watched.write.option("compression", "zstd").parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
-        out._scratch_path = path
+        out._scratch_path, out.found = path, seen.get
+        out.rows = out.found["rows"]
         return out
 
     def drop(self, *tables: DataFrame) -> None:
@@ -87,6 +95,23 @@ class Scratch:
             delete_path(self.spark, self.root)
 
 
+def sized_join(left: DataFrame, right: DataFrame, on: list[str], scratch: Scratch, how: str = "inner", sent: int = SENT_KEYS, rows: int | None = None) -> DataFrame:
+    """``left`` joined (inner or left) with a table of one row a key; ``rows`` is its size where known.
+
+    Up to ``sent`` rows are broadcast, after a count.  Beyond that the tables are merged by key, but for keys
+    that hold 1 / HOT_SHARE of the rows of ``left`` or more: these, HOT_SHARE at most, are answered by a broadcast.
+    """
+    if (right.count() if rows is None else rows) <= sent:
+        return left.join(F.broadcast(right), on, how)
+    sizes = left.groupBy(*on).count()
+    most = max(HOT_ROWS, left.count() // HOT_SHARE)
+    hot = scratch.save(sizes.filter(F.col("count") >= most).select(*on))
+    if not hot.rows:
+        return left.join(right.hint("merge"), on, how)
+    first = left.join(F.broadcast(hot), on, "left_semi").join(F.broadcast(right.join(F.broadcast(hot), on, "left_semi")), on, how)
+    return left.join(F.broadcast(hot), on, "left_anti").join(right.hint("merge"), on, how).unionByName(first)
+
+
 def no_null_id(column: str = "doc_id"):
     """A join key that stands in for a null id."""
     return F.coalesce(F.col(column).cast("long"), F.lit(-(2**63)))

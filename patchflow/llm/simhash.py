@@ -1,23 +1,29 @@
 """SimHash near-duplicate groups.
 
 Fingerprints are made per text in Arrow batches.  Linking works on distinct
-fingerprints only, so copies cost one row:
+fingerprints only, so copies cost one row, and every step keeps members and labels, never pairs:
 
 * the 64 bits are cut in four blocks more than must agree; two fingerprints that differ in at
   most four bits leave enough blocks alike, so each choice of agreeing blocks gives one key: 15
   keys of 21 bits for up to some 30 million fingerprints, 35 of 27 bits and 70 of 32 bits beyond,
   so that the buckets stay small.  The links are the same for each number of blocks;
-* buckets of at most ``bucket`` fingerprints are compared pair by pair and verified;
-* fingerprints of larger buckets meet exactly, and linearly, at midpoints: two values are
-  within four bits if, and only if, some value is within two bits of both, so all
-  fingerprints that reach a midpoint are linked to the smallest one there.  The keys of large
-  buckets are broadcast while they are at most 65,536, and joined by merge beyond.
-
-Data-sized joins carry a merge hint: Spark takes the few rows before an explode for the size
-after it and would broadcast them.  Components come from label propagation with pointer jumping over tables in the shared
-folder.  Null and empty texts have fingerprint zero; a null id takes part, and is the
-smallest id of its group only if all ids there are null.  Repeated rows stay repeated.
-An empty table gives an empty result.
+* a bucket of m <= ``bucket`` fingerprints is compared whole, and only a spanning forest of what is
+  linked there leaves it (m - 1 edges at most).  A crowded bucket is dealt into parts of about
+  half that size, each treated so; what one family holds mostly becomes one component here;
+* what is left to do in a crowded bucket is to link different components.  Where all but
+  ``bucket`` of its members are of one component, these few are compared with all;
+* in other crowded buckets, fingerprints meet at midpoints: two values are within four bits if,
+  and only if, some value is within two bits of both.  Midpoints that one component alone
+  reaches go; at the others each component is hooked to the least one it meets, until none meet.
+
+Each step is exact, has no cap, and is linear in the fingerprints.
+
+Components are found by hooking each node to its least neighbour, following the
+hooks to their roots, and contracting, over tables in the shared folder.  Null and empty texts have
+fingerprint zero; a null id takes part, and is the smallest id of its group only if all ids
+there are null.  Repeated rows stay repeated.  Of ties in ``keep_one`` the row with the least text hash stays, of equal
+rows one.  Very long texts are read in pieces of 4,096 shingles.  Columns of the input never clash
+with ours.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -28,11 +34,11 @@ from itertools import combinations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, keyed_rows, map_arrow, read_table
+from .common import SENT_KEYS, Scratch, as_bytes, keyed_rows, map_arrow, read_table, sized_join
 
 BITS = 64
-#: Keys of large buckets that may be broadcast.
-SENT_KEYS = 1 << 16
+#: Lists of at most ``bucket`` fingerprints that may be broadcast.
+SENT_LISTS = 1 << 12
 
 
 def fingerprint(text: bytes, shingle: int, seed: int = 42) -> int:
@@ -75,15 +81,15 @@ def with_fingerprints(docs: DataFrame, shingle: int = 4) -> DataFrame:
 
 
 def block_keys(fp, blocks: int, agree: int) -> list:
-    """One long per choice of ``agree`` blocks: its number and the bits of these blocks."""
+    """One long per choice of ``agree`` blocks: its number and the bits of these blocks (under 48)."""
     edges = [round(i * BITS / blocks) for i in range(blocks + 1)]
     keys = []
     for k, chosen in enumerate(combinations(range(blocks), agree)):
-        key = F.lit(k).cast("long")
+        key = F.lit(0).cast("long")
         for b in chosen:
             width = edges[b + 1] - edges[b]
             key = F.shiftleft(key, width).bitwiseOR(F.shiftrightunsigned(fp, edges[b]).bitwiseAND(F.lit((1 << width) - 1).cast("long")))
-        keys.append(key)
+        keys.append(key.bitwiseOR(F.lit(k << 48).cast("long")))  # the number above all bits: choices may differ in width
     return keys
 
 
@@ -101,49 +107,137 @@ def block_count(fingerprints: int, distance: int = 4, mean: int = 16) -> int:
     return distance + agree
 
 
+def _forest(lists: DataFrame, distance: int) -> DataFrame:
+    """Edges (a, b), a > b: a spanning forest of the links within each list ``m`` of fingerprints."""
+
+    def run(batches: Iterator):
+        import numpy as np
+        import pyarrow as pa
+
+        for batch in batches:
+            column = batch.column(0)
+            bounds = np.asarray(column.offsets)
+            flat = column.values.to_numpy(zero_copy_only=False)
+            size = np.diff(bounds)
+            made = []
+            for n in np.unique(size).tolist():
+                starts = bounds[:-1][size == n]
+                step = max(1, (1 << 20) // (n * n))
+                for i in range(0, len(starts) if n > 1 else 0, step):
+                    m = np.sort(flat[starts[i : i + step, None] + np.arange(n)], axis=1)
+                    near = np.bitwise_count((m[:, :, None] ^ m[:, None, :]).view(np.uint64)) <= distance  # unsigned: of a signed value it counts the magnitude's bits
+                    some = near.sum(axis=(1, 2)) > n
+                    m, near = m[some], near[some]
+                    label = np.broadcast_to(np.arange(n), m.shape)
+                    while len(m):
+                        lower = np.where(near, label[:, None, :], n).min(axis=2)
+                        if (lower == label).all():
+                            break
+                        label = lower
+                    row, place = np.nonzero(label != np.arange(n))
+                    made.append((m[row, place], m[row, label[row, place]]))
+            if made:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in zip(*made)], ["a", "b"])
+
+    return map_arrow(lists.select("m"), run, "a long, b long")
+
+
+def _midpoints(many: DataFrame, bits: int) -> DataFrame:
+    """(label, mid) for all values within ``bits`` of the fingerprints of ``many`` (label, fp)."""
+
+    def run(batches: Iterator):
+        import numpy as np
+        import pyarrow as pa
+
+        masks = np.array(midpoint_masks(bits), np.int64)
+        for batch in batches:
+            label, fp = (batch.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+            for i in range(0, len(fp), 64):
+                mid = fp[i : i + 64, None] ^ masks
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(label[i : i + 64], len(masks))), pa.array(mid.ravel())], ["label", "mid"])
+
+    return map_arrow(many.select("label", "fp"), run, "label long, mid long")
+
+
+def _crowded(members: DataFrame, distance: int, bucket: int, scratch: Scratch, sent: int) -> DataFrame:
+    """Edges between the labels of ``members`` (key, fp, label), the members of crowded buckets."""
+    per = members.groupBy("key", "label").count().groupBy("key").agg(F.max_by("label", F.struct("count", "label")).alias("main"), (F.sum("count") - F.max("count")).alias("others"))
+    per = scratch.save(per.filter("others > 0"))
+    mixed = scratch.save(sized_join(members, per, ["key"], scratch, sent=sent, rows=per.rows))
+    if not mixed.rows:
+        return mixed.select(F.col("label").alias("a"), F.col("fp").alias("b"))
+    few = mixed.filter((F.col("others") <= bucket) & (F.col("label") != F.col("main")))
+    lists = scratch.save(few.groupBy("key").agg(F.collect_list(F.struct("fp", "label")).alias("m")))
+    met = sized_join(mixed.filter(F.col("others") <= bucket).select("key", "fp", "label"), lists, ["key"], scratch, sent=min(sent, SENT_LISTS), rows=lists.rows)
+    close = F.filter("m", lambda x: (x["label"] != F.col("label")) & (F.bit_count(x["fp"].bitwiseXOR(F.col("fp"))) <= distance))
+    edges = met.select("label", F.explode(close).alias("x")).select(F.greatest("label", "x.label").alias("a"), F.least("label", "x.label").alias("b")).distinct()
+    out = scratch.save(edges)
+    many = scratch.save(mixed.filter(F.col("others") > bucket).select("fp", "label").distinct())
+    if not many.rows:
+        return out
+    reached = _midpoints(many, distance // 2)
+    ends = (F.min("label").alias("low"), F.max("label").alias("top"))
+    shared = reached.groupBy("mid").agg(*ends).filter("low < top").select("mid")
+    reached = scratch.save(reached.join(shared.hint("merge"), "mid", "left_semi").distinct())
+    while True:
+        low = reached.groupBy("mid").agg(*ends).filter("low < top").select("mid", "low")
+        hooks = scratch.save(reached.join(low.hint("merge"), "mid").filter("low < label").groupBy(F.col("label").alias("a")).agg(F.min("low").alias("b")))
+        if not hooks.rows:
+            return out
+        out = scratch.save(out.union(hooks))
+        roots = components(hooks.sparkSession, hooks, scratch, sent).select(F.col("node").alias("label"), F.col("label").alias("root"))
+        reached = scratch.save(sized_join(reached, roots, ["label"], scratch, "left", sent).select("mid", F.coalesce("root", "label").alias("label")).distinct())
+
+
 def link_fingerprints(spark, distinct: DataFrame, scratch: Scratch, distance: int = 4, blocks: int | None = None, bucket: int = 64, sent: int = SENT_KEYS) -> DataFrame:
     """Edges (a, b), a > b, whose components are those of all pairs within ``distance`` bits."""
     blocks = blocks or block_count(distinct.count(), distance)
     keys = distinct.select("fp", F.explode(F.array(*block_keys(F.col("fp"), blocks, blocks - distance))).alias("key"))
-    hot = scratch.save(keys.groupBy("key").count().filter(F.col("count") > bucket).select("key"))
-    n_hot = hot.count()
-    crowded = F.broadcast(hot) if n_hot <= sent else hot.hint("merge")
-    small = keys.join(crowded, "key", "left_anti")
-    lists = small.groupBy("key").agg(F.collect_list("fp").alias("m")).filter(F.size("m") > 1)
-    near = lists.select("m", F.explode("m").alias("a")).select(
-        "a", F.explode(F.filter("m", lambda x: (x < F.col("a")) & (F.bit_count(x.bitwiseXOR(F.col("a"))) <= distance))).alias("b")
-    )
-    edges = near.distinct()
-    if n_hot:
-        dense = scratch.save(keys.join(crowded, "key", "left_semi").select("fp").distinct())
-        masks = F.array(*[F.lit(m).cast("long") for m in midpoint_masks(distance // 2)])
-        reached = dense.select("fp", F.explode(masks).alias("mask")).select("fp", F.col("fp").bitwiseXOR(F.col("mask")).alias("mid"))
-        least = scratch.save(reached.groupBy("mid").agg(F.min("fp").alias("b"), F.max("fp").alias("top")).filter("b < top").select("mid", "b"))
-        # a fingerprint's least partners, one per midpoint, are linked through the least of them: few pairs, as most agree
-        stars = reached.join(least.hint("merge"), "mid").groupBy("fp").agg(F.min("b").alias("b"), F.collect_set("b").alias("others"))  # one per mask at most
-        ties = stars.select(F.col("fp").alias("a"), "b").union(stars.select(F.explode("others").alias("a"), "b"))
-        edges = edges.union(ties.filter("a > b")).distinct()
-    return scratch.save(edges)
-
-
-def components(spark, edges: DataFrame, scratch: Scratch) -> DataFrame:
-    """(node, label): label is the smallest node of the component; only nodes with an edge.
-
-    Each round lowers a node's label to the least label of its neighbours and
-    then to that label's own label, until no label moves.
+    hot = scratch.save(keys.groupBy("key").count().filter(F.col("count") > bucket).select("key", F.ceil(2 * F.col("count") / bucket).alias("parts")))
+    dealt = scratch.save(sized_join(keys, hot, ["key"], scratch, "left", sent, hot.rows)) if hot.rows else keys
+    part = F.pmod(F.xxhash64("fp"), F.coalesce("parts", F.lit(1))) if hot.rows else F.lit(0)
+    lists = dealt.groupBy("key", part.alias("part")).agg(F.collect_list("fp").alias("m")).filter(F.size("m") > 1)
+    edges = scratch.save(_forest(lists, distance).distinct())
+    if not hot.rows:
+        return edges
+    labels = components(spark, edges, scratch, sent)
+    members = dealt.filter("parts is not null").select("key", "fp").join(labels.withColumnRenamed("node", "fp").hint("merge"), "fp", "left")
+    members = scratch.save(members.select("key", "fp", F.coalesce("label", "fp").alias("label")))
+    return edges.union(_crowded(members, distance, bucket, scratch, sent))
+
+
+def components(spark, edges: DataFrame, scratch: Scratch, sent: int = SENT_KEYS) -> DataFrame:
+    """(node, label) for edges (a, b), a > b: label is the smallest node of the component; the smallest nodes themselves are left out.
+
+    Each round hooks every node to its least neighbour below it, replaces the hooks by their
+    roots, and goes on with the edges between different roots.
     """
-    both = scratch.save(edges.select(F.col("a").alias("node"), F.col("b").alias("other")).union(edges.select("b", "a")))
-    labels = scratch.save(both.groupBy("node").agg(F.min("other").alias("o")).select("node", F.least("node", "o").alias("label")))
+    rounds = []
     while True:
-        told = both.join(labels.select(F.col("node").alias("other"), "label").hint("merge"), "other").groupBy("node").agg(F.min("label").alias("told"))
-        lower = scratch.save(labels.join(told.hint("merge"), "node").select("node", F.least("label", "told").alias("near"), F.col("label").alias("was")))
-        jump = lower.select(F.col("node").alias("near"), F.col("near").alias("far"))
-        after = scratch.save(lower.join(jump.hint("merge"), "near", "left").select("node", F.least("near", F.coalesce("far", "near")).alias("label"), "was"))
-        moved = after.filter(F.col("label") != F.col("was")).limit(1).count()
-        scratch.drop(labels, lower)
-        labels = after
-        if not moved:
-            return labels.select("node", "label")
+        up = scratch.save(edges.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("label")))
+        n, higher = up.rows, True
+        while n and higher:  # two hooks at a time
+            hooks = lambda near, far, up=up: up.select(F.col("node").alias(near), F.col("label").alias(far))
+            climbed = sized_join(sized_join(up, hooks("label", "far"), ["label"], scratch, "left", sent, n), hooks("far", "top"), ["far"], scratch, "left", sent, n)
+            up = scratch.save(climbed.select("node", F.coalesce("top", "far", "label").alias("label"), F.col("top").isNotNull().alias("higher")), higher=F.col("higher"))
+            higher = up.found["higher"]
+        up = up.select("node", "label")
+        if not n:
+            break
+        rounds.append((up, n))
+        here = sized_join(edges, up.select(F.col("node").alias("a"), F.col("label").alias("x")), ["a"], scratch, "left", sent, n).select("x", "b")
+        there = sized_join(here, up.select(F.col("node").alias("b"), F.col("label").alias("y")), ["b"], scratch, "left", sent, n).select("x", F.coalesce("y", "b").alias("y"))
+        edges = scratch.save(there.filter("x != y").select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct())
+        if not edges.rows:
+            break
+    if not rounds:
+        return spark.createDataFrame([], "node long, label long")
+    out, n = rounds.pop()
+    while rounds:
+        first, more = rounds.pop()
+        n += more
+        out = scratch.save(sized_join(first, out.select(F.col("node").alias("label"), F.col("label").alias("far")), ["label"], scratch, "left", sent, n - more).select("node", F.coalesce("far", "label").alias("label")).union(out))
+    return out
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, blocks: int | None = None, bucket: int = 64) -> DataFrame:
@@ -153,10 +247,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, distance: int = 4, blocks
     made = scratch.save(with_fingerprints(docs, shingle))
     distinct = scratch.save(made.groupBy("fp").agg(F.min("doc_id").alias("least")))
     labels = components(spark, link_fingerprints(spark, distinct.select("fp"), scratch, distance, blocks, bucket), scratch)
-    named = distinct.join(labels.withColumnRenamed("node", "fp").hint("merge"), "fp", "left").select("fp", F.coalesce("label", "fp").alias("label"), "least")
+    named = scratch.save(sized_join(distinct, labels.withColumnRenamed("node", "fp"), ["fp"], scratch, "left").select("fp", F.coalesce("label", "fp").alias("label"), "least"))
     of_label = scratch.save(named.groupBy("label").agg(F.min("least").alias("component_id")))
-    of_fp = scratch.save(named.join(of_label.hint("merge"), "label").select("fp", "label", "component_id"))
-    return made.join(of_fp.hint("merge"), "fp").select("doc_id", "k2", "fp", "label", "component_id")
+    of_fp = scratch.save(sized_join(named, of_label, ["label"], scratch, rows=of_label.rows).select("fp", "label", "component_id"))
+    return sized_join(made, of_fp, ["fp"], scratch, rows=of_fp.rows).select("doc_id", "k2", "fp", "label", "component_id")
 
 
 def keep_one(docs: DataFrame, shingle: int = 4, distance: int = 4) -> DataFrame:

@@ -91,6 +91,46 @@ def test_fingerprint_links_equal_all_pairs(spark, bucket, blocks, sent):
         assert {got.get(v, v) for v in g} == {min(g)}
 
 
+def test_fingerprints_equal_plain_version(spark, messy):
+    """Every bit from its definition: words, shingles with repeats, strict majority."""
+    import xxhash
+
+    def plain(text):
+        words = WORD.findall((text or "").translate(LOWER))
+        shingles = [" ".join(words[i : i + 4]) for i in range(max(1, len(words) - 3))] if words else []
+        h = [xxhash.xxh64_intdigest(x.encode(), 42) for x in shingles]
+        return sum(1 << b for b in range(64) if 2 * sum(v >> b & 1 for v in h) > len(h))
+
+    rows = texts_of(spark)[:80] + [(10**6, "É a\u00a0b c\u2003d e"), (10**6 + 1, "a b"), (10**6 + 2, "x y z w " * 5), (10**6 + 3, None)] + [(10**6 + 4, messy.filter("doc_id = 6").first().text)]
+    got = {r.doc_id: r.fp % 2**64 for r in simhash.with_fingerprints(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {d: plain(t) for d, t in rows}
+
+
+def test_block_keys_of_different_choices_never_meet(spark):
+    rng = random.Random(8)
+    df = spark.createDataFrame([(rng.getrandbits(63),) for _ in range(300)], "fp long")
+    for blocks in (6, 7, 8):
+        keys = df.select(F.array(*simhash.block_keys(F.col("fp"), blocks, blocks - 4)).alias("k"))
+        assert keys.filter(F.size(F.array_distinct("k")) < F.size("k")).count() == 0
+
+
+def test_edges_of_one_family_grow_with_its_size(spark):
+    """A family of near fingerprints leaves a few edges a member, however large it is."""
+    rng = random.Random(5)
+    center = rng.getrandbits(63)
+    family = sorted({center ^ sum(1 << b for b in rng.sample(range(63), 3)) for _ in range(2400)})
+    rng.shuffle(family)
+    edges = []
+    for n in (500, 1000, 2000):
+        s = Scratch(spark, "t")
+        made = simhash.link_fingerprints(spark, spark.createDataFrame([(v,) for v in family[:n]], "fp long"), s)
+        edges.append(made.count())
+        groups = {r.label for r in simhash.components(spark, made, s).collect()}
+        if n == 500:
+            assert len(groups) == sum(g > 1 for g in collections.Counter(components(family[:500])).values())
+    assert edges[2] <= 15 * 2000 and edges[2] <= 2.6 * edges[1] and edges[1] <= 2.6 * edges[0]
+
+
 def test_block_count_grows_with_the_fingerprints():
     assert [simhash.block_count(n) for n in (0, 10**6, 10**8, 10**10, 10**13)] == [6, 6, 7, 8, 8]
 
