@@ -17,6 +17,8 @@ from ..shipping import ship_package
 SENT_KEYS = 1 << 16
 #: Keys that may be answered apart in a merge because they hold many rows: those of at least this share of all.
 HOT_SHARE, HOT_ROWS = 1024, 10_000
+#: Bytes of an Arrow batch sent to a Python worker, so that long texts don't add up to more than a worker holds.
+BATCH_BYTES = 4 << 20
 #: Bytes of text that the numpy kernels take at a time (a longer text is taken alone).
 GROUP_BYTES = 1 << 19
 
@@ -45,8 +47,11 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def map_arrow(df: DataFrame, run, schema) -> DataFrame:
-    """mapInArrow with this package at hand on the executors."""
-    ship_package(df.sparkSession)
+    """mapInArrow with this package at hand on the executors, in batches of BATCH_BYTES (a longer row comes alone)."""
+    spark, limit = df.sparkSession, "spark.sql.execution.arrow.maxBytesPerBatch"
+    ship_package(spark)
+    if int(spark.conf.get(limit).rstrip("b")) > BATCH_BYTES:
+        spark.conf.set(limit, str(BATCH_BYTES))
     return df.mapInArrow(run, schema)
 
 

@@ -1,20 +1,24 @@
-"""Near-duplicate groups of the pipeline: five-word shingles, Jaccard of 0.8 or more, no link lost.
+"""Near-duplicate groups of the pipeline: SimHash candidates, five-word shingles, Jaccard of 0.8 or more, no link lost.
 
 A text is the set of hashes of its five-word runs (words lower-cased, cut at ASCII spaces; fewer
-words are one run).  Texts of equal sets are one node.  With o = the least overlap of a set of n
-at the threshold:
+words are one run), and its fingerprint the majority bits of these.  Texts of equal sets are one
+node.  Four differing bits see the closest pairs only: at a similarity of 0.8 some ten of 64 bits
+differ.  So fingerprints give the first links, and a prefix join those that the bits miss.  With
+o = the least overlap of a set of n at the threshold:
 
 * any global order may be used, and two linked sets share m or more of their first n - o + m
   members.  The first n - o + n/10 by hash value are counted, and a node with too few members
   that any other node has too can have no partner: most nodes leave here;
-* the rest are first linked to the leader of each MinHash bucket, verified, so that a family of
-  many near copies is mostly one component at linear cost;
+* the rest are first linked along the SimHash blocks of operator 2 and to the leader of each
+  MinHash bucket, verified, so that a family of many near copies is mostly one component at linear cost;
 * members held by one component only can't link two components.  They come first in the order,
   then the rarest; nodes of different components that share one of their first n - o + 1 members
   are compared.
 
 Every link is verified on whole sets.  Components are those of all pairs at the threshold.  Texts
-without words are one node, as copies are.
+without words are one node, as copies are.  A null id takes part; null texts are empty.  Of ties the row with the
+least text hash stays, of equal rows one.  Other columns are carried as they are, whatever their
+names.  Very long texts are sets like others.  An empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -24,8 +28,8 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, keyed_rows, map_arrow, row_groups
-from .simhash import SENT_KEYS, components
+from .common import SENT_KEYS, Scratch, as_bytes, keyed_rows, map_arrow, row_groups, sized_join
+from .simhash import components, link_fingerprints
 
 SHINGLE = 5
 #: MinHash buckets of a node, for the links to leaders; they only save work.
@@ -51,8 +55,22 @@ def shingle_sets(texts: list[bytes], shingle: int = SHINGLE) -> tuple:
     return h, np.searchsorted(doc, np.arange(w.n + 1))
 
 
+def majority_bits(h, bounds):
+    """Fingerprint of each set of hashes: a bit is 1 if set in over half of them; 0 for none."""
+    import numpy as np
+
+    n = np.diff(bounds)
+    some = np.flatnonzero(n)
+    out = np.zeros(len(n), np.uint64)
+    if len(some):
+        bits = np.unpackbits(h.astype(">i8").view(np.uint8).reshape(-1, 8), axis=1)
+        total = np.add.reduceat(bits, bounds[:-1][some], axis=0, dtype=np.int32)
+        out[some] = np.packbits(2 * total > n[some, None], axis=1).view(">u8").ravel()
+    return out.view(np.int64)
+
+
 def with_sets(docs: DataFrame) -> DataFrame:
-    """Rows (doc_id, k2, node, n, members, least): ``least`` holds the MinHash values."""
+    """Rows (doc_id, k2, node, n, members, least, fp): ``least`` holds the MinHash values."""
 
     def run(batches: Iterator):
         import numpy as np
@@ -77,13 +95,14 @@ def with_sets(docs: DataFrame) -> DataFrame:
                         pa.array(n.astype(np.int64)),
                         pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(h)),
                         pa.ListArray.from_arrays(pa.array(np.arange(0, least.size + 1, BUCKETS, dtype=np.int32)), pa.array(least.ravel().view(np.int64))),
+                        pa.array(majority_bits(h, bounds)),
                     ],
-                    ["doc_id", "k2", "node", "n", "members", "least"],
+                    ["doc_id", "k2", "node", "n", "members", "least", "fp"],
                 )
 
     text = F.col("text").cast("string")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("k2"), text.alias("text"))
-    return map_arrow(rows, run, "doc_id long, k2 long, node long, n long, members array<long>, least array<long>")
+    return map_arrow(rows, run, "doc_id long, k2 long, node long, n long, members array<long>, least array<long>, fp long")
 
 
 #: n - o + 1 of a set of n, o = ceil(0.8 n), and the lengths that go with it.
@@ -102,13 +121,23 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
 
 def partnered(made: DataFrame, scratch: Scratch) -> DataFrame:
-    """(node, n, members, least), one row a node, of the nodes that can have a partner."""
+    """(node, n, members, least, fp), one row a node, of the nodes that can have a partner."""
     each = made.select("node", F.explode(F.slice("members", F.lit(1), F.expr(f"cast({COUNTED} as int)"))).alias("x"))
     alone = each.groupBy("x").agg(F.min("node").alias("node"), F.max("node").alias("top")).filter("node = top").groupBy("node").agg(F.count("*").alias("own"))
     nodes = made.filter("n > 0").groupBy("node").agg(F.min("uid").alias("uid"), F.min("n").alias("n")).join(alone.hint("merge"), "node", "left")
     can = scratch.save(nodes.filter(f"{COUNTED} - coalesce(own, 0) >= {SHARED}").select("uid"))
-    few = can.count() <= SENT_KEYS
-    return scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least"))
+    few = can.rows <= SENT_KEYS
+    return scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least", "fp"))
+
+
+def block_pairs(sets: DataFrame, scratch: Scratch) -> DataFrame:
+    """Candidates (a, b) along operator 2's links of fingerprints; nodes of one fingerprint stand behind the least of them."""
+    held = scratch.save(sets.groupBy("fp").agg(F.min("node").alias("b")))
+    linked = link_fingerprints(sets.sparkSession, held.select("fp"), scratch)
+    same = sized_join(sets.select("fp", F.col("node").alias("a")), held, ["fp"], scratch, rows=held.rows).select("a", "b")
+    one, two = held.select(F.col("fp").alias("a"), F.col("b").alias("x")), held.select(F.col("fp").alias("b"), F.col("b").alias("y"))
+    over = sized_join(sized_join(linked, one, ["a"], scratch, rows=held.rows), two, ["b"], scratch, rows=held.rows)
+    return same.union(over.select(F.greatest("x", "y"), F.least("x", "y"))).filter("a > b")
 
 
 def edges(made: DataFrame, scratch: Scratch) -> DataFrame:
@@ -117,7 +146,8 @@ def edges(made: DataFrame, scratch: Scratch) -> DataFrame:
     sets = partnered(made, scratch)
     met = sets.select(F.col("node").alias("a"), F.posexplode("least").alias("k", "v"))
     leaders = met.groupBy("k", "v").agg(F.min("a").alias("b"), F.max("a").alias("top")).filter("b < top").select("k", "v", "b")
-    first = scratch.save(verified(met.join(leaders.hint("merge"), ["k", "v"]).filter("a > b").select("a", "b").distinct(), sets))
+    led = met.join(leaders.hint("merge"), ["k", "v"]).filter("a > b").select("a", "b")
+    first = scratch.save(verified(led.union(block_pairs(sets, scratch)).distinct(), sets))
     named = components(spark, first, scratch)
     part = F.coalesce("label", "node").alias("part")
     each = scratch.save(sets.join(named.hint("merge"), "node", "left").select("node", "n", part, "members"))
@@ -139,7 +169,7 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     scratch = Scratch(docs.sparkSession, "jaccard")
     made = scratch.save(with_sets(docs).withColumn("uid", F.monotonically_increasing_id()))
     labels = components(docs.sparkSession, edges(made, scratch), scratch)
-    return made.join(labels.hint("merge"), "node", "left").select("doc_id", "k2", F.coalesce("label", "node").alias("label"))
+    return sized_join(made, labels, ["node"], scratch, "left").select("doc_id", "k2", F.coalesce("label", "node").alias("label"))
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
