@@ -5,9 +5,15 @@ Arrivals are appended as small runs.  Runs of like size form a tier; when a tier
 ``fanout`` runs they are merged into files of about ``target`` bytes, and the next version of the
 manifest names the new run in place of the old ones.  A version is committed by renaming a
 finished file to a name that must not exist yet, so of two writers one fails and a reader
-sees either the old or the new state; runs not named by any manifest are rubbish
-that ``vacuum`` deletes.  Rows are copied as they are: nulls, ties and repeated rows stay, and an empty
-arrival adds no run.
+sees either the old or the new state.
+
+``vacuum`` keeps the last versions and what they name.  All other runs go, also those of
+writers that died or lost a race, once they are older than a grace period: until then they
+may be the work of a writer that has not committed, or be read under an older version.
+Compaction by itself deletes nothing.
+
+Rows are copied as they are: nulls, ties, repeated rows, very long texts and columns of any
+name stay.  An empty arrival adds no run, and an empty store reads as an empty table.
 
 DataFrame functions only; the driver handles names and sizes of runs.
 """
@@ -16,6 +22,7 @@ from __future__ import annotations
 
 import json
 import math
+import time
 import uuid
 from concurrent.futures import ThreadPoolExecutor
 from dataclasses import asdict, dataclass
@@ -23,7 +30,7 @@ from dataclasses import asdict, dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, filesystem, read_table
+from .common import Scratch, filesystem, fresh, read_table
 
 
 @dataclass(frozen=True)
@@ -90,12 +97,13 @@ class ShardStore:
             df.write.parquet(home)
             paths = [home]
         else:
-            df.withColumn("_arrival", arrival).write.partitionBy("_arrival").parquet(home)
+            name = fresh("_arrival", df.columns)
+            df.withColumn(name, arrival).write.partitionBy(name).parquet(home)
             fs, at = filesystem(self.spark, home)
             paths = sorted(s.getPath().toString() for s in fs.listStatus(at) if s.isDirectory())
-        fresh = [r for r in map(self._described, paths) if r]
+        arrived = [r for r in map(self._described, paths) if r]
         version = self.version()
-        self._commit(version + 1, self.runs(version) + fresh)
+        self._commit(version + 1, self.runs(version) + arrived)
         return version + 1
 
     def tier(self, run: Run) -> int:
@@ -109,8 +117,11 @@ class ShardStore:
         self.spark.read.schema(self.schema).parquet(*[r.path for r in runs]).coalesce(files).write.parquet(home)
         return self._described(home)
 
-    def compact(self) -> int:
-        """Merges full tiers until none is full; the groups of a round are merged side by side and committed together."""
+    def compact(self, keep: int | None = None, grace_s: float = 86400) -> int:
+        """Merges full tiers until none is full; the groups of a round are merged side by side and committed together.
+
+        With ``keep``, older versions and their runs are vacuumed after each commit.
+        """
         while True:
             version = self.version()
             runs = self.runs(version)
@@ -124,18 +135,37 @@ class ShardStore:
                 merged = list(pool.map(self._merge, groups))
             gone = {r.path for g in groups for r in g}
             self._commit(version + 1, [r for r in runs if r.path not in gone] + merged)
-            self.vacuum(version + 1)
-
-    def vacuum(self, keep: int) -> None:
-        """Deletes the runs that versions before ``keep`` alone name; readers of those must have ended."""
-        alive = {r.path for v in range(keep, self.version() + 1) for r in self.runs(v)}
-        for v in range(1, keep):
-            fs, at = filesystem(self.spark, self._manifest(v))
-            if fs.exists(at):
-                for r in self.runs(v):
-                    if r.path not in alive:
-                        filesystem(self.spark, r.path)[0].delete(filesystem(self.spark, r.path)[1], True)
-                fs.delete(at, False)
+            if keep is not None:
+                self.vacuum(keep, grace_s)
+
+    def vacuum(self, keep: int = 2, grace_s: float = 86400) -> list[str]:
+        """Deletes all but the last ``keep`` manifests, and every run older than ``grace_s`` seconds that these don't name; returns the runs deleted."""
+        last = self.version()
+        oldest = max(1, last - keep + 1)
+        alive = {r.path for v in range(oldest, last + 1) for r in self.runs(v)}
+        fs, at = filesystem(self.spark, f"{self.root}/manifest")
+        for s in fs.listStatus(at) if fs.exists(at) else []:
+            name = s.getPath().getName()
+            stale = s.getModificationTime() < 1000 * (time.time() - grace_s)
+            if name.endswith(".json") and name[:9].isdigit() and int(name[:9]) < oldest or name.startswith("draft-") and stale:
+                fs.delete(s.getPath(), False)
+        _, data = filesystem(self.spark, f"{self.root}/data")
+        gone = []
+        for home in fs.listStatus(data) if fs.exists(data) else []:
+            inside = [s for s in fs.listStatus(home.getPath()) if s.isDirectory() and "=" in s.getPath().getName()]
+            for run in inside or [home]:
+                named = {self._plain(run.getPath().toString())} & {self._plain(p) for p in alive}
+                if not named and run.getModificationTime() < 1000 * (time.time() - grace_s):
+                    fs.delete(run.getPath(), True)
+                    gone.append(run.getPath().toString())
+            if inside and not any("=" in s.getPath().getName() for s in fs.listStatus(home.getPath())):
+                fs.delete(home.getPath(), True)
+        return gone
+
+    @staticmethod
+    def _plain(path: str) -> str:
+        """A path without the differences in how schemes are written."""
+        return path.replace("///", "/").rstrip("/")
 
     def read(self, version: int | None = None) -> DataFrame:
         runs = self.runs(version)
@@ -144,13 +174,18 @@ class ShardStore:
         return self.spark.read.schema(self.schema).parquet(*[r.path for r in runs])
 
 
-def op10_sharding(spark, sf_dir: str) -> DataFrame:
-    """All documents, dealt into 16 arrivals, appended, compacted and read by the last manifest."""
+def sharded(spark, sf_dir: str, arrivals: int = 16) -> ShardStore:
+    """A store of all documents, dealt into arrivals by a hash of the id, appended in one go and compacted."""
     docs = read_table(spark, sf_dir, "documents")
     store = ShardStore(spark, Scratch(spark, "shards").root, docs.schema)
-    store.append(docs, F.pmod(F.spark_partition_id(), F.lit(16)))
-    store.compact()
-    return store.read().select("doc_id", "lang", "source", "n_chars", F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
+    store.append(docs, F.pmod(F.xxhash64("doc_id"), F.lit(arrivals)))
+    store.compact(keep=1, grace_s=0)  # nobody else reads or writes this store
+    return store
+
+
+def op10_sharding(spark, sf_dir: str) -> DataFrame:
+    """All documents as the last manifest names them: 16 arrivals, merged tier by tier."""
+    return sharded(spark, sf_dir).read().select("doc_id", "lang", "source", "n_chars", F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
 
 
 OP10_SQL = "select doc_id, lang, source, n_chars, sha256(text) as text_sha256 from documents"

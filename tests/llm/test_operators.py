@@ -422,3 +422,25 @@ def test_store_compacts_and_commits_versions(spark, messy):
 def test_empty_store(spark, messy):
     store = sharding.ShardStore(spark, Scratch(spark, "store").root, messy.schema)
     assert store.version() == 0 and store.read().count() == 0 and store.compact() == 0
+
+
+def test_documents_pass_through_versions_and_tiers(spark):
+    store = sharding.sharded(spark, "/root/testdata/sf0.01")
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    assert store.version() == 3 and len(store.runs()) == 1  # 16 arrivals, 4 runs, 1 run
+    assert store.runs()[0].files == 1 and not store.runs()[0].path.count("=")
+    assert store.read().exceptAll(docs).count() == 0 and docs.exceptAll(store.read()).count() == 0
+
+
+def test_vacuum_spares_readers_and_clears_what_died(spark, messy):
+    rows = messy.withColumn("_arrival", F.lit("own"))
+    store = sharding.ShardStore(spark, Scratch(spark, "store").root, rows.schema, fanout=2, target=1 << 20)
+    store.append(rows, F.coalesce(F.col("doc_id") % 2, F.lit(9)))
+    assert store.read().filter("_arrival = 'own'").count() == 10 and len(store.runs()) == 3
+    rows.write.parquet(f"{store.root}/data/died")  # a writer that never committed
+    old = store.read()
+    version = store.compact()
+    assert version > 1 and old.count() == 10  # a reader of the version before still reads
+    assert store.vacuum(2) == [] and old.count() == 10  # all within the grace period
+    gone = store.vacuum(1, grace_s=-5)
+    assert any(p.endswith("died") for p in gone) and store.read().count() == 10 and store.version() == version
