@@ -1,45 +1,41 @@
-"""URL filter by a Bloom filter cascade.
-
-Rules name a host and the start of a path.  What a rule can see of a url is its host and
-the first characters of its path; the distinct values of these are the key universe of
-the corpus.  Keys that the rules block are listed.  A first Bloom filter encodes the
-listed keys; the next one encodes the keys not listed that pass it; the next the listed keys that
-pass this one, and so on, until no key is wrong.  Over this universe membership is
-exact, and a scan needs no join.  Keys are 128-bit hashes.
+"""URL filter by Bloom filter cascades.
+
+Rules are rows (host, path, verdict) of a table of any size; a rule fits its host and all
+subdomains where the url's path starts with the rule's, and the longest decides.  What a rule can
+see of a url is a key: a suffix of its host, at a dot, and a start of its path as long as some rule's.
+The distinct keys of all urls are the key universe of the corpus.  For each verdict, those of
+them that are rules are listed.  A first Bloom filter encodes the listed keys; the next one encodes the
+keys not listed that pass it; the next the listed keys that pass this one, and so on, until no key is
+wrong.  Over this universe membership is exact: a scan asks the cascades for the keys of each url, longest
+first, and the first one listed names the rule.  The rules are joined with distinct keys once, to
+build the cascades, and never with urls.  Keys are 128-bit hashes.
 
 The filters together are at most ``most_bytes``; a larger universe is cut into shards by key hash,
-each with a cascade of its own, and the table is read once a shard.
+each with cascades of its own, asked one after the other.
 
-Null urls and urls without ``://`` have empty host and path, and no rule.
+Null urls and urls without ``://`` have empty host and path, and no rule.  Rules without a host
+are left out; a null path is ``/``; of rules with one key, and of rules of one length that fit a url, block goes first.
+Very long urls cost one key for each length of a rule's path.  Repeated rows get equal
+results, other columns stay (host, path, rule and verdict are replaced), and empty tables of
+urls or rules are fine.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, fresh, map_arrow, read_table
+from .common import Scratch, fresh, map_arrow, read_table, sized_join
 
 LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
-@dataclass(frozen=True)
-class Rule:
-    host: str
-    path: str
-    verdict: str
-
-    @property
-    def name(self) -> str:
-        return self.host + self.path
-
-
 # fixed values: the rules of the contract
-RULES = (Rule("net", "/", "block"), Rule("example.net", "/en/", "allow"), Rule("example.com", "/de/", "block"), Rule("org", "/fr/", "allow"))
+RULES = (("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.com", "/de/", "block"), ("org", "/fr/", "allow"))
+VERDICTS = ("block", "allow")
 
 
 def url_parts(url: Column) -> tuple[Column, Column]:
@@ -50,13 +46,36 @@ def url_parts(url: Column) -> tuple[Column, Column]:
     return F.translate(F.regexp_extract(rest, r"^[^/?#]*", 0), *LOWER), F.regexp_extract(rest, r"^[^/?#]*([^?#]*)", 1)
 
 
-def rule_of(host: Column, path: Column, rules: tuple[Rule, ...], value: str) -> Column:
-    """Name or verdict of the longest rule that fits; null if none does."""
-    out = F.lit(None).cast("string")
-    for r in sorted(rules, key=lambda r: len(r.name)):
-        fits = ((host == r.host) | host.endswith("." + r.host)) & path.startswith(r.path)
-        out = F.when(fits, F.lit(getattr(r, value))).otherwise(out)
-    return out
+def keys_of(host: str, path: str, lengths: list[int]) -> list[bytes]:
+    """What rules can see of a url, longest first."""
+    if not host:
+        return []
+    cuts = [0, *(i + 1 for i, c in enumerate(host) if c == "." and i + 1 < len(host))]
+    seen = [n for n in lengths if n <= len(path)]
+    ranked = sorted(((len(host) - c + n, n, c) for c in cuts for n in seen), reverse=True)
+    return [(host[c:] + path[:n]).encode() for _, n, c in ranked]
+
+
+def hashes_of(keys: list[bytes]):
+    """128 bits of each key, as two arrays of longs."""
+    import numpy as np
+    import xxhash
+
+    both = np.frombuffer(b"".join(xxhash.xxh3_128_digest(k) for k in keys), ">i8").reshape(-1, 2).astype(np.int64)
+    return np.ascontiguousarray(both[:, 0]), np.ascontiguousarray(both[:, 1])
+
+
+def rule_keys(rules: DataFrame) -> DataFrame:
+    """(h1, h2, verdict), one row a key."""
+
+    def run(batches: Iterator):
+        import pyarrow as pa
+
+        for batch in batches:
+            h1, h2 = hashes_of([(h + p).encode() for h, p in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())])
+            yield pa.RecordBatch.from_arrays([pa.array(h1), pa.array(h2), batch.column(2)], ["h1", "h2", "verdict"])
+
+    return map_arrow(rules, run, "h1 long, h2 long, verdict string").groupBy("h1", "h2").agg(F.max("verdict").alias("verdict"))  # block > allow
 
 
 class Filter:
@@ -139,39 +158,62 @@ def member(filters: list[Filter], h1, h2):
     return out
 
 
-def judge_urls(pages: DataFrame, url: str = "url", rules: tuple[Rule, ...] = RULES, most_bytes: int = 64 << 20) -> DataFrame:
-    """The rows with host, path, rule and verdict (replaced where present)."""
+def judge_urls(pages: DataFrame, url: str = "url", rules: DataFrame | None = None, most_bytes: int = 64 << 20) -> DataFrame:
+    """The rows with host, path, rule and verdict (replaced where present); ``rules`` are rows (host, path, verdict), by default RULES."""
     import pyarrow as pa
 
     spark = pages.sparkSession
     scratch = Scratch(spark, "urls")
+    if rules is None:
+        rules = spark.createDataFrame(RULES, "host string, path string, verdict string")
+    clean = rules.select(F.translate("host", *LOWER).alias("host"), F.coalesce("path", F.lit("/")).alias("path"), "verdict").filter((F.col("host") != "") & F.col("verdict").isin(*VERDICTS))
+    listed = scratch.save(rule_keys(clean))
+    lengths = sorted(r[0] for r in clean.select(F.length("path")).distinct().collect())  # lengths of paths, not paths
     host, path = url_parts(F.col(url).cast("string"))
     parted = pages.withColumns({"host": host, "path": path}).drop("rule", "verdict")
-    seen = F.substring("path", 1, max(len(r.path) for r in rules))
-    keys = [F.xxhash64(F.lit(seed), "host", seen) for seed in (11, 12)]
-    listed = F.coalesce(rule_of(F.col("host"), seen, rules, "verdict") == "block", F.lit(False))
-    universe = scratch.save(parted.groupBy(keys[0].alias("h1"), keys[1].alias("h2")).agg(F.bool_or(listed).alias("listed")))
-    n_in, n_out = universe.agg(F.count_if("listed"), F.count_if(~F.col("listed"))).first()
-    bytes_needed = 0.25 * n_in * (8 + max(0.0, math.log2(max(n_out, 1) / max(n_in, 1))))
+
+    def seen(batches: Iterator):
+        for batch in batches:
+            urls = set(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+            h1, h2 = hashes_of(sorted({k for h, p in urls for k in keys_of(h, p, lengths)}))
+            yield pa.RecordBatch.from_arrays([pa.array(h1), pa.array(h2)], ["h1", "h2"])
+
+    every = map_arrow(parted.select("host", "path"), seen, "h1 long, h2 long").distinct()
+    universe = scratch.save(sized_join(every, listed, ["h1", "h2"], scratch, "left", rows=listed.rows), listed=F.col("verdict").isNotNull())
+    n_in = universe.found["listed"]
+    bytes_needed = 0.25 * n_in * (8 + max(0.0, math.log2(max(universe.rows - n_in, 1) / max(n_in, 1))))
     shards = max(1, math.ceil(bytes_needed / most_bytes))
-    one, two = fresh("_h1", parted.columns), fresh("_h2", parted.columns)
-    rows = parted.withColumns({"rule": rule_of(F.col("host"), F.col("path"), rules, "name"), one: keys[0], two: keys[1]})
-    out = None
+    best, how = fresh("_rule", parted.columns), fresh("_verdict", parted.columns)
+    rows = parted.withColumns({best: F.lit(None).cast("string"), how: F.lit(None).cast("string")})
+    names = rows.columns
+    at = [names.index(c) for c in ("host", "path", best, how)]
     for s in range(shards):
-        shipped = spark.sparkContext.broadcast(build_cascade(universe.filter(F.pmod("h1", F.lit(shards)) == s), scratch))
-        part = rows.filter(F.pmod(one, F.lit(shards)) == s)
-        last = len(part.columns)
+        part = universe.filter(F.pmod("h1", F.lit(shards)) == s)
+        cascades = {v: build_cascade(part.select("h1", "h2", F.coalesce(F.col("verdict") == v, F.lit(False)).alias("listed")), scratch) for v in VERDICTS}
+        shipped = spark.sparkContext.broadcast(cascades)
 
-        def run(batches: Iterator, shipped=shipped, last=last):
-            for batch in batches:
-                h1, h2 = (batch.column(i).to_numpy(zero_copy_only=False) for i in (last - 2, last - 1))
-                blocked = member(shipped.value, h1, h2)
-                yield pa.RecordBatch.from_arrays([*batch.columns[: last - 2], pa.array(["block" if b else "allow" for b in blocked], pa.string())], [*batch.schema.names[: last - 2], "verdict"])
+        def run(batches: Iterator, shipped=shipped, s=s):
+            import numpy as np
 
-        schema = part.drop(one, two).schema.add("verdict", "string")
-        done = map_arrow(part, run, schema)
-        out = done if out is None else out.unionByName(done)
-    return out
+            for batch in batches:
+                hosts, paths, found, verdicts = (batch.column(k).to_pylist() for k in at)
+                keys = [keys_of(h, p, lengths) for h, p in zip(hosts, paths)]
+                flat = [k for ks in keys for k in ks]
+                row = np.repeat(np.arange(len(keys)), [len(ks) for ks in keys])
+                h1, h2 = hashes_of(flat)
+                mine = h1 % shards == s
+                for v in VERDICTS:
+                    hit = np.flatnonzero(mine)[member(shipped.value[v], h1[mine], h2[mine])]
+                    first = np.unique(row[hit], return_index=True)[1]  # keys stand longest first
+                    for k in hit[first].tolist():
+                        r, name = row[k], flat[k].decode()
+                        if found[r] is None or len(name) > len(found[r]):
+                            found[r], verdicts[r] = name, v
+                yield pa.RecordBatch.from_arrays([*batch.columns[: at[2]], pa.array(found, pa.string()), pa.array(verdicts, pa.string())], names)
+
+        rows = map_arrow(rows, run, rows.schema)
+    kept = [F.col(f"`{c}`") for c in parted.columns]
+    return rows.select(*kept, F.col(best).alias("rule"), F.coalesce(how, F.lit("allow")).alias("verdict"))
 
 
 def op4_url_filter(spark, sf_dir: str) -> DataFrame:

@@ -211,6 +211,37 @@ def test_urls(spark):
     assert urlfilter.judge_urls(pages.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("most_bytes", [64 << 20, 3000])
+def test_a_long_list_of_rules_equals_a_join(spark, most_bytes):
+    """100,000 rules of many hosts and path lengths, against candidates joined one by one; urls repeated and very long."""
+    rng = random.Random(12)
+    n = 100_000
+    rules = spark.range(n).select(
+        F.concat(F.lit("h"), (F.col("id") % 5000).cast("string"), F.lit(".Org")).alias("host"), F.concat(F.lit("/p"), F.expr("cast(id div 5000 as string)")).alias("path"), F.when(F.col("id") % 3 == 0, "allow").otherwise("block").alias("verdict")
+    ).union(spark.createDataFrame([("h7.org", "/p1", "allow"), (None, "/", "block"), ("org", None, "block"), ("h9.org", "/", "allow")], "host string, path string, verdict string"))
+    urls = [f"http://{rng.choice(['', 'a.', 'b.a.', 'x'])}h{rng.randrange(6000)}.{rng.choice(['org', 'ORG', 'net'])}/p{rng.randrange(30)}{rng.choice(['', '/q', '?p1'])}" for _ in range(3000)]
+    urls += urls[:5] + ["http://h1.org/p1" + "x" * 50_000, "http://h9.org/", "http://h7.org/p1"]
+    pages = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    got = {r.page_id: (r.rule, r.verdict) for r in urlfilter.judge_urls(pages, rules=rules, most_bytes=most_bytes).collect()}
+    table = {}
+    for r in rules.collect():
+        if r.host:
+            key = r.host.translate(LOWER) + (r.path or "/")
+            table[key] = "block" if table.get(key) == "block" else r.verdict
+    want = {}
+    for i, u in enumerate(urls):
+        rest = u.split("://", 1)[1]
+        host = re.match(r"[^/?#]*", rest)[0]
+        path = re.match(r"[^?#]*", rest[len(host) :])[0]
+        labels = host.translate(LOWER).split(".")
+        names = [".".join(labels[k:]) + path[:m] for k in range(len(labels)) for m in range(1, min(len(path), 8) + 1)]
+        fits = [x for x in names if x in table]
+        rule = max(fits, key=len) if fits else None
+        want[i] = (rule, table[rule] if rule else "allow")
+    assert got == want
+    assert {r.verdict for r in urlfilter.judge_urls(pages, rules=rules.limit(0)).collect()} == {"allow"}
+
+
 def test_cascade_is_exact(spark):
     keys = spark.range(5000).select(F.xxhash64("id").alias("h1"), F.xxhash64("id", F.lit(1)).alias("h2"), (F.col("id") % 7 == 0).alias("listed"))
     filters = urlfilter.build_cascade(keys, Scratch(spark, "t"))
