@@ -1,16 +1,20 @@
 """Quality classifier: random-indexing word vectors and a two-layer network.
 
-Every word (A-Z lower-cased) falls in one of ``WORDS`` hash slots, and every slot has a sparse random
-index vector.  Over all texts, a slot gathers the index vectors of its neighbours up to two words
-away; tasks add up their own texts and Spark sums a fixed number of slots, so the size does not
-grow with the corpus.  A text is the mean and spread of its slots' vectors, with a few
-shape figures (length, repetition, symbols).  A network of one hidden layer in numpy is fitted to
-a bounded sample of labelled rows and its scores are calibrated by a temperature on rows
-set aside.
+Every word (A-Z lower-cased) has a sparse random index vector, made from its hash.  Over all texts, the
+context vector of a word gathers the index vectors of its neighbours up to two words away; tasks
+add up their own texts and Spark sums the parts.  Context vectors stand in ``WORDS`` hash slots, so that the
+table sent to the executors is 34 MB whatever the corpus; words that meet in a slot share a
+vector, and the more frequent one makes most of it.  A text is pooled three ways: mean and spread of
+its words' vectors, and the mean product of the vectors of neighbours, which tells prose from lists and
+repetition.  Nothing else goes in.  A network of one hidden layer in numpy is fitted to a bounded sample
+of labelled rows and its scores are calibrated by a temperature on rows set aside.
 
 Labels are read only for the fit, and never for rows with crc32(doc_id) mod 3 = 1.  ``sample`` bounds
-the rows of the fit (the least by hash of doc_id).  Null and empty texts have zero vectors and get
-a score like others.  Without labels of both classes the score is the share of class 1, or 0.5.
+the rows of the fit: the least by hash of doc_id, found by counting hashes, so that only these come to the
+driver.  Null and empty texts have zero vectors and get a score like others; very long texts are one row
+of the same size.  Repeated rows get equal scores; there are no ties to break but equal hashes of ids, which
+are equal ids.  Null ids are never held out and have no label.  Other columns are not read.  Without labels of both
+classes the score is the share of class 1, or 0.5.  An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,21 +26,27 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, as_bytes, map_arrow, read_table, row_groups
 
-WORDS, WIDTH, NONZERO, REACH = 4096, 32, 4, 2
-SHAPE = 10
+WORDS, WIDTH, NONZERO, REACH = 1 << 18, 32, 4, 2
 
 
-def index_vectors():
-    """Places and signs of the nonzero entries of each slot."""
+def index_vectors(hashes):
+    """Places and signs of the nonzero entries of the words with these hashes."""
     import numpy as np
 
-    rng = np.random.default_rng(20)
-    return rng.permuted(np.tile(np.arange(WIDTH), (WORDS, 1)), axis=1)[:, :NONZERO], rng.choice([-1.0, 1.0], (WORDS, NONZERO))
+    from .textkernel import mix
+
+    h = mix(hashes ^ np.uint64(0x2545F4914F6CDD1D))[:, None] >> (np.arange(NONZERO, dtype=np.uint64) * np.uint64(6))
+    return (h & np.uint64(WIDTH - 1)).astype(np.int64), np.where(h >> np.uint64(5) & np.uint64(1), 1.0, -1.0)
+
+
+def slots(hashes):
+    import numpy as np
+
+    return (hashes % np.uint64(WORDS)).astype(np.int64)
 
 
 def context_sums(docs: DataFrame) -> DataFrame:
-    """(slot, n, c0 ... c31): uses of each slot and the sum of its neighbours' index vectors."""
-    names = [f"c{i}" for i in range(WIDTH)]
+    """(slot, n, c): uses of each slot and the sum of its neighbours' index vectors."""
 
     def run(batches: Iterator):
         import numpy as np
@@ -44,85 +54,76 @@ def context_sums(docs: DataFrame) -> DataFrame:
 
         from .textkernel import Words
 
-        place, sign = index_vectors()
-        total, uses = np.zeros(WORDS * WIDTH), np.zeros(WORDS, np.int64)
+        total, uses = np.zeros((WORDS, WIDTH), np.float32), np.zeros(WORDS, np.int64)
         for batch in batches:
             for _, texts in row_groups(as_bytes(batch.column(0))):
                 words = Words(texts, lower=True)
-                slot = (words.hash % np.uint64(WORDS)).astype(np.int64)
-                uses += np.bincount(slot, minlength=WORDS)
+                if not len(words.hash):
+                    continue
+                place, sign = index_vectors(words.hash)
+                mine, local = np.unique(slots(words.hash), return_inverse=True)
+                uses[mine] += np.bincount(local)
                 one, two = [], []
                 for d in range(1, REACH + 1):
                     same = np.flatnonzero(words.doc[d:] == words.doc[:-d])
-                    one += [slot[same], slot[same + d]]
-                    two += [slot[same + d], slot[same]]
+                    one += [local[same], local[same + d]]
+                    two += [same + d, same]
                 one, two = np.concatenate(one), np.concatenate(two)
+                found = np.zeros(len(mine) * WIDTH)
                 for k in range(NONZERO):
-                    total += np.bincount(one * WIDTH + place[two, k], weights=sign[two, k], minlength=WORDS * WIDTH)
+                    found += np.bincount(one * WIDTH + place[two, k], weights=sign[two, k], minlength=len(found))
+                total[mine] += found.reshape(-1, WIDTH)
         held = np.flatnonzero(uses)
-        table = total.reshape(WORDS, WIDTH)[held]
-        yield pa.RecordBatch.from_arrays([pa.array(held), pa.array(uses[held]), *(pa.array(np.ascontiguousarray(table[:, i])) for i in range(WIDTH))], ["slot", "n", *names])
+        for i in range(0, len(held), 8192):
+            part = held[i : i + 8192]
+            flat = pa.array(total[part].ravel())
+            yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(uses[part]), pa.FixedSizeListArray.from_arrays(flat, WIDTH).cast(pa.list_(pa.float32()))], ["slot", "n", "c"])
 
-    parts = map_arrow(docs.select(F.col("text").cast("string").alias("text")), run, "slot long, n long, " + ", ".join(f"{c} double" for c in names))
-    return parts.groupBy("slot").agg(F.sum("n").alias("n"), *[F.sum(c).alias(c) for c in names])
+    parts = map_arrow(docs.select(F.col("text").cast("string").alias("text")), run, "slot long, n long, c array<float>")
+    sums = [F.sum(F.get("c", F.lit(i))).cast("float").alias(f"c{i}") for i in range(WIDTH)]
+    return parts.groupBy("slot").agg(F.sum("n").alias("n"), *sums)
 
 
 def word_vectors(docs: DataFrame):
     """WORDS x WIDTH matrix of unit context vectors, rarer slots weighing more; fixed size whatever the corpus."""
     import numpy as np
 
-    vectors, uses = np.zeros((WORDS, WIDTH)), np.zeros(WORDS)
-    for r in context_sums(docs).collect():  # WORDS rows at most
-        uses[r[0]], vectors[r[0]] = r[1], r[2:]
-    vectors /= np.maximum(uses, 1)[:, None]
-    vectors -= (vectors * uses[:, None]).sum(0) / max(uses.sum(), 1)
+    vectors, uses = np.zeros((WORDS, WIDTH), np.float32), np.zeros(WORDS)
+    made = context_sums(docs).toArrow()  # WORDS rows at most
+    slot = made.column(0).to_numpy()
+    uses[slot] = made.column(1).to_numpy()
+    for i in range(WIDTH):
+        vectors[slot, i] = made.column(2 + i).to_numpy()
+    vectors /= np.maximum(uses, 1)[:, None].astype(np.float32)
+    vectors -= ((vectors * uses[:, None]).sum(0) / max(uses.sum(), 1)).astype(np.float32)
     vectors /= np.maximum(np.linalg.norm(vectors, axis=1, keepdims=True), 1e-9)
     rare = 1e-3 / (1e-3 + uses / max(uses.sum(), 1))
     return (vectors * rare[:, None]).astype(np.float32)
 
 
+FEATURES = 3 * WIDTH
+
+
 def _features(texts: list[bytes], vectors):
-    """One row per text: mean and spread of its words' vectors, then shape figures."""
+    """One row per text: mean and spread of its words' vectors, and the mean product of neighbours'."""
     import numpy as np
 
-    from .textkernel import Words, with_doc
+    from .textkernel import Words
 
     words = Words(texts, lower=True)
-    n = np.maximum(words.count, 1).astype(np.float64)
-    slot = (words.hash % np.uint64(WORDS)).astype(np.int64)
-    out = np.zeros((words.n, 2 * WIDTH + SHAPE), np.float32)
+    out = np.zeros((words.n, FEATURES), np.float32)
     some = np.flatnonzero(words.count)
     if len(some):
-        v = vectors[slot]
-        mean = np.add.reduceat(v, words.first[some], axis=0) / n[some, None]
-        square = np.add.reduceat(v * v, words.first[some], axis=0) / n[some, None]
+        n = words.count[some, None].astype(np.float64)
+        v = vectors[slots(words.hash)]
+        mean = np.add.reduceat(v, words.first[some], axis=0, dtype=np.float64) / n
+        square = np.add.reduceat(v * v, words.first[some], axis=0, dtype=np.float64) / n
+        beside = np.zeros_like(v)
+        same = np.flatnonzero(words.doc[1:] == words.doc[:-1])
+        beside[same] = v[same] * v[same + 1]
         out[some, :WIDTH] = mean
         out[some, WIDTH : 2 * WIDTH] = np.sqrt(np.maximum(square - mean * mean, 0))
-
-    def kinds(h, doc):
-        first = np.unique(with_doc(h, doc), return_index=True)[1]
-        return np.bincount(doc[first], minlength=words.n)
-
-    at, pair = words.windows(2)
-    b = words.buffer
-    chars = np.maximum(words.doc_end - words.doc_start, 1)
-    letter = ((b | 32) >= 97) & ((b | 32) <= 122) | (b >= 128)
-    single = words.end - words.start == 1
-    odd = ~letter & words.inside
-    doubled = odd[:-1] & (b[1:] == b[:-1])
-    shape = [
-        np.log1p(words.count),
-        kinds(words.hash, words.doc) / n,
-        kinds(pair, words.doc[at]) / np.maximum(words.count - 1, 1),
-        words.per_doc(odd) / chars,
-        words.per_doc(words.inside) / n / 10,
-        np.bincount(words.doc[single & odd[words.start]], minlength=words.n) / n if len(words.start) else np.zeros(words.n),
-        words.per_doc(np.append(doubled, False)) / n,
-        words.per_doc((b >= 65) & (b <= 90)) / chars,
-        words.per_doc((b >= 48) & (b <= 57)) / chars,
-        words.per_doc(b == 10) / n,
-    ]
-    out[:, 2 * WIDTH :] = np.stack(shape, axis=1)
+        out[some, 2 * WIDTH :] = np.add.reduceat(beside, words.first[some], axis=0, dtype=np.float64) / np.maximum(n - 1, 1)
     return out
 
 
@@ -212,6 +213,27 @@ def held_out():
     return F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
+def least_hashes(rows: DataFrame, sample: int, spare: int = 1000) -> DataFrame:
+    """The rows whose hash of doc_id is among the ``sample`` least, and up to ``spare`` more, by counts of hash prefixes."""
+    place = F.shiftrightunsigned(F.xxhash64("doc_id"), 1)
+    low, bits, need = 0, 63, sample
+    while bits:
+        step = min(12, bits)
+        inside = rows.select(place.alias("p")).filter((F.col("p") >= low) & (F.col("p") - low < 2**bits)) if bits < 63 else rows.select(place.alias("p"))
+        counts = sorted(inside.groupBy(F.shiftright(F.col("p") - low, bits - step).alias("k")).count().collect())  # 4,096 rows at most
+        if low == 0 and sum(n for _, n in counts) <= need:
+            return rows
+        bits -= step
+        for k, n in counts:
+            if n >= need:
+                break
+            need -= n
+        low += k << bits
+        if n - need <= spare:
+            break
+    return rows.filter(place - low < 2**bits)
+
+
 def score_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = 20_000) -> DataFrame:
     """doc_id, held_out, score, predicted for each row."""
     import numpy as np
@@ -219,8 +241,9 @@ def score_quality(docs: DataFrame, labels: DataFrame, label: str = "quality", sa
     scratch = Scratch(docs.sparkSession, "quality")
     table = scratch.save(with_features(docs, word_vectors(docs)))
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).filter(F.col("y").isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out())
-    rows = table.join(known.hint("merge"), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).collect()  # sample rows of 74 floats
-    x = np.array([r["x"] for r in rows], np.float32).reshape(len(rows), 2 * WIDTH + SHAPE)
+    chosen = table.join(least_hashes(known, sample).hint("merge"), "doc_id")
+    rows = sorted(chosen.select(F.xxhash64("doc_id").alias("h"), "doc_id", "y", "x").collect())[: sample]  # about ``sample`` rows of 96 floats
+    x = np.array([r["x"] for r in rows], np.float32).reshape(len(rows), FEATURES)
     shipped = docs.sparkSession.sparkContext.broadcast(Network().fit(x, [r["y"] for r in rows]))
 
     def run(batches: Iterator):

@@ -380,6 +380,23 @@ def test_quality_scores(spark, messy, nothing):
     assert {r.score for r in quality.score_quality(messy, labels.limit(0)).collect()} == {0.5}
 
 
+def test_least_hashes_are_chosen_by_counts(spark):
+    rows = spark.range(30000).select(F.col("id").alias("doc_id"))
+    want = {r.doc_id for r in rows.orderBy(F.shiftrightunsigned(F.xxhash64("doc_id"), 1)).limit(2000).collect()}
+    got = {r.doc_id for r in quality.least_hashes(rows, 2000, spare=20).collect()}
+    assert want <= got and len(got) <= 2020
+    assert quality.least_hashes(rows, 30000).count() == 30000 and quality.least_hashes(rows.limit(0), 5).count() == 0
+
+
+def test_quality_scores_are_calibrated_and_equal_for_repeated_rows(spark):
+    docs, labels = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    twice = docs.union(docs.limit(50))
+    rows = quality.score_quality(twice, labels, sample=150).join(labels, "doc_id", "left").collect()
+    assert len(rows) == docs.count() + 50 and len({(r.doc_id, r.score) for r in rows}) == docs.count()
+    known = [r for r in rows if r.held_out and r.quality is not None]
+    assert abs(sum(r.score for r in known) - sum(r.quality for r in known)) / len(known) < 0.1
+
+
 # 9
 
 
