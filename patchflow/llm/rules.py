@@ -1,13 +1,15 @@
 """Quality rules: per-text counts and cross-document line frequency.
 
 One pass measures every text and lists its lines as hashes (words lower-cased in A-Z, joined
-by one space).  Lines are counted per host (``source``) over distinct documents,
-a line in more than ``SHARE`` of its host's documents, and in more than ``FLOOR`` of them, is removed
-(``limit`` sets a number for all hosts instead), and a text that loses more than ``most_removed`` of its words is rejected.  Copies must not make each other look like boilerplate, so
-documents of the same words (lower-cased in A-Z) count as one; texts that differ in a word count each.
-
-Null texts have no words and fail the base rule.  A null source is a host of its own.
-Repeated rows get equal results; ties can't arise, as all figures are counts.
+by one space).  Lines are counted per host (``source``) over distinct documents; a line in more
+than ``SHARE`` of its host's documents, and in more than ``FLOOR`` of them, is removed
+(``limit`` sets a number for all hosts instead), and a text that loses more than ``most_removed`` of
+its words is rejected.  Copies must not make each other look like boilerplate, so documents of
+the same words (lower-cased in A-Z) count as one; texts that differ in a word count each.
+
+Null and empty texts have no words and fail the base rule; very long ones are measured whole.  A
+null source is a host of its own.  Repeated rows get equal results; ties can't arise, as all
+figures are counts.  Columns of the input never clash with ours.  An empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -17,8 +19,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, keyed_rows, map_arrow, no_null_id, read_table, row_groups
-from .simhash import SENT_KEYS
+from .common import Scratch, as_bytes, keyed_rows, map_arrow, no_null_id, read_table, row_groups, sized_join
 
 SYMBOLS = "#*$%&|<>"
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
@@ -107,9 +108,9 @@ def judged(docs: DataFrame, limit: int | None = None, most_removed: float = 0.7)
     counts = lines.select("host", "line", "whole").distinct().groupBy("host", "line").count().filter(F.col("count") > (FLOOR if limit is None else limit))
     if limit is None:  # hosts too small for the share to pass the floor need no size
         large = scratch.save(table.filter("n_words > 0").select("host", "whole").distinct().groupBy("host").agg((SHARE * F.count("*")).alias("most")).filter(F.col("most") > FLOOR))
-        counts = counts.join(F.broadcast(large) if large.count() <= SENT_KEYS else large.hint("merge"), "host", "left").filter(F.col("count") > F.coalesce("most", F.lit(float(FLOOR))))
+        counts = sized_join(counts, large, ["host"], scratch, "left", rows=large.rows).filter(F.col("count") > F.coalesce("most", F.lit(float(FLOOR))))
     often = scratch.save(counts.select("host", "line"))
-    gone = scratch.save(lines.join(often.hint("merge"), ["host", "line"], "left_semi").select("uid", "k1", "k2", "line_no", "line_words"))
+    gone = scratch.save(sized_join(lines, often, ["host", "line"], scratch, rows=often.rows).select("uid", "k1", "k2", "line_no", "line_words"))
     lost = gone.groupBy("uid").agg(F.sum("line_words").alias("lost"))
     removed = F.coalesce("lost", F.lit(0)).cast("long")
     failed = (F.col("n_words") < LEAST_WORDS) | (100 * F.col("n_repeat_words") > MOST_REPEATED_PERCENT * F.col("n_words"))
@@ -142,3 +143,38 @@ def filter_quality(docs: DataFrame, limit: int | None = None, most_removed: floa
 def op9_quality_rules(spark, sf_dir: str) -> DataFrame:
     verdict, _ = judged(read_table(spark, sf_dir, "documents"))
     return verdict.select("doc_id", *COUNTS, "base_failed", "kept")
+
+
+OP9_SQL = r"""
+with d as (
+  select row_number() over () id, doc_id, coalesce(source, '') host, coalesce(text, '') t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') w from documents
+), tri as (
+  select id, s, w[s] || ' ' || w[s + 1] || ' ' || w[s + 2] g from (select id, w, unnest(range(1, len(w) - 1)) s from d where len(w) > 2)
+), again as (
+  select id, count(distinct p) n from (select id, unnest([s, s + 1, s + 2]) p from (select id, s, count(*) over (partition by id, g) n from tri) where n > 1) group by 1
+), raw as (
+  select id, host, unnest(string_split(t, chr(10))) line from d
+), lines as (
+  select id, host, line, regexp_extract_all(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') w from raw
+), said as (
+  select id, host, line, array_to_string(w, ' ') norm, len(w) n from lines where len(w) > 0
+), dup as (
+  select id, count(*) - count(distinct line) n from said group by 1
+), whole as (
+  select id, host, array_to_string(regexp_extract_all(translate(t, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+'), ' ') all_words from d where len(w) > 0
+), hosts as (
+  select host, greatest(10, 0.05 * count(distinct all_words)) most from whole group by 1
+), often as (
+  select s.host, norm from said s join whole using (id) group by 1, 2 having count(distinct all_words) > (select most from hosts h where h.host = s.host)
+), lost as (
+  select id, sum(n) n from said join often using (host, norm) group by 1
+), c as (
+  select id, doc_id, len(w) n_words, length(regexp_replace(t, '[\x20\x09-\x0D]+', '', 'g')) word_chars, length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) n_symbols from d
+), j as (
+  select doc_id, n_words, word_chars, n_symbols, coalesce(dup.n, 0) n_dup_lines, coalesce(again.n, 0) n_repeat_words, coalesce(lost.n, 0) lost
+  from c left join dup using (id) left join again using (id) left join lost using (id)
+)
+select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_words < 50 or 100 * n_repeat_words > 50 * n_words as base_failed,
+  not (n_words < 50 or 100 * n_repeat_words > 50 * n_words) and lost <= 0.7 * n_words as kept
+from j
+"""

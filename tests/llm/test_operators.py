@@ -441,6 +441,33 @@ def test_lines_that_travel_together_count_every_document(spark):
     assert all(kept[i] == f"{own(f'a{i}', 30)}\n{own(f'b{i}', 30)}" for i in range(150))
 
 
+@pytest.mark.parametrize("shared", [1, 2, 4, 8])
+def test_every_shared_line_goes_however_many_travel(spark, shared):
+    own = lambda i, n: " ".join(f"w{i}_{k}" for k in range(n))
+    menu = [own(f"m{k}", 4) for k in range(shared)]
+    rows = [(i, "\n".join([*menu, own(i, 80)]), "s") for i in range(60)]
+    verdict, gone = rules.judged(spark.createDataFrame(rows, "doc_id long, text string, source string"))
+    assert gone.count() == 60 * shared and verdict.filter("kept").count() == 60
+
+
+def test_lines_go_from_the_given_tables(spark):
+    """At production parameters, line by line as a plain count says; few documents hang on it."""
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
+    seen, sizes = collections.defaultdict(set), collections.defaultdict(set)
+    norm = lambda line: " ".join(WORD.findall(line.translate(LOWER)))
+    texts = [(r.doc_id, r.source or "", r.text or "") for r in docs.select("doc_id", "source", "text").collect()]
+    for _, host, t in texts:
+        if whole := norm(t):
+            sizes[host].add(whole)
+            for line in t.split("\n"):
+                if norm(line):
+                    seen[host, norm(line)].add(whole)
+    often = {k for k, v in seen.items() if len(v) > max(rules.FLOOR, rules.SHARE * len(sizes[k[0]]))}
+    want = {(d, i) for d, host, t in texts for i, line in enumerate(t.split("\n")) if (host, norm(line)) in often}
+    got = {(r.k1, r.line_no) for r in rules.judged(docs)[1].collect()}
+    assert got == want and len(got) > 100
+
+
 def test_line_limit_follows_the_host(spark):
     own = lambda i, n: " ".join(f"w{i}_{k}" for k in range(n))
     rows = [(i, ("all rights are kept by us\n" if i < 20 else "") + own(i, 60), "small") for i in range(60)]
