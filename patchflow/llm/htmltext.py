@@ -1,20 +1,25 @@
 """Main text of web pages, with site template removal.
 
-Pages are read by one scan over tags, with a stack of open elements.  Three things leave the
-text: markup that never is text (scripts, styles, forms ...), elements that name themselves
-as furniture (nav, footer, aside, or such a word in class, id or role), and site templates:
-every element subtree is hashed, Spark counts on how many pages of its host a hash stands, and
-subtrees on ``many`` pages or more are deleted.  An article (``article``, ``main`` or role main) is
-the text itself and is never taken for a template as a whole.  What stands in it is counted apart,
-and pages with equal articles count as one there, so that copies of a page keep their text; inline
-elements amid text and table cells are parts of a sentence or row and go or stay with it.  With no
-article the body is used.
+Pages are read by one scan over tags, with a stack of open elements.  Every element subtree is
+hashed, Spark counts on how many pages of its host a hash stands, and subtrees on at least
+``many`` pages and ``share`` of the host's pages are templates and are deleted.  An article
+(``article``, ``main`` or role main) is the text itself and is never taken for a template as a whole.
+What stands in it is counted apart, and must stand on ``share_inside`` of the pages, as a passage that
+some articles quote is text; pages with equal articles count as one there, so that copies of a
+page keep their text; inline elements amid text and table cells are parts of a sentence or row and go
+or stay with it.  With no article the body is used.
+
+What no count can tell, as it differs from page to page or its host has few pages, leaves by
+its markup: elements that never are text (scripts, styles, forms ...) and, where ``named`` is set, those that name
+themselves as furniture (nav, footer, aside, or such a word in class, id or role), like reader comments.
 
 The recurring hashes are sent to the executors while they are at most ``most_hashes``; beyond that
 each page gets its own by a join.
 
-Null or empty html gives an empty text.  Broken and cut-off markup is read as far as it goes.
-Repeated rows each get their text; for the counts they are one page.
+Null or empty html gives an empty text.  Broken and cut-off markup is read as far as it goes, very long
+or deep pages without recursion.  Repeated rows each get their text; for the counts they are one page.
+Null urls are one host.  Ties can't arise.  Other columns stay as they are; ``text`` is replaced.  An empty
+table gives an empty one.
 """
 
 from __future__ import annotations
@@ -26,7 +31,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, as_bytes, fresh, map_arrow, read_table
+from .common import Scratch, as_bytes, fresh, map_arrow, read_table, sized_join
 from .urlfilter import url_parts
 
 ATTRIBUTES = r"""(?:[^>"']+|"[^"]*"|'[^']*')*"""
@@ -72,8 +77,8 @@ def _named(attributes: str) -> tuple[str, bool, bool]:
     return name, out or bool(name and FURNITURE.search(LAYOUT.sub(" ", name))), main
 
 
-def parse(source: str) -> Node:
-    """The tree of a page: nodes and texts in order."""
+def parse(source: str, named: bool = True) -> Node:
+    """The tree of a page: nodes and texts in order; ``named`` drops what names itself as furniture."""
     root = here = Node("#", "", None, False, False)
     at, n = 0, len(source)
     depth: dict[str, int] = {}
@@ -118,6 +123,7 @@ def parse(source: str) -> Node:
                 close(up.parent)
         attributes = found[3] if found[3] is not None else found[4]
         name, furniture, main = _named(attributes) if attributes else ("", False, False)
+        furniture &= named
         article = tag in ("article", "main") or main
         if article:
             furniture = bool(name and NOT_MAIN.search(name))
@@ -232,7 +238,7 @@ def main_text(root: Node, deleted: set[int] = frozenset()) -> str:
 
 
 def _page_hashes(pages: DataFrame, by_page: bool = False) -> DataFrame:
-    """(host, hash, page): the distinct subtree hashes of each page; of those inside articles the page is the hash of its articles, unless ``by_page``."""
+    """(host, page, inside, hash): the distinct subtree hashes of each page; of those inside articles the page is the hash of its articles, unless ``by_page``."""
 
     def run(batches: Iterator):
         import pyarrow as pa
@@ -243,8 +249,9 @@ def _page_hashes(pages: DataFrame, by_page: bool = False) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([m[2] for m in made], pa.int64()), *lists], ["host", "page", "article", "hashes", "within"])
 
     made = map_arrow(pages.select("host", "page", "html"), run, "host string, page long, article long, hashes array<long>, within array<long>")
-    units = F.array(F.struct("page", "hashes"), F.struct(F.col("page" if by_page else "article").alias("page"), F.col("within").alias("hashes")))
-    return made.select("host", F.inline(units)).select("host", "page", F.explode("hashes").alias("hash"))
+    inside = F.struct(F.col("page" if by_page else "article").alias("page"), F.col("within").alias("hashes"), F.lit(True).alias("inside"))
+    units = F.array(F.struct("page", "hashes", F.lit(False).alias("inside")), inside)
+    return made.select("host", F.inline(units)).select("host", "page", "inside", F.explode("hashes").alias("hash"))
 
 
 def _all_hashes(root: Node) -> list[tuple[Node, int]]:
@@ -252,7 +259,7 @@ def _all_hashes(root: Node) -> list[tuple[Node, int]]:
     return out + within
 
 
-def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> DataFrame:
+def extract(pages: DataFrame, many: int = 20, share: float = 0.05, share_inside: float = 0.25, most_hashes: int = 500_000, named: bool = True) -> DataFrame:
     """The rows (html left out) with ``text``; a column of that name is replaced."""
     spark = pages.sparkSession
     scratch = Scratch(spark, "html")
@@ -263,9 +270,13 @@ def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> Dat
     keyed = pages.select(*[F.col(f"`{c}`") for c in kept], host.alias(c_host), F.xxhash64("url", html).alias(c_page), html.alias(c_html))
     paged = keyed.select(F.col(c_host).alias("host"), F.col(c_page).alias("page"), F.col(c_html).alias("html"))
     hashes = _page_hashes(paged)
-    often = scratch.save(hashes.groupBy("host", "hash").agg(F.count_distinct("page").alias("n")).filter(F.col("n") >= many).select(F.xxhash64("host", "hash").alias("key"), "host", "hash"))
-    n = often.count()
-    if n <= most_hashes:  # 8 bytes each
+    counts = hashes.groupBy("host", "inside", "hash").agg(F.count_distinct("page").alias("n")).filter(F.col("n") >= many)
+    # hosts too small for the share to pass the floor need no size
+    large = scratch.save(paged.select("host", "page").distinct().groupBy("host").agg(F.count("*").alias("pages")).filter(max(share, share_inside) * F.col("pages") > many))
+    least = F.when(F.col("inside"), share_inside).otherwise(share) * F.coalesce("pages", F.lit(0))
+    counts = sized_join(counts, large, ["host"], scratch, "left", rows=large.rows).filter(F.col("n") >= least)
+    often = scratch.save(counts.select(F.xxhash64("host", "hash").alias("key"), "host", "hash"))
+    if often.rows <= most_hashes:  # 8 bytes each
         shipped = spark.sparkContext.broadcast(frozenset(r[0] for r in often.select("key").collect()))
         rows = keyed.withColumn(c_seed, F.xxhash64(c_host))
         own = None
@@ -284,7 +295,7 @@ def extract(pages: DataFrame, many: int = 20, most_hashes: int = 500_000) -> Dat
         for batch in batches:
             texts = []
             for i, t in enumerate(as_bytes(batch.column(at))):
-                root = parse(t.decode("utf-8", "replace"))
+                root = parse(t.decode("utf-8", "replace"), named)
                 if shipped is not None:
                     gone = set()
                     if shipped.value:

@@ -365,6 +365,17 @@ def test_templates_inside_articles_go_and_copies_stay(spark, most):
     assert all(t == "Title {0}\n\ntext {0} says this well\n\nend {0}".format(i if i < 100 else "c") for i, t in got.items())
 
 
+def test_template_limits_follow_the_host(spark):
+    """On 400 pages a box of all goes and a passage quoted by 40 stays; off the article a menu of 40 goes, one of 10 stays."""
+    box, quote, menu, rare = "<div><p>Get our letter</p></div>", "<p>to be or not to be</p>", "<div><span>section menu</span></div>", "<div><span>odd note</span></div>"
+    page = lambda i: f"<html><body>{menu if i < 40 else ''}{rare if i < 10 else ''}<div class='t'><p>page {i}</p></div></body></html>"
+    post = lambda i: f"<html><body><article><p>post {i}</p>{quote if i < 40 else ''}{box}</article></body></html>"
+    rows = [(i, f"http://a.org/{i}", page(i)) for i in range(400)] + [(1000 + i, f"http://b.org/{i}", post(i)) for i in range(400)]
+    got = {r.page_id: r.text for r in htmltext.extract(spark.createDataFrame(rows, "page_id long, url string, html string"), named=False).collect()}
+    assert all(got[i] == ("odd note\n\n" if i < 10 else "") + f"page {i}" for i in range(400))
+    assert all(got[1000 + i] == f"post {i}" + ("\n\nto be or not to be" if i < 40 else "") for i in range(400))
+
+
 # 8
 
 
