@@ -18,14 +18,14 @@ def cents(column) -> F.Column:
     return F.round(F.col(column).cast("double") * 100).cast("long")
 
 
-def tile_facts_events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(clip_id, frame_idx, row, col, n, c) per event: the facts of a tile before they are summed."""
+def tile_facts_events(spark: SparkSession, sf_dir: str, frame_seconds: float = FRAME_SECONDS) -> DataFrame:
+    """(clip_id, frame_idx, row, col, n, c) per event: the facts of a tile before they are summed; the clock's step may be finer."""
     types = table(spark, sf_dir, "events").select("event_type").distinct()
     order = types.select("event_type", (F.row_number().over(Window.orderBy("event_type")) - 1).cast("int").alias("col"))  # five names
     e = table(spark, sf_dir, "events").select("user_id", "ts", "event_type", cents("value").alias("c"), F.get_json_object("props", "$.k").cast("int").alias("k"))
     return e.join(F.broadcast(order), "event_type").select(
         (F.col("user_id") % CLIPS).alias("clip_id"),
-        F.floor((F.unix_timestamp(F.col("ts").cast("timestamp")) - EPOCH) / FRAME_SECONDS).cast("int").alias("frame_idx"),
+        F.floor((F.unix_timestamp(F.col("ts").cast("timestamp")) - EPOCH) / frame_seconds).cast("int").alias("frame_idx"),
         F.expr("cast(k div 25 as int)").alias("row"),
         "col",
         F.lit(1).cast("long").alias("n"),

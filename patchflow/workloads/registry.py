@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("tokens", "features", "curation", "neardups", "captions", "recipes", "balances", "streams", "gates", "scores", "surface", "extras")
+MODULES = ("tokens", "features", "curation", "neardups", "captions", "recipes", "balances", "streams", "gates", "scores", "surface", "extras", "sequences")
 
 
 def _all(what: str) -> dict:
