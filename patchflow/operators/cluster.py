@@ -18,31 +18,45 @@ def squared_distance(a, b):
     return F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0).cast("long"), lambda s, x: s + x)
 
 
-def assign(features: DataFrame, centers: DataFrame, m: int = 1) -> DataFrame:
-    """(sample_id, center_id, d2, rank): the m nearest centers; centers are broadcast (K rows), no shuffle of features.
+def assign(features: DataFrame, centers: DataFrame, m: int = 1, keep: tuple[str, ...] = ()) -> DataFrame:
+    """(sample_id, *keep, center_id, d2, rank): the m nearest centers; centers are broadcast as one row (K is a model's size), no shuffle of features.
 
     features: (sample_id, q); centers: (center_id, p).
     """
     gathered = centers.agg(F.array_sort(F.collect_list(F.struct("center_id", "p"))).alias("cs"))
-    near = F.slice(F.array_sort(F.transform("cs", lambda c: F.struct(squared_distance(F.col("q"), c["p"]).alias("d2"), c["center_id"].alias("center_id")))), 1, m)
-    out = features.crossJoin(F.broadcast(gathered)).select("sample_id", F.posexplode(near).alias("i", "n"))
-    return out.select("sample_id", "n.center_id", "n.d2", (F.col("i") + 1).alias("rank"))
+    every = F.transform("cs", lambda c: F.struct(squared_distance(F.col("q"), c["p"]).alias("d2"), c["center_id"].alias("center_id")))
+    near = F.array(F.array_min(every)) if m == 1 else F.slice(F.array_sort(every), 1, m)
+    out = features.crossJoin(F.broadcast(gathered)).select("sample_id", *keep, F.posexplode(near).alias("i", "n"))
+    return out.select("sample_id", *keep, "n.center_id", "n.d2", (F.col("i") + 1).alias("rank"))
 
 
 def lloyd_step(features: DataFrame, centers: DataFrame) -> DataFrame:
     """(center_id, dim, total, n): integer sums of the samples of each center; one aggregate."""
-    own = features.join(assign(features, centers), "sample_id")
+    own = assign(features, centers, keep=("q",))
     return own.select("center_id", F.posexplode("q").alias("dim", "v")).groupBy("center_id", "dim").agg(F.sum("v").alias("total"), F.count("*").alias("n"))
 
 
 def discrimination_loss(features: DataFrame, assigned: DataFrame, centers: DataFrame, share: float = 0.1, temperature: float = 0.1, seed: int = 42) -> DataFrame:
-    """Mean loss of positives against a hashed share of the other centers (vectors of unit length)."""
+    """Mean loss of positives against a hashed share of the other centers (vectors of unit length).
+
+    Centers come as one broadcast row and positives as an array of the sample, so each sample is one row throughout.
+    """
     bound = int(share * 2**32)
-    pick = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(seed), "sample_id", "center_id")), 1, 8), 16, 10).cast("long") < bound
-    pairs = features.crossJoin(F.broadcast(centers)).join(assigned.select("sample_id", "center_id", F.lit(True).alias("own")), ["sample_id", "center_id"], "left").filter(F.coalesce("own", F.lit(False)) | pick)
-    dot = F.aggregate(F.zip_with("x", "c", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
-    e = F.exp(dot / temperature)
-    per = pairs.groupBy("sample_id").agg((F.log(F.sum(e)) - F.log(F.sum(F.when(F.col("own"), e)))).alias("loss"))
+    gathered = centers.agg(F.collect_list(F.struct("center_id", "c")).alias("cs"))
+    mine = assigned.groupBy("sample_id").agg(F.collect_set("center_id").alias("own"))
+    rows = features.join(mine, "sample_id").crossJoin(F.broadcast(gathered))
+
+    def picked(c):
+        hashed = F.conv(F.substring(F.md5(F.concat_ws(":", F.lit(seed), F.col("sample_id"), c["center_id"])), 1, 8), 16, 10).cast("long")
+        return F.array_contains("own", c["center_id"]) | (hashed < bound)
+
+    def mass(c):
+        dot = F.aggregate(F.zip_with("x", c["c"], lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v)
+        return F.struct(F.exp(dot / temperature).alias("e"), F.array_contains("own", c["center_id"]).alias("own"))
+
+    total = lambda a: F.aggregate(a, F.lit(0.0), lambda s, m: s + m["e"])
+    made = rows.select(F.transform(F.filter("cs", picked), mass).alias("m"))
+    per = made.select((F.log(total(F.col("m"))) - F.log(total(F.filter("m", lambda m: m["own"])))).alias("loss"))
     return per.agg(F.count("*").alias("n"), F.round(F.avg("loss"), 6).alias("loss"))
 
 

@@ -8,11 +8,11 @@ nothing; one of fewer than five words is one shingle.  Ids are expected to be di
 from __future__ import annotations
 
 import math
-import tempfile
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..shared import shared_dir
 from .curate import words
 
 SHINGLE, THRESHOLD, HASHES, BANDS = 5, 0.8, 64, 16
@@ -90,10 +90,10 @@ def pairs_minhash(sets: DataFrame, hashes: int = HASHES, bands: int = BANDS, thr
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """A checkpoint in the shared folder that the session names (a temporary one only where none is named)."""
+    """A checkpoint in the shared folder."""
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="patchflow-checkpoint-"))
+        sc.setCheckpointDir(shared_dir(df.sparkSession))
     return df.checkpoint()
 
 

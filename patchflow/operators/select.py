@@ -55,10 +55,10 @@ def topk_budget(imp: DataFrame, budget: int, gop: int = 16, frames: int = 64, gr
     return both.withColumn("rank_in_clip", F.row_number().over(w)).filter(F.col("rank_in_clip") <= budget)
 
 
-def capped_by(imp: DataFrame, tokens: DataFrame, gop: int = 16, frames: int = 64, grid: tuple[int, int] = (4, 5)) -> DataFrame:
-    """A second selector that may use no more tokens than the first did on the same clip."""
+def capped_by(imp: DataFrame, tokens: DataFrame, gop: int = 16, frames: int = 64, grid: tuple[int, int] = (4, 5), most: int = 1 << 30) -> DataFrame:
+    """A second selector that may use no more tokens than the first did on the same clip; ``most`` is the first one's budget, which prunes before the join."""
     used = tokens.groupBy("clip_id").agg(F.count("*").alias("cap"))
-    chosen = topk_budget(imp, 1 << 30, gop, frames, grid)
+    chosen = topk_budget(imp, most, gop, frames, grid)
     return chosen.join(used, "clip_id").filter(F.col("rank_in_clip") <= F.col("cap")).drop("cap")
 
 

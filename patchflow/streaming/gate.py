@@ -7,7 +7,6 @@ sequences; a sequence silent for the watermark's delay could be dropped by a tim
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -15,6 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..shipping import ship_package
+from ..shared import scratch_path
 from ..sources import adapters as A
 
 WEIGHTS = (4, 3, 2, 1)
@@ -67,7 +67,7 @@ def _drain(spark: SparkSession, stream: DataFrame, mode: str) -> DataFrame:
     """
     name = f"sink_{uuid.uuid4().hex}"
     if mode == "append":
-        root = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp(prefix='patchflow-stream-')}/{name}"
+        root = scratch_path(spark, name)
         w = stream.writeStream.format("parquet").option("path", f"{root}/rows").option("checkpointLocation", f"{root}/state").outputMode(mode)
     else:
         w = stream.writeStream.format("memory").queryName(name).outputMode(mode)

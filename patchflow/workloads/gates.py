@@ -9,6 +9,7 @@ from ..functions import measures
 from ..operators import timeline
 from ..sources import adapters as A
 from ..streaming import gate as live
+from . import tokens
 
 TAU = 150000
 
@@ -125,10 +126,8 @@ def timeline_iou_conversations(spark, d):
 def tile_mask_jf_events(spark, d):
     """Tokens of the two selectors as masks."""
     from ..operators import select
-    from . import tokens
-
     a = tokens.tokens_events(spark, d)
-    b = select.capped_by(select.code_length(tokens.importance_events(spark, d), A.FRAMES), a, tokens.GOP, A.FRAMES, A.GRID)
+    b = select.capped_by(select.code_length(tokens.importance_events(spark, d), A.FRAMES), a, tokens.GOP, A.FRAMES, A.GRID, tokens.BUDGET)
     return measures.region_and_border(a, b)
 
 
@@ -182,6 +181,11 @@ SQL = {
       select t.video_id, count(*) positives, count(*) filter (exists (select 1 from f where f.video_id = t.video_id and f.t_s between t.t_s - 60 and t.t_s + 60)) hits from t group by 1""",
     "timeline_iou_conversations": f"""with {TL}, x as (select greatest(0, end_s - start_s - 5)::double i, end_s - start_s l from tl), y as (select case when 2 * l - i > 0 then i / (2 * l - i) else 0 end v from x)
       select count(*) n, round(avg(v), 6) mean_iou, count(*) filter (v >= 0.3) at_3, count(*) filter (v >= 0.5) at_5, count(*) filter (v >= 0.7) at_7 from y""",
+    "tile_mask_jf_events": f"""with {tokens.TOKENS_EVENTS} {tokens.CODED}, {tokens._ranked(16, 64, 4, 5, "lens", "0.0::double", "other")},
+      m as (select 'a' s, clip_id, frame_idx, "row", col from tokens union all select 'b', clip_id, frame_idx, "row", col from other join (select clip_id, count(*) cap from tokens group by 1) using (clip_id) where rank_in_clip <= cap),
+      e as (select * from m where (select count(*) from m n where n.s = m.s and n.clip_id = m.clip_id and n.frame_idx = m.frame_idx and abs(n."row" - m."row") + abs(n.col - m.col) = 1) < 4),
+      j as (select clip_id, frame_idx, count(*) n, count(distinct ("row", col)) u from m group by 1, 2), f as (select clip_id, frame_idx, count(*) n, count(distinct ("row", col)) u from e group by 1, 2)
+      select clip_id, frame_idx, round((j.n - j.u) / j.u::double, 6) j, round(coalesce(2 * (f.n - f.u) / nullif(f.n, 0)::double, 0), 6) f from j join f using (clip_id, frame_idx)""",
     "stream_gate_events": f"with {GE} select video_id, pos, t_s, memory from s where fired = 1",
     "stream_tumbling_counts": "select event_type, (floor(epoch(ts))::bigint // 86400 * 86400)::bigint window_start, count(*) n from events group by 1, 2",
 }

@@ -10,8 +10,10 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..shared import scratch_path
 from ..shipping import ship_package
 from ..sources import adapters as A
+from . import tokens
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 #: name -> SQL of both engines
@@ -107,8 +109,6 @@ def _sql(text):
 
 def join_full_selectors(spark, d):
     """Tiles of two selectors side by side."""
-    from . import tokens
-
     a = tokens.tokens_events(spark, d).select("clip_id", "frame_idx", "row", "col", F.col("rank_in_clip").alias("a"))
     b = tokens.chunkwise_events(spark, d).withColumn("b", F.lit(1))
     return a.join(b, ["clip_id", "frame_idx", "row", "col"], "full").groupBy("clip_id").agg(F.count("a").alias("a"), F.count("b").alias("b"), F.count("*").alias("n"))
@@ -129,15 +129,11 @@ def join_range_segments(spark, d):
 
 def _roundtrip(fmt):
     def query(spark, d):
-        """Writes and reads; what is not the same on both sides (nothing)."""
-        import uuid
-
-        base = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-        path = f"{base.rstrip('/')}/roundtrip-{uuid.uuid4().hex}"
+        """Writes captions in the format and returns what is read back."""
+        path = scratch_path(spark, f"roundtrip-{fmt}")
         t = A.timeline_conversations(spark, d).withColumn("caption", F.md5("caption"))
         t.write.option("header", "true").format(fmt).save(path)
-        back = spark.read.schema(t.schema).option("header", "true").format(fmt).load(path)
-        return t.exceptAll(back).unionAll(back.exceptAll(t))
+        return spark.read.schema(t.schema).option("header", "true").format(fmt).load(path)
 
     return query
 
@@ -185,3 +181,13 @@ SQL = dict(SHARED) | {n: o for n, (_, o) in PAIRED.items()} | {
       f as (select video_id, unnest(range(0, max(end_s) + 1, 10)) t_s from tl group by 1)
       select f.video_id, seg_idx, count(*) frames from f join tl on tl.video_id = f.video_id and t_s >= start_s and t_s < end_s group by 1, 2""",
 }
+_TL = """with c as (select *, ceil(length(text) / 15.0)::bigint cost from conversations), cc as (select *, sum(cost) over (partition by conv_id order by turn)::bigint e from c)
+  select conv_id video_id, (row_number() over (partition by conv_id order by turn) - 1)::int seg_idx, e - cost start_s, e end_s, md5(text) caption from cc where role = 'assistant'"""
+SQL |= {f"roundtrip_{f}": _TL for f in ("parquet", "json", "csv", "orc")}
+SQL["join_full_selectors"] = f"""with {tokens.TOKENS_EVENTS}, u as (select clip_id, {tokens.UNIFORM.format(n=16)} frame_idx, r::int "row", c::int col from clips, range(16) i(i), range(4) r(r), range(5) c(c))
+  select clip_id, count(a) a, count(b) b, count(*) n from (select clip_id, frame_idx, "row", col, rank_in_clip a from tokens) full join (select *, 1 b from u) using (clip_id, frame_idx, "row", col) group by 1"""
+SQL["udf_rubric_pandas"] = r"""with w as (select source, list_filter(regexp_split_to_array(coalesce(text, ''), '\s+'), lambda x: x <> '') w from documents),
+  s as (select source, len(list_filter(w, lambda x: x[1] = upper(x[1]) and x[1] <> lower(x[1])))::double / greatest(1, len(w)) v from w) select source, round(avg(v), 6) score from s group by 1"""
+SQL["map_in_arrow_assign"] = """with c as (select (row_number() over (order by label) - 1)::int center, v from (select label, arg_min(embedding, vec_id) v from embeddings group by 1)),
+  d as (select vec_id, center, list_sum(list_transform(range(1, len(v) + 1), lambda i: v[i]::double * v[i]::double - 2 * embedding[i]::double * v[i]::double)) k from embeddings, c)
+  select vec_id, center from (select *, row_number() over (partition by vec_id order by k, center) r from d) where r = 1"""

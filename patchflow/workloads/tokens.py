@@ -68,7 +68,7 @@ def code_length_importance_events(spark, d):
 def cross_selector_events(spark, d):
     imp = importance_events(spark, d)
     a = tokens_events(spark, d)
-    b = select.capped_by(select.code_length(imp, A.FRAMES), a, GOP, A.FRAMES, A.GRID)
+    b = select.capped_by(select.code_length(imp, A.FRAMES), a, GOP, A.FRAMES, A.GRID, BUDGET)
     key = list(select.KEY)
     both = a.select(*key, F.lit(1).alias("a")).join(b.select(*key, F.lit(1).alias("b")), key, "full")
     return both.groupBy("clip_id").agg(F.count("a").alias("used_a"), F.count("b").alias("used_b"), F.count_if(F.col("a").isNotNull() & F.col("b").isNotNull()).alias("shared")).withColumn("jaccard", F.round(F.col("shared") / (F.col("used_a") + F.col("used_b") - F.col("shared")), 6))
