@@ -42,14 +42,32 @@ def anchor_lattice(imp: DataFrame, gop: int, frames: int, rows: int, cols: int)
     return whole.select("clip_id", "frame_idx", "row", F.explode(F.sequence(F.lit(0), F.lit(cols - 1))).alias("col"), F.lit(0).cast(imp.schema["importance"].dataType).alias("importance"))
 
 
-def topk_budget(imp: DataFrame, budget: int, gop: int = 16, frames: int = 64, grid: tuple[int, int] = (4, 5)) -> DataFrame:
+def anchor_zeros(facts: DataFrame, gop: int, frames: int, rows: int, cols: int) -> DataFrame:
+    """Facts of size zero on every tile of anchor frames, to be united with ``facts`` before these are summed: the lattice costs no second aggregate."""
+    clips = facts.select("clip_id").distinct()
+    place = clips.select("clip_id", F.explode(F.sequence(F.lit(0), F.lit(frames - 1), F.lit(gop))).alias("frame_idx"))
+    place = place.select("clip_id", "frame_idx", F.explode(F.sequence(F.lit(0), F.lit(rows - 1))).alias("row"))
+    zero = F.lit(0).cast("long")
+    return place.select("clip_id", "frame_idx", "row", F.explode(F.sequence(F.lit(0), F.lit(cols - 1))).alias("col"), zero.alias("n"), zero.alias("c"))
+
+
+def topk_budget(imp: DataFrame, budget: int, gop: int = 16, frames: int = 64, grid: tuple[int, int] = (4, 5), complete: bool = False) -> DataFrame:
     """All anchor tiles, then the most important predicted ones, up to ``budget`` a clip.
 
+    ``complete`` says that ``imp`` has every anchor tile already (``anchor_zeros``), so that one exchange by clip is all.
+
     Anchors over the budget are cut in frame order; with too few changing tiles the sequence is
     shorter, never filled with zeros.
     """
-    anchors = imp.filter(F.col("frame_idx") % gop == 0).unionByName(anchor_lattice(imp, gop, frames, *grid)).groupBy(*KEY).agg(F.max("importance").alias("importance"))
-    both = anchors.withColumn("is_anchor", F.lit(True)).unionByName(imp.filter((F.col("frame_idx") % gop != 0) & (F.col("importance") > 0)).withColumn("is_anchor", F.lit(False)))
+    is_anchor = F.col("frame_idx") % gop == 0
+    if complete:
+        return _ranked(imp.filter(is_anchor | (F.col("importance") > 0)).withColumn("is_anchor", is_anchor), budget)
+    anchors = imp.filter(is_anchor).unionByName(anchor_lattice(imp, gop, frames, *grid)).groupBy(*KEY).agg(F.max("importance").alias("importance"))
+    both = anchors.withColumn("is_anchor", F.lit(True)).unionByName(imp.filter(~is_anchor & (F.col("importance") > 0)).withColumn("is_anchor", F.lit(False)))
+    return _ranked(both, budget)
+
+
+def _ranked(both: DataFrame, budget: int) -> DataFrame:
     first = F.when(F.col("is_anchor"), F.lit(0)).otherwise(-F.col("importance"))
     w = Window.partitionBy("clip_id").orderBy(F.desc("is_anchor"), first, "frame_idx", "row", "col")
     return both.withColumn("rank_in_clip", F.row_number().over(w)).filter(F.col("rank_in_clip") <= budget)

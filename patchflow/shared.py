@@ -7,7 +7,7 @@ import contextlib
 import tempfile
 import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -33,3 +33,10 @@ def scratch_path(spark: SparkSession, what: str) -> str:
 
     atexit.register(drop)
     return path
+
+
+def saved(df: DataFrame, what: str) -> DataFrame:
+    """The table written once to the shared folder and read back: for results that several branches of a plan use."""
+    path = scratch_path(df.sparkSession, what)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

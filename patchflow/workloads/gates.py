@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import measures
 from ..operators import timeline
+from ..shared import saved
 from ..sources import adapters as A
 from ..streaming import gate as live
 from . import tokens
@@ -126,8 +127,9 @@ def timeline_iou_conversations(spark, d):
 def tile_mask_jf_events(spark, d):
     """Tokens of the two selectors as masks."""
     from ..operators import select
-    a = tokens.tokens_events(spark, d)
-    b = select.capped_by(select.code_length(tokens.importance_events(spark, d), A.FRAMES), a, tokens.GOP, A.FRAMES, A.GRID, tokens.BUDGET)
+    a = saved(tokens.tokens_events(spark, d), "tokens")
+    imp = saved(tokens.importance_events(spark, d), "importance")
+    b = saved(select.capped_by(select.code_length(imp, A.FRAMES), a, tokens.GOP, A.FRAMES, A.GRID, tokens.BUDGET), "tokens")
     return measures.region_and_border(a, b)
 
 

@@ -6,6 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..operators import gating, select, sequence
+from ..shared import saved
 from ..sources import adapters as A
 from . import gates, tokens
 from .tokens import BUDGET, BUDGETS, GOP, UNIFORM
@@ -101,7 +102,7 @@ def _fine(spark, d):
 
 def canvas_curve_events(spark, d):
     """Importance caught by N canvases of tiles chosen from 8 N frames, and by N whole frames, of 512."""
-    imp, out = _fine(spark, d), None
+    imp, out = saved(_fine(spark, d), "importance"), None
     total = imp.agg(F.sum("importance").alias("total"))
     for n in BUDGETS:
         packed = select.canvases(imp, n, FINE_FRAMES, A.GRID, SLOTS).agg(F.sum("importance").alias("m"), F.count("*").alias("tokens"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from ..operators import motion, select
+from ..shared import saved
 from ..sources import adapters as A
 
 BUDGET, GOP = 320, 16
@@ -18,8 +19,14 @@ def importance_lineitem(spark, d):
     return select.weighted(A.tile_changes(A.tile_facts_lineitem(spark, d), 84), alpha=100, beta=1)
 
 
-def tokens_events(spark, d):
-    return select.topk_budget(importance_events(spark, d), BUDGET, GOP, A.FRAMES, A.GRID)
+def _complete(facts, frames, gop, grid, alpha=1000):
+    """Importance with all anchor tiles, from one aggregate of facts."""
+    return select.weighted(A.tile_changes(facts.unionByName(select.anchor_zeros(facts, gop, frames, *grid)), frames), alpha)
+
+
+def tokens_events(spark, d, budget=BUDGET):
+    imp = _complete(A.tile_facts_events(spark, d), A.FRAMES, GOP, A.GRID)
+    return select.topk_budget(imp, budget, GOP, A.FRAMES, A.GRID, complete=True)
 
 
 def topk_budget_events(spark, d):
@@ -27,7 +34,8 @@ def topk_budget_events(spark, d):
 
 
 def topk_budget_lineitem(spark, d):
-    out = select.topk_budget(importance_lineitem(spark, d), 588, 12, 84, (4, 7))
+    imp = _complete(A.tile_facts_lineitem(spark, d), 84, 12, (4, 7), 100)
+    out = select.topk_budget(imp, 588, 12, 84, (4, 7), complete=True)
     return out.select("clip_id", "frame_idx", "row", "col", "importance", "is_anchor", "rank_in_clip")
 
 
@@ -66,8 +74,8 @@ def code_length_importance_events(spark, d):
 
 
 def cross_selector_events(spark, d):
-    imp = importance_events(spark, d)
-    a = tokens_events(spark, d)
+    imp = saved(importance_events(spark, d), "importance")
+    a = saved(tokens_events(spark, d), "tokens")
     b = select.capped_by(select.code_length(imp, A.FRAMES), a, GOP, A.FRAMES, A.GRID, BUDGET)
     key = list(select.KEY)
     both = a.select(*key, F.lit(1).alias("a")).join(b.select(*key, F.lit(1).alias("b")), key, "full")
@@ -101,7 +109,7 @@ def budget_curve_events(spark, d):
     """
     imp = importance_events(spark, d)
     tiles = A.GRID[0] * A.GRID[1]
-    ranked = select.topk_budget(imp, BUDGETS[-1] * tiles, GOP, A.FRAMES, A.GRID)
+    ranked = tokens_events(spark, d, BUDGETS[-1] * tiles)
     mass = F.col("importance")
     codec = ranked.agg(*[F.sum(F.when(F.col("rank_in_clip") <= n * tiles, mass)).alias(f"codec{n}") for n in BUDGETS])
     flat = imp.agg(F.sum(mass).alias("total"), *[F.sum(F.when(F.col("frame_idx").isin(select.uniform_indices(n, A.FRAMES)), mass)).alias(f"uniform{n}") for n in BUDGETS])
