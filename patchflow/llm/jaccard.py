@@ -12,8 +12,8 @@ o = the least overlap of a set of n at the threshold:
 * the rest are first linked along the SimHash blocks of operator 2 and to the leader of each
   MinHash bucket, verified, so that a family of many near copies is mostly one component at linear cost;
 * members held by one component only can't link two components.  They come first in the order,
-  then the rarest; nodes of different components that share one of their first n - o + 1 members
-  are compared.
+  then those of the fewest components; nodes of different components that share one of their first n - o + 1
+  members are compared, if the places of it let them share enough, and the smaller has it among its first n / 9.
 
 Every link is verified on whole sets.  Components are those of all pairs at the threshold.  Texts
 without words are one node, as copies are.  A null id takes part; null texts are empty.  Of ties the row with the
@@ -32,6 +32,8 @@ from .common import SENT_KEYS, Scratch, as_bytes, keyed_rows, map_arrow, row_gro
 from .simhash import components, link_fingerprints
 
 SHINGLE = 5
+#: Members of several components that may be broadcast (32 bytes each).
+SENT_MEMBERS = 1 << 18
 #: MinHash buckets of a node, for the links to leaders; they only save work.
 BUCKETS = 8
 
@@ -113,21 +115,23 @@ SHARED = "(2 * n + 24) div 25"
 
 
 def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose sets have a Jaccard similarity of 0.8 or more."""
+    """The pairs (a, b, ...) whose sets have a Jaccard similarity of 0.8 or more."""
     left, right = (sets.select(F.col("node").alias(x), F.col("n").alias(f"n{x}"), F.col("members").alias(f"m{x}")) for x in "ab")
     met = pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b")
     common = F.size(F.array_intersect("ma", "mb"))
-    return met.filter(5 * common >= 4 * (F.col("na") + F.col("nb") - common)).select("a", "b")
+    return met.filter(5 * common >= 4 * (F.col("na") + F.col("nb") - common)).select(*pairs.columns)
 
 
 def partnered(made: DataFrame, scratch: Scratch) -> DataFrame:
-    """(node, n, members, least, fp), one row a node, of the nodes that can have a partner."""
+    """(node, n, members, least, fp), one row a node, of the nodes that can have a partner; ``made`` is dropped."""
     each = made.select("node", F.explode(F.slice("members", F.lit(1), F.expr(f"cast({COUNTED} as int)"))).alias("x"))
     alone = each.groupBy("x").agg(F.min("node").alias("node"), F.max("node").alias("top")).filter("node = top").groupBy("node").agg(F.count("*").alias("own"))
     nodes = made.filter("n > 0").groupBy("node").agg(F.min("uid").alias("uid"), F.min("n").alias("n")).join(alone.hint("merge"), "node", "left")
     can = scratch.save(nodes.filter(f"{COUNTED} - coalesce(own, 0) >= {SHARED}").select("uid"))
     few = can.rows <= SENT_KEYS
-    return scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least", "fp"))
+    out = scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least", "fp"))
+    scratch.drop(can, made)
+    return out
 
 
 def block_pairs(sets: DataFrame, scratch: Scratch) -> DataFrame:
@@ -152,24 +156,50 @@ def edges(made: DataFrame, scratch: Scratch) -> DataFrame:
     part = F.coalesce("label", "node").alias("part")
     each = scratch.save(sets.join(named.hint("merge"), "node", "left").select("node", "n", part, "members"))
     flat = each.select("node", "n", "part", F.explode("members").alias("x"))
-    mixed = scratch.save(flat.groupBy("x").agg(F.count("*").alias("df"), F.min("part").alias("low"), F.max("part").alias("top")).filter("low < top").select("x", "df"))
-    ranked = flat.join(mixed.hint("merge"), "x").groupBy("node", "n", "part").agg(F.sort_array(F.collect_list(F.struct("df", "x"))).alias("r"))
+    # how many components have a member, by partial counts of (member, component)
+    mixed = scratch.save(flat.groupBy("x", "part").agg(F.count("*").alias("df")).groupBy("x").agg(F.count("*").alias("parts"), F.sum("df").alias("df")).filter("parts > 1").select("x", F.struct("parts", "df").alias("df")))
+    ranked = sized_join(flat, mixed, ["x"], scratch, sent=SENT_MEMBERS, rows=mixed.rows).groupBy("node", "n", "part").agg(F.sort_array(F.collect_list(F.struct("df", "x"))).alias("r"))
     # n - size(r) members come before the mixed ones
     need = F.expr(f"cast({PREFIX} - n + size(r) as int)")
-    keys = ranked.withColumn("need", need).filter("need > 0").select("node", "n", "part", F.explode(F.slice("r", F.lit(1), F.col("need"))).alias("r"))
-    lists = scratch.save(keys.groupBy(F.col("r.x").alias("x"), "part").agg(F.collect_list(F.struct("node", "n")).alias("m")))
-    here, there = lists.select("x", F.col("part").alias("pa"), F.col("m").alias("here")), lists.select("x", F.col("part").alias("pb"), F.col("m").alias("there"))
-    pairs = here.join(there.hint("merge"), "x").filter("pa < pb").select("here", F.explode("there").alias("v")).select("v", F.explode("here").alias("u"))
-    near = pairs.filter("5 * u.n >= 4 * v.n and 5 * v.n >= 4 * u.n").select(F.greatest("u.node", "v.node").alias("a"), F.least("u.node", "v.node").alias("b")).distinct()
-    return first.union(scratch.save(verified(scratch.save(near), sets)))
+    # pos counts the members before one; a pair whose first common member has them at i and j shares n - i and n - j at most
+    keys = ranked.withColumn("need", need).filter("need > 0").select("node", "n", "part", (F.col("n") - F.size("r")).alias("before"), F.posexplode(F.slice("r", F.lit(1), F.col("need"))).alias("i", "r"))
+    keys = scratch.save(keys.select("node", "n", "part", F.col("r.x").alias("x"), (F.col("before") + F.col("i")).alias("pos")))
+    links = first
+    for r in range(ROUNDS):
+        led, keys = led_links(keys, sets, scratch, r)
+        links = links.union(led)
+    larger, smaller = keys.alias("u"), keys.filter("9 * pos <= n").alias("v")
+    pairs = larger.join(smaller.hint("merge"), F.expr(f"u.x = v.x and v.n <= u.n and v.part != u.part and {FITS}"))
+    near = pairs.select(F.greatest("u.node", "v.node").alias("a"), F.least("u.node", "v.node").alias("b")).distinct()
+    return links.union(scratch.save(verified(scratch.save(near), sets)))
+
+
+#: Whether nodes u and v, whose first common member has these places, can share enough.
+FITS = "4 * u.n <= 5 * v.n - 9 * v.pos and 4 * v.n <= 5 * u.n - 9 * u.pos"
+#: Rounds of links to the leaders of a member, and leaders a round, before pairs are made; they only save work.
+ROUNDS, LEADERS = 3, 12
+
+
+def led_links(keys: DataFrame, sets: DataFrame, scratch: Scratch, turn: int) -> tuple[DataFrame, DataFrame]:
+    """Verified links (a, b) of nodes to a few nodes of each member's that can be the smaller side, others each turn; and the keys under their new parts, without members of one part."""
+    row = F.struct("node", "n", "pos", "part")
+    leaders = scratch.save(keys.groupBy("x").agg(F.array_distinct(F.array(*[F.min_by(row, F.when(F.expr("9 * pos <= n"), F.xxhash64("node", F.lit(turn * LEADERS + k)))) for k in range(LEADERS)])).alias("v"), F.min("part").alias("low"), F.max("part").alias("top")).filter("low < top").select("x", "v"))
+    open_keys = scratch.save(sized_join(keys, leaders, ["x"], scratch, sent=SENT_MEMBERS // 4, rows=leaders.rows).select("x", row.alias("u"), "v"))
+    told = open_keys.select("u", F.explode(F.expr(f"filter(v, v -> u.part != v.part and {FITS})")).alias("v")).select(F.greatest("u.node", "v.node").alias("a"), F.least("u.node", "v.node").alias("b"), F.greatest("u.part", "v.part").alias("pa"), F.least("u.part", "v.part").alias("pb")).distinct()
+    new = scratch.save(verified(scratch.save(told), sets))
+    part_edges = new.select(F.col("pa").alias("a"), F.col("pb").alias("b")).distinct()
+    merged = components(sets.sparkSession, part_edges, scratch).select(F.col("node").alias("part"), F.col("label").alias("whole"))
+    moved = sized_join(open_keys.select("u.*", "x"), merged, ["part"], scratch, "left")
+    return new.select("a", "b"), scratch.save(moved.select("node", "n", "pos", F.coalesce("whole", "part").alias("part"), "x"))
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """(doc_id, k2, label) for every row of ``docs``."""
     scratch = Scratch(docs.sparkSession, "jaccard")
     made = scratch.save(with_sets(docs).withColumn("uid", F.monotonically_increasing_id()))
+    rows = scratch.save(made.select("doc_id", "k2", "node"))
     labels = components(docs.sparkSession, edges(made, scratch), scratch)
-    return sized_join(made, labels, ["node"], scratch, "left").select("doc_id", "k2", F.coalesce("label", "node").alias("label"))
+    return sized_join(rows, labels, ["node"], scratch, "left").select("doc_id", "k2", F.coalesce("label", "node").alias("label"))
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
