@@ -37,6 +37,24 @@ def still_image(tiles: DataFrame, budget: int) -> DataFrame:
     return tiles.withColumn("token_pos", F.row_number().over(place) - 1).filter(F.col("token_pos") < budget)
 
 
+def densified(imp: DataFrame, frames: int, grid: tuple[int, int]) -> DataFrame:
+    """Every tile of every frame, with importance zero where a sparse feed has none: zero rows in a union and one aggregate, no join."""
+    return imp.unionByName(select.anchor_lattice(imp, 1, frames, *grid)).groupBy(*select.KEY).agg(F.max("importance").alias("importance"))
+
+
+def with_overflow(imp: DataFrame, budget: int, on_overflow: str, gop: int, frames: int, grid: tuple[int, int]) -> DataFrame:
+    """Budgeted selection with ``overflow``, whether the anchors alone pass the budget.
+
+    ``truncate`` cuts them in frame order, ``keep`` keeps all of them (and nothing else), ``error`` refuses such a budget.
+    """
+    anchors = -(-frames // gop) * grid[0] * grid[1]  # the grid's, so known before any row is read
+    if on_overflow not in ("truncate", "keep", "error"):
+        raise ValueError(on_overflow)
+    if on_overflow == "error" and anchors > budget:
+        raise ValueError(f"{anchors} anchor tiles pass the budget of {budget}")
+    return select.topk_budget(imp, max(budget, anchors) if on_overflow == "keep" else budget, gop, frames, grid).withColumn("overflow", F.lit(anchors > budget))
+
+
 def scene_cuts(imp: DataFrame, clips: DataFrame, frames: int, gop: int, factor: int = 2) -> DataFrame:
     """(clip_id, frame_idx, why): anchors every ``gop`` frames, and where a frame's change is over ``factor`` times the clip's mean."""
     mass = imp.groupBy("clip_id", "frame_idx").agg(F.sum("importance").alias("m"))

@@ -161,10 +161,25 @@ def mixture_error_documents(spark, d):
     return sequence.mixture_error(counts, even)
 
 
+def dense_lattice_events(spark, d):
+    dense = sequence.densified(tokens.importance_events(spark, d), A.FRAMES, A.GRID)
+    return dense.groupBy("clip_id", "frame_idx").agg(F.count("*").alias("tiles"), F.sum("importance").alias("mass"), F.count_if(F.col("importance") == 0).alias("still"))
+
+
+def anchor_overflow_events(spark, d):
+    """A budget of 60 where anchors are 80, cut and kept."""
+    imp, out = tokens.importance_events(spark, d), None
+    for how in ("truncate", "keep"):
+        kept = sequence.with_overflow(imp, 60, how, GOP, A.FRAMES, A.GRID)
+        part = kept.groupBy("clip_id").agg(F.lit(how).alias("how"), F.count("*").alias("tokens"), F.count_if("is_anchor").alias("anchors"), F.max("frame_idx").alias("last_frame"), F.bool_and("overflow").alias("overflow"))
+        out = part if out is None else out.union(part)
+    return out
+
+
 _F = (
     still_image_tokens_embeddings, rotary_positions_events, padded_batches_events, fixed_sequences_events, codec_windows_events, ratio_budget_events, bits_budget_events,
     scene_cuts_events, fps_frames_events, selector_registry_events, budget_gain_events, canvas_curve_events, canvas_gain_events, gate_argmax_events, gate_history_events,
-    gate_accumulated_events, threshold_curve_events, unified_timelines, causality_events, mixture_error_documents,
+    gate_accumulated_events, threshold_curve_events, unified_timelines, causality_events, mixture_error_documents, dense_lattice_events, anchor_overflow_events,
 )
 QUERIES = {f.__name__: f for f in _F}
 
@@ -223,6 +238,9 @@ SQL = {
       union all select 'events', video_id, t_s, t_s, 'point', 0 from g where speak = 1""",
     "causality_events": f"""with {gates.GE}, x as (select video_id, t_s, lag(t_s) over w a, lead(t_s) over w b from g window w as (partition by video_id order by pos))
       select video_id, count(*) decisions, count(*) filter (a > t_s) late, count(*) filter (b > t_s) planted from x group by 1""",
+    "dense_lattice_events": f"""with {tokens.IMP_EVENTS} select l.clip_id, f::int frame_idx, count(*) tiles, sum(coalesce(importance, 0))::bigint mass, count(*) filter (coalesce(importance, 0) = 0) still
+      from (select clip_id, f, r, c from clips, range(64) f(f), range(4) r(r), range(5) c(c)) l left join imp i on i.clip_id = l.clip_id and i.frame_idx = f and i."row" = r and i.col = c group by 1, 2""",
+    "anchor_overflow_events": f"with {tokens.RANKED_EVENTS} " + " union all ".join(f"select clip_id, '{how}' how, count(*) tokens, count(*) filter (is_anchor) anchors, max(frame_idx)::int last_frame, true overflow from ranked where rank_in_clip <= {n} group by 1" for how, n in (("truncate", 60), ("keep", 80))),
     "mixture_error_documents": """with c as (select lang component, count(*) n from documents group by 1), s as (select component, n, n / (sum(n) over ())::double share, 1 / (count(*) over ())::double target from c)
       select component, n, round(share, 6) share, round(target, 6) target, round(abs(share - target), 6) error, max(round(abs(share - target), 6)) over () worst from s""",
 }
