@@ -10,7 +10,7 @@ from .quality import op8_quality_classifier
 from .rules import OP9_SQL, op9_quality_rules
 from .sharding import OP10_SQL, op10_sharding
 from .simhash import op2_simhash_near_dedup
-from .substring import op3_substring_dedup
+from .substring import OP3_SQL, op3_substring_dedup
 from .urlfilter import OP4_SQL, op4_url_filter
 
 
@@ -20,4 +20,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_url_filter": OP4_SQL, "op6_decontamination": OP6_SQL, "op9_quality_rules": OP9_SQL, "op10_sharding": OP10_SQL}
+    return {"op3_substring_dedup": OP3_SQL, "op4_url_filter": OP4_SQL, "op6_decontamination": OP6_SQL, "op9_quality_rules": OP9_SQL, "op10_sharding": OP10_SQL}

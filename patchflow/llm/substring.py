@@ -265,3 +265,23 @@ def remove_repeats(docs: DataFrame, length: int = 35, digest: bool = False) -> D
 
 def op3_substring_dedup(spark, sf_dir: str) -> DataFrame:
     return remove_repeats(read_table(spark, sf_dir, "documents"), digest=True)
+
+
+OP3_SQL = r"""
+with d as (
+  select row_number() over () id, doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') w from documents
+), win as (
+  select id, s, md5(array_to_string(w[s:s + 34], ' ')) h from (select id, w, unnest(range(1, len(w) - 33)) s from d where len(w) >= 35)
+), again as (
+  select id, s from (select id, s, count(*) over (partition by h) n from win) where n > 1
+), cover as (
+  select distinct id, unnest(range(s, s + 35)) p from again
+), words as (
+  select id, p, w[p] word from (select id, w, unnest(range(1, len(w) + 1)) p from d)
+), kept as (
+  select id, string_agg(word, ' ' order by p) t from words anti join cover using (id, p) group by 1
+), gone as (
+  select id, count(*) n from cover group by 1
+)
+select doc_id, len(w) as n_words, coalesce(n, 0) as n_removed, sha256(coalesce(t, '')) as kept_sha256 from d left join kept using (id) left join gone using (id)
+"""
