@@ -46,7 +46,8 @@ class Conflict(RuntimeError):
 
 class ShardStore:
     def __init__(self, spark: SparkSession, root: str, schema, fanout: int = 4, target: int = 128 << 20):
-        self.spark, self.root, self.schema, self.fanout, self.target = spark, root.rstrip("/"), schema, fanout, target
+        self.spark, self.schema, self.fanout, self.target = spark, schema, fanout, target
+        self.root = self._plain(root)
 
     # manifests
 
@@ -142,7 +143,7 @@ class ShardStore:
         """Deletes all but the last ``keep`` manifests, and every run older than ``grace_s`` seconds that these don't name; returns the runs deleted."""
         last = self.version()
         oldest = max(1, last - keep + 1)
-        alive = {r.path for v in range(oldest, last + 1) for r in self.runs(v)}
+        alive = {self._plain(r.path) for v in range(oldest, last + 1) for r in self.runs(v)}
         fs, at = filesystem(self.spark, f"{self.root}/manifest")
         for s in fs.listStatus(at) if fs.exists(at) else []:
             name = s.getPath().getName()
@@ -154,18 +155,17 @@ class ShardStore:
         for home in fs.listStatus(data) if fs.exists(data) else []:
             inside = [s for s in fs.listStatus(home.getPath()) if s.isDirectory() and "=" in s.getPath().getName()]
             for run in inside or [home]:
-                named = {self._plain(run.getPath().toString())} & {self._plain(p) for p in alive}
-                if not named and run.getModificationTime() < 1000 * (time.time() - grace_s):
+                if self._plain(run.getPath().toString()) not in alive and run.getModificationTime() < 1000 * (time.time() - grace_s):
                     fs.delete(run.getPath(), True)
                     gone.append(run.getPath().toString())
             if inside and not any("=" in s.getPath().getName() for s in fs.listStatus(home.getPath())):
                 fs.delete(home.getPath(), True)
         return gone
 
-    @staticmethod
-    def _plain(path: str) -> str:
-        """A path without the differences in how schemes are written."""
-        return path.replace("///", "/").rstrip("/")
+    def _plain(self, path: str) -> str:
+        """A path as listings write it: with its scheme, also where that is only the default one."""
+        fs, at = filesystem(self.spark, path.rstrip("/"))
+        return fs.makeQualified(at).toString()
 
     def read(self, version: int | None = None) -> DataFrame:
         runs = self.runs(version)

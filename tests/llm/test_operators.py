@@ -530,3 +530,11 @@ def test_vacuum_spares_readers_and_clears_what_died(spark, messy):
     assert store.vacuum(2) == [] and old.count() == 10  # all within the grace period
     gone = store.vacuum(1, grace_s=-5)
     assert any(p.endswith("died") for p in gone) and store.read().count() == 10 and store.version() == version
+
+
+def test_store_under_a_path_without_scheme(spark, tmp_path):
+    rows = spark.range(64).repartition(1)
+    store = sharding.ShardStore(spark, str(tmp_path / "plain"), rows.schema, fanout=2, target=1 << 20)
+    store.append(rows, F.col("id") % 8)
+    store.compact(keep=1, grace_s=-5)  # 8 arrivals, 4, 2, 1 run: each round reads what the one before merged
+    assert len(store.runs()) == 1 and store.read().distinct().count() == 64
