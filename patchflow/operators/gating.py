@@ -56,6 +56,49 @@ def accumulated(rows: DataFrame, value: str) -> DataFrame:
     return rows.withColumns({"held": F.coalesce(F.sum(value).over(past), F.lit(0)), "most": F.coalesce(F.max(value).over(past), F.lit(0)), "since": since})
 
 
+def logistic_fit(rows: DataFrame, features: list[str], label: str, weight: Column, rounds: int = 30) -> list[float]:
+    """Intercept and slopes of the weighted logistic fit, by Newton steps halved where the loss would rise.
+
+    Each step is one aggregate of a few sums over ``rows``, which should be stored: no function of a library runs in its plan.
+    """
+    import numpy as np
+
+    first = rows.agg(F.sum(weight).alias("w"), *[f(x).cast("double").alias(f"{n}_{x}") for x in features for n, f in (("mean", F.avg), ("sd", F.stddev_samp))]).first()
+    mean = [first[f"mean_{x}"] or 0.0 for x in features]
+    scale = [first[f"sd_{x}"] or 1.0 for x in features]
+    z = [F.lit(1.0), *[(F.col(x) - m) / s for x, m, s in zip(features, mean, scale)]]
+    d = len(z)
+
+    def sums(at):
+        logit = sum((c * float(b) for c, b in zip(z[1:], at[1:])), F.lit(float(at[0])))
+        p = 1 / (1 + F.exp(-logit))
+        loss = F.greatest(logit, F.lit(0.0)) + F.log1p(F.exp(-F.abs(logit))) - F.col(label) * logit
+        made = [weight * loss, *[weight * (p - F.col(label)) * c for c in z], *[weight * p * (1 - p) * z[i] * z[j] for i in range(d) for j in range(i, d)]]
+        loss, *rest = rows.agg(*[F.sum(c).alias(f"s{i}") for i, c in enumerate(made)]).first()
+        bend = np.zeros((d, d))
+        bend[np.triu_indices(d)] = rest[d:]
+        return loss, np.array(rest[:d]), bend + np.triu(bend, 1).T
+
+    at = np.zeros(d)
+    if first["w"]:
+        loss, slope, bend = sums(at)
+        step = -np.linalg.lstsq(bend, slope, rcond=None)[0]
+        for _ in range(rounds):
+            tried = sums(at + step)
+            if tried[0] <= loss:
+                done = loss - tried[0] <= 1e-12 * loss
+                at, (loss, slope, bend) = at + step, tried
+                if done:
+                    break
+                step = -np.linalg.lstsq(bend, slope, rcond=None)[0]
+            else:
+                step = step / 2
+                if np.abs(step).max() < 1e-9:
+                    break
+    slopes = [b / s for b, s in zip(at[1:], scale)]
+    return [float(at[0] - sum(b * m for b, m in zip(slopes, mean))), *map(float, slopes)]
+
+
 def threshold_curve(rows: DataFrame, score: str, grid: list[int]) -> DataFrame:
     """(tau, tp, fp, fn, precision, recall) at each threshold: one aggregate by the number of thresholds reached, then sums over that many rows."""
     reached = sum(((F.col(score) >= t).cast("int") for t in grid), F.lit(0))

@@ -6,7 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import measures
-from ..operators import timeline
+from ..operators import gating, timeline
 from ..shared import saved
 from ..sources import adapters as A
 from ..streaming import gate as live
@@ -53,12 +53,11 @@ def gate_loss_events(spark, d):
 
 def gate_fit_events(spark, d):
     """Logistic gate fitted with class weights on even videos, everything else frozen; rows of odd ones it fires on."""
-    from pyspark.ml.classification import LogisticRegression
-    from pyspark.ml.feature import VectorAssembler
-
-    s = VectorAssembler(inputCols=["memory", "gap_s"], outputCol="features").transform(A.gate_events(spark, d)).withColumn("w", F.when(F.col("speak") == 1, 20.0).otherwise(1.0))
-    model = LogisticRegression(labelCol="speak", weightCol="w", maxIter=20, standardization=True).fit(s.filter("video_id % 2 = 0"))
-    return model.transform(s.filter("video_id % 2 = 1")).groupBy("video_id").agg(F.count("*").alias("n"), F.sum("prediction").cast("long").alias("fired"))
+    s = saved(A.gate_events(spark, d).select("video_id", "memory", "gap_s", "speak"), "gate")
+    weight = F.when(F.col("speak") == 1, 20.0).otherwise(1.0)
+    base, memory, gap = gating.logistic_fit(s.filter("video_id % 2 = 0"), ["memory", "gap_s"], "speak", weight)
+    fired = base + F.col("memory") * memory + F.col("gap_s") * gap > 0
+    return s.filter("video_id % 2 = 1").groupBy("video_id").agg(F.count("*").alias("n"), F.count_if(fired).alias("fired"))
 
 
 def response_context_events(spark, d):
