@@ -13,7 +13,9 @@ o = the least overlap of a set of n at the threshold:
   MinHash bucket, verified, so that a family of many near copies is mostly one component at linear cost;
 * members held by one component only can't link two components.  They come first in the order,
   then those of the fewest components; nodes of different components that share one of their first n - o + 1
-  members are compared, if the places of it let them share enough, and the smaller has it among its first n / 9.
+  members are compared, if the places of it let them share enough, and the smaller has it among its first n / 9;
+* sets of nu and nv members that are linked differ in (nu + nv) / 9 at most.  Each set has ``PARITY`` bits, flipped by its
+  members' hashes; bits that differ are never more than members that differ, so pairs with too many aren't made.
 
 Every link is verified on whole sets.  Components are those of all pairs at the threshold.  Texts
 without words are one node, as copies are.  A null id takes part; null texts are empty.  Of ties the row with the
@@ -36,6 +38,8 @@ SHINGLE = 5
 SENT_MEMBERS = 1 << 18
 #: MinHash buckets of a node, for the links to leaders; they only save work.
 BUCKETS = 8
+#: Bits of a set that bound how many members of two sets differ.
+PARITY = 1024
 
 
 def shingle_sets(texts: list[bytes], shingle: int = SHINGLE) -> tuple:
@@ -71,8 +75,22 @@ def majority_bits(h, bounds):
     return out.view(np.int64)
 
 
+def parity_words(h, bounds):
+    """PARITY bits of each set as 64-bit words: a bit is 1 if an odd number of members fall on it."""
+    import numpy as np
+
+    from .textkernel import mix
+
+    doc = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
+    place, uses = np.unique(doc * PARITY + (mix(h.view(np.uint64)) & np.uint64(PARITY - 1)).astype(np.int64), return_counts=True)
+    place = place[uses % 2 == 1]
+    out = np.zeros((len(bounds) - 1) * PARITY // 64, np.uint64)
+    np.bitwise_or.at(out, place >> 6, np.uint64(1) << (place & 63).astype(np.uint64))
+    return out.view(np.int64)
+
+
 def with_sets(docs: DataFrame) -> DataFrame:
-    """Rows (doc_id, k2, node, n, members, least, fp): ``least`` holds the MinHash values."""
+    """Rows (doc_id, k2, node, n, members, least, fp, parity): ``least`` holds the MinHash values."""
 
     def run(batches: Iterator):
         import numpy as np
@@ -98,13 +116,14 @@ def with_sets(docs: DataFrame) -> DataFrame:
                         pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(h)),
                         pa.ListArray.from_arrays(pa.array(np.arange(0, least.size + 1, BUCKETS, dtype=np.int32)), pa.array(least.ravel().view(np.int64))),
                         pa.array(majority_bits(h, bounds)),
+                        pa.ListArray.from_arrays(pa.array(np.arange(len(texts) + 1, dtype=np.int32) * (PARITY // 64)), pa.array(parity_words(h, bounds))),
                     ],
-                    ["doc_id", "k2", "node", "n", "members", "least", "fp"],
+                    ["doc_id", "k2", "node", "n", "members", "least", "fp", "parity"],
                 )
 
     text = F.col("text").cast("string")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(F.coalesce(text, F.lit(""))).alias("k2"), text.alias("text"))
-    return map_arrow(rows, run, "doc_id long, k2 long, node long, n long, members array<long>, least array<long>, fp long")
+    return map_arrow(rows, run, "doc_id long, k2 long, node long, n long, members array<long>, least array<long>, fp long, parity array<long>")
 
 
 #: n - o + 1 of a set of n, o = ceil(0.8 n), and the lengths that go with it.
@@ -123,13 +142,13 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 
 
 def partnered(made: DataFrame, scratch: Scratch) -> DataFrame:
-    """(node, n, members, least, fp), one row a node, of the nodes that can have a partner; ``made`` is dropped."""
+    """(node, n, members, least, fp, parity), one row a node, of the nodes that can have a partner; ``made`` is dropped."""
     each = made.select("node", F.explode(F.slice("members", F.lit(1), F.expr(f"cast({COUNTED} as int)"))).alias("x"))
     alone = each.groupBy("x").agg(F.min("node").alias("node"), F.max("node").alias("top")).filter("node = top").groupBy("node").agg(F.count("*").alias("own"))
     nodes = made.filter("n > 0").groupBy("node").agg(F.min("uid").alias("uid"), F.min("n").alias("n")).join(alone.hint("merge"), "node", "left")
     can = scratch.save(nodes.filter(f"{COUNTED} - coalesce(own, 0) >= {SHARED}").select("uid"))
     few = can.rows <= SENT_KEYS
-    out = scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least", "fp"))
+    out = scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least", "fp", "parity"))
     scratch.drop(can, made)
     return out
 
@@ -168,14 +187,17 @@ def edges(made: DataFrame, scratch: Scratch) -> DataFrame:
     for r in range(ROUNDS):
         led, keys = led_links(keys, sets, scratch, r)
         links = links.union(led)
+    keys = keys.join(sets.select("node", "parity").hint("merge"), "node")
     larger, smaller = keys.alias("u"), keys.filter("9 * pos <= n").alias("v")
-    pairs = larger.join(smaller.hint("merge"), F.expr(f"u.x = v.x and v.n <= u.n and v.part != u.part and {FITS}"))
+    pairs = larger.join(smaller.hint("merge"), F.expr(f"u.x = v.x and v.n <= u.n and v.part != u.part and {FITS} and {CLOSE}"))
     near = pairs.select(F.greatest("u.node", "v.node").alias("a"), F.least("u.node", "v.node").alias("b")).distinct()
     return links.union(scratch.save(verified(scratch.save(near), sets)))
 
 
 #: Whether nodes u and v, whose first common member has these places, can share enough.
 FITS = "4 * u.n <= 5 * v.n - 9 * v.pos and 4 * v.n <= 5 * u.n - 9 * u.pos"
+#: Whether the parity bits of u and v leave them few enough differing members.
+CLOSE = "9 * (" + " + ".join(f"bit_count(u.parity[{i}] ^ v.parity[{i}])" for i in range(PARITY // 64)) + ") <= u.n + v.n"
 #: Rounds of links to the leaders of a member, and leaders a round, before pairs are made; they only save work.
 ROUNDS, LEADERS = 3, 12
 

@@ -57,3 +57,17 @@ def test_near_dedup_loses_no_link(spark, messy, nothing, monkeypatch):
     kept = jaccard.keep_one(messy)
     assert kept.columns == messy.columns and sorted(r.doc_id for r in kept.collect() if r.doc_id) == [1, 3, 6, 7]
     assert jaccard.keep_one(nothing).count() == 0
+
+
+def test_parity_bits_never_differ_more_than_the_sets(spark):
+    import numpy as np
+
+    r = random.Random(5)
+    sets = [{r.getrandbits(62) for _ in range(n)} for n in (0, 1, 40, 76, 5000)]
+    core = sorted(sets[3])
+    sets += [{*core[:i], *core[i + 10 :], *(r.getrandbits(62) for _ in range(10))} for i in range(0, 60, 3)]
+    bounds = np.cumsum([0, *map(len, sets)])
+    bits = jaccard.parity_words(np.array([x for s in sets for x in sorted(s)], np.int64), bounds).reshape(len(sets), -1)
+    told = lambda i, j: sum(int(x).bit_count() for x in (bits[i] ^ bits[j]).view(np.uint64))
+    assert all(told(i, j) <= len(sets[i] ^ sets[j]) for i in range(len(sets)) for j in range(i))
+    assert 9 * told(5, 24) > len(sets[5]) + len(sets[24])  # two copies with other members in other places are told apart
