@@ -76,12 +76,19 @@ def context_sums(docs: DataFrame) -> DataFrame:
         held = np.flatnonzero(uses)
         for i in range(0, len(held), 8192):
             part = held[i : i + 8192]
-            flat = pa.array(total[part].ravel())
-            yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(uses[part]), pa.FixedSizeListArray.from_arrays(flat, WIDTH).cast(pa.list_(pa.float32()))], ["slot", "n", "c"])
+            c = total[part].astype(np.int64)  # the sums are whole numbers, mostly of one byte
+            small = np.abs(c).max(1) < 128
 
-    parts = map_arrow(docs.select(F.col("text").cast("string").alias("text")), run, "slot long, n long, c array<float>")
-    sums = [F.sum(F.get("c", F.lit(i))).cast("float").alias(f"c{i}") for i in range(WIDTH)]
-    return parts.groupBy("slot").agg(F.sum("n").alias("n"), *sums)
+            def lists(rows, kind):
+                ends = np.concatenate([[0], np.cumsum(rows)]).astype(np.int32) * WIDTH
+                return pa.ListArray.from_arrays(pa.array(ends), pa.array(c[rows].ravel().astype(kind)))
+
+            yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(uses[part]), lists(small, np.int8), lists(~small, np.int64)], ["slot", "n", "c", "wide"])
+
+    parts = map_arrow(docs.select(F.col("text").cast("string").alias("text")), run, "slot long, n long, c array<byte>, wide array<long>")
+    sums = [F.sum(F.coalesce(F.get("c", F.lit(i)).cast("long"), F.get("wide", F.lit(i)))).cast("float").alias(f"c{i}") for i in range(WIDTH)]
+    # dealt by slot as they are: sums made before the shuffle would be 32 wide numbers a row, and a task has each slot once
+    return parts.repartition("slot").groupBy("slot").agg(F.sum("n").alias("n"), *sums)
 
 
 def word_vectors(docs: DataFrame):

@@ -538,3 +538,26 @@ def test_store_under_a_path_without_scheme(spark, tmp_path):
     store.append(rows, F.col("id") % 8)
     store.compact(keep=1, grace_s=-5)  # 8 arrivals, 4, 2, 1 run: each round reads what the one before merged
     assert len(store.runs()) == 1 and store.read().distinct().count() == 64
+
+
+def test_context_sums_travel_as_bytes_and_are_exact(spark):
+    rows = spark.createDataFrame([(1, "a b " * 300 + "c d e"), (2, None), (3, "c d")], "doc_id long, text string")
+    made = quality.context_sums(rows)
+    assert "REPARTITION_BY_COL" in made._jdf.queryExecution().executedPlan().toString()  # nothing is summed into wide rows before
+    got = {r["slot"]: r for r in made.collect()}
+    words = [t.split() for t in ("a b " * 300 + "c d e", "c d")]
+    from patchflow.llm.textkernel import Words
+
+    h = {w: Words([w.encode()], lower=True).hash for w in "abcde"}
+    place = {w: quality.index_vectors(x) for w, x in h.items()}
+    want = {w: [0.0] * quality.WIDTH for w in "abcde"}
+    for t in words:
+        for i, w in enumerate(t):
+            for j in range(max(0, i - 2), min(len(t), i + 3)):
+                if i != j:
+                    for p, s in zip(place[t[j]][0][0], place[t[j]][1][0]):
+                        want[w][p] += s
+    assert max(map(abs, want["a"])) > 127 and len(got) == 5
+    for w, x in want.items():
+        row = got[int(quality.slots(h[w])[0])]
+        assert [row[f"c{i}"] for i in range(quality.WIDTH)] == x and row["n"] == sum(t.count(w) for t in words)
