@@ -38,11 +38,9 @@ def balance_silence(targets: DataFrame, guard: int, keep: float) -> DataFrame:
     """Drops silent positions more than ``guard`` away from any speak, but for an md5 share; speak rows all stay."""
     from .curate import bucket
 
-    w = Window.partitionBy("video_id").orderBy("pos")
-    spoke = F.when(F.col("speak") == 1, F.col("pos"))
-    last = F.last(spoke, True).over(w.rowsBetween(Window.unboundedPreceding, 0))
-    coming = F.first(spoke, True).over(w.rowsBetween(0, Window.unboundedFollowing))
-    near = (F.coalesce(F.col("pos") - last, F.lit(1 << 30)) <= guard) | (F.coalesce(coming - F.col("pos"), F.lit(1 << 30)) <= guard)
+    # a frame of a few positions: one that runs to the end of the sequence is built anew for every row
+    w = Window.partitionBy("video_id").orderBy("pos").rangeBetween(-guard, guard)
+    near = F.coalesce(F.max(F.col("speak") == 1).over(w), F.lit(False))
     return targets.withColumn("near", near).filter(F.col("near") | (bucket("video_id", "pos") < int(keep * 2**32)))
 
 
