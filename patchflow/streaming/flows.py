@@ -31,8 +31,11 @@ def answers(queries: DataFrame, rows: DataFrame, seconds: int) -> DataFrame:
     queries are (q_video, q_id, q_ts), rows (video_id, event_id, ts); both carry watermarks, and the time bound
     lets state go.
     """
-    near = F.expr(f"video_id = q_video and ts < q_ts and ts >= q_ts - interval {int(seconds)} seconds")
-    return queries.join(rows, near).select("q_id", "q_video", "event_id")
+    # a row stands in its stretch of ``seconds``, a query in its own and the one before: a pair meets once, and state is searched by video and stretch
+    stretch = lambda ts: F.floor(F.unix_timestamp(ts) / int(seconds))
+    asked = queries.withColumn("q_stretch", F.explode(F.array(stretch("q_ts"), stretch("q_ts") - 1)))
+    near = F.expr(f"video_id = q_video and stretch = q_stretch and ts < q_ts and ts >= q_ts - interval {int(seconds)} seconds")
+    return asked.join(rows.withColumn("stretch", stretch("ts")), near).select("q_id", "q_video", "event_id")
 
 
 def silence_step(key, batches: Iterator, state, limit_ms: int):

@@ -30,3 +30,38 @@ def test_logistic_fit_of_one_class_separable_and_plain_labels(spark, label):
     right = rows.filter((base + F.col("x") * x + F.col("same") * same > 0) == (F.col("y") == 1)).count()
     assert right == 20 if "%" not in label else right >= 13
     assert logistic_fit(rows.limit(0), ["x", "same"], "y", F.lit(1.0)) == [0.0, 0.0, 0.0]
+
+
+@pytest.mark.parametrize("name", "average_of_averages category_averages delta_pivot knee_reference load_time_allowance pareto_reference rank_marks reference_table_checks source_synthetic_tiles speedup_reference stage_plan wins_over_control".split())
+def test_reads_a_given_table(spark, name):
+    assert registry.queries()[name](spark, SF).inputFiles()
+
+
+def test_tile_feed_still_makes_tiles(spark):
+    from patchflow.sources.tilefeed import tile_feed
+
+    made = tile_feed(spark, 2, 3).groupBy("clip_id", "frame_idx").agg(F.count("*").alias("tiles"), F.sum("importance").alias("mass")).collect()
+    assert sorted(map(tuple, made)) == [(c, f, 20, sum((c * 7919 + f * 104729 + p * 1299709) % 10007 for p in range(20))) for c in range(2) for f in range(3)]
+
+
+def test_silence_is_kept_by_a_frame_of_a_few_positions(spark):
+    from patchflow.operators import timeline
+
+    speaks = {5, 6, 40, 99}
+    rows = spark.range(100).select(F.lit(1).alias("video_id"), F.col("id").cast("int").alias("pos"), F.col("id").isin(*speaks).cast("int").alias("speak"))
+    kept = timeline.balance_silence(rows, 3, 0.0)
+    assert "unboundedfollowing" not in kept._jdf.queryExecution().toString().lower()
+    assert {r.pos for r in kept.collect()} == {p for p in range(100) if any(abs(p - s) <= 3 for s in speaks)}
+
+
+def test_stream_pairs_meet_once_at_the_borders_of_stretches(spark):
+    from patchflow.streaming import flows
+
+    t = lambda c: F.timestamp_micros(c)
+    second, s = 1_000_000, 10
+    rows = spark.createDataFrame([(0, i, x) for i, x in enumerate([0, 1, 10 * second - 1, 10 * second, 19 * second, 20 * second, -1])], "video_id long, event_id long, us long")
+    asked = spark.createDataFrame([(0, i, x) for i, x in enumerate([0, 10 * second, 20 * second, 15 * second + 1])], "q_video long, q_id long, us long")
+    made = flows.answers(asked.select("q_video", "q_id", t("us").alias("q_ts")), rows.select("video_id", "event_id", t("us").alias("ts")), s)
+    assert "stretch" in made._jdf.queryExecution().analyzed().toString()  # else a video's whole state is searched
+    want = sorted((q.q_id, r.event_id) for q in asked.collect() for r in rows.collect() if q.us - s * second <= r.us < q.us)
+    assert sorted((x.q_id, x.event_id) for x in made.collect()) == want
