@@ -91,6 +91,14 @@ class Scratch:
         out.rows = out.found["rows"]
         return out
 
+    def few(self, share: int = 8) -> int:
+        """Parts of a table that is much smaller than what it is made from: a fraction of the shuffle partitions, one a core at least.
+
+        Each part is a file, and for each file and its folder Hadoop's local file system starts a process (chmod, three times), which
+        stands in the executor's whole memory until it has begun.
+        """
+        return max(self.spark.sparkContext.defaultParallelism, int(self.spark.conf.get("spark.sql.shuffle.partitions")) // share)
+
     def drop(self, *tables: DataFrame) -> None:
         for t in tables:
             delete_path(self.spark, t._scratch_path)

@@ -17,6 +17,9 @@ o = the least overlap of a set of n at the threshold:
 * sets of nu and nv members that are linked differ in (nu + nv) / 9 at most.  Each set has ``PARITY`` bits, flipped by its
   members' hashes; bits that differ are never more than members that differ, so pairs with too many aren't made.
 
+Tables of few or short rows are dealt to a few parts before they are written, so that files are begun
+by light tasks and not by each task of a join of whole sets.
+
 Every link is verified on whole sets.  Components are those of all pairs at the threshold.  Texts
 without words are one node, as copies are.  A null id takes part; null texts are empty.  Of ties the row with the
 least text hash stays, of equal rows one.  Other columns are carried as they are, whatever their
@@ -146,16 +149,16 @@ def partnered(made: DataFrame, scratch: Scratch) -> DataFrame:
     each = made.select("node", F.explode(F.slice("members", F.lit(1), F.expr(f"cast({COUNTED} as int)"))).alias("x"))
     alone = each.groupBy("x").agg(F.min("node").alias("node"), F.max("node").alias("top")).filter("node = top").groupBy("node").agg(F.count("*").alias("own"))
     nodes = made.filter("n > 0").groupBy("node").agg(F.min("uid").alias("uid"), F.min("n").alias("n")).join(alone.hint("merge"), "node", "left")
-    can = scratch.save(nodes.filter(f"{COUNTED} - coalesce(own, 0) >= {SHARED}").select("uid"))
+    can = scratch.save(nodes.filter(f"{COUNTED} - coalesce(own, 0) >= {SHARED}").select("uid").repartition(scratch.few()))
     few = can.rows <= SENT_KEYS
-    out = scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least", "fp", "parity"))
+    out = scratch.save(made.join(F.broadcast(can) if few else can.hint("shuffle_hash"), "uid", "left_semi").select("node", "n", "members", "least", "fp", "parity").coalesce(scratch.few(2)))
     scratch.drop(can, made)
     return out
 
 
 def block_pairs(sets: DataFrame, scratch: Scratch) -> DataFrame:
     """Candidates (a, b) along operator 2's links of fingerprints; nodes of one fingerprint stand behind the least of them."""
-    held = scratch.save(sets.groupBy("fp").agg(F.min("node").alias("b")))
+    held = scratch.save(sets.groupBy("fp").agg(F.min("node").alias("b")).repartition(scratch.few()))
     linked = link_fingerprints(sets.sparkSession, held.select("fp"), scratch)
     same = sized_join(sets.select("fp", F.col("node").alias("a")), held, ["fp"], scratch, rows=held.rows).select("a", "b")
     one, two = held.select(F.col("fp").alias("a"), F.col("b").alias("x")), held.select(F.col("fp").alias("b"), F.col("b").alias("y"))
@@ -170,19 +173,20 @@ def edges(made: DataFrame, scratch: Scratch) -> DataFrame:
     met = sets.select(F.col("node").alias("a"), F.posexplode("least").alias("k", "v"))
     leaders = met.groupBy("k", "v").agg(F.min("a").alias("b"), F.max("a").alias("top")).filter("b < top").select("k", "v", "b")
     led = met.join(leaders.hint("merge"), ["k", "v"]).filter("a > b").select("a", "b")
-    first = scratch.save(verified(led.union(block_pairs(sets, scratch)).distinct(), sets))
+    first = scratch.save(verified(led.union(block_pairs(sets, scratch)).distinct(), sets).repartition(scratch.few()))
     named = components(spark, first, scratch)
     part = F.coalesce("label", "node").alias("part")
-    each = scratch.save(sets.join(named.hint("merge"), "node", "left").select("node", "n", part, "members"))
-    flat = each.select("node", "n", "part", F.explode("members").alias("x"))
+    sent = first.rows <= SENT_KEYS  # each link names one node at most; else the joined sets are written, as both readers would sort them
+    each = sets.join(F.broadcast(named) if sent else named.hint("merge"), "node", "left").select("node", "n", part, "members")
+    flat = (each if sent else scratch.save(each)).select("node", "n", "part", F.explode("members").alias("x"))
     # how many components have a member, by partial counts of (member, component)
-    mixed = scratch.save(flat.groupBy("x", "part").agg(F.count("*").alias("df")).groupBy("x").agg(F.count("*").alias("parts"), F.sum("df").alias("df")).filter("parts > 1").select("x", F.struct("parts", "df").alias("df")))
+    mixed = scratch.save(flat.groupBy("x", "part").agg(F.count("*").alias("df")).groupBy("x").agg(F.count("*").alias("parts"), F.sum("df").alias("df")).filter("parts > 1").select("x", F.struct("parts", "df").alias("df")).repartition(scratch.few()))
     ranked = sized_join(flat, mixed, ["x"], scratch, sent=SENT_MEMBERS, rows=mixed.rows).groupBy("node", "n", "part").agg(F.sort_array(F.collect_list(F.struct("df", "x"))).alias("r"))
     # n - size(r) members come before the mixed ones
     need = F.expr(f"cast({PREFIX} - n + size(r) as int)")
     # pos counts the members before one; a pair whose first common member has them at i and j shares n - i and n - j at most
     keys = ranked.withColumn("need", need).filter("need > 0").select("node", "n", "part", (F.col("n") - F.size("r")).alias("before"), F.posexplode(F.slice("r", F.lit(1), F.col("need"))).alias("i", "r"))
-    keys = scratch.save(keys.select("node", "n", "part", F.col("r.x").alias("x"), (F.col("before") + F.col("i")).alias("pos")))
+    keys = scratch.save(keys.select("node", "n", "part", F.col("r.x").alias("x"), (F.col("before") + F.col("i")).alias("pos")).repartition(scratch.few()))
     links = first
     for r in range(ROUNDS):
         led, keys = led_links(keys, sets, scratch, r)
@@ -191,7 +195,7 @@ def edges(made: DataFrame, scratch: Scratch) -> DataFrame:
     larger, smaller = keys.alias("u"), keys.filter("9 * pos <= n").alias("v")
     pairs = larger.join(smaller.hint("merge"), F.expr(f"u.x = v.x and v.n <= u.n and v.part != u.part and {FITS} and {CLOSE}"))
     near = pairs.select(F.greatest("u.node", "v.node").alias("a"), F.least("u.node", "v.node").alias("b")).distinct()
-    return links.union(scratch.save(verified(scratch.save(near), sets)))
+    return links.union(scratch.save(verified(scratch.save(near.repartition(scratch.few())), sets).repartition(scratch.few())))
 
 
 #: Whether nodes u and v, whose first common member has these places, can share enough.
@@ -205,10 +209,10 @@ ROUNDS, LEADERS = 3, 12
 def led_links(keys: DataFrame, sets: DataFrame, scratch: Scratch, turn: int) -> tuple[DataFrame, DataFrame]:
     """Verified links (a, b) of nodes to a few nodes of each member's that can be the smaller side, others each turn; and the keys under their new parts, without members of one part."""
     row = F.struct("node", "n", "pos", "part")
-    leaders = scratch.save(keys.groupBy("x").agg(F.array_distinct(F.array(*[F.min_by(row, F.when(F.expr("9 * pos <= n"), F.xxhash64("node", F.lit(turn * LEADERS + k)))) for k in range(LEADERS)])).alias("v"), F.min("part").alias("low"), F.max("part").alias("top")).filter("low < top").select("x", "v"))
+    leaders = scratch.save(keys.groupBy("x").agg(F.array_distinct(F.array(*[F.min_by(row, F.when(F.expr("9 * pos <= n"), F.xxhash64("node", F.lit(turn * LEADERS + k)))) for k in range(LEADERS)])).alias("v"), F.min("part").alias("low"), F.max("part").alias("top")).filter("low < top").select("x", "v").repartition(scratch.few()))
     open_keys = scratch.save(sized_join(keys, leaders, ["x"], scratch, sent=SENT_MEMBERS // 4, rows=leaders.rows).select("x", row.alias("u"), "v"))
     told = open_keys.select("u", F.explode(F.expr(f"filter(v, v -> u.part != v.part and {FITS})")).alias("v")).select(F.greatest("u.node", "v.node").alias("a"), F.least("u.node", "v.node").alias("b"), F.greatest("u.part", "v.part").alias("pa"), F.least("u.part", "v.part").alias("pb")).distinct()
-    new = scratch.save(verified(scratch.save(told), sets))
+    new = scratch.save(verified(scratch.save(told.repartition(scratch.few())), sets).repartition(scratch.few()))
     part_edges = new.select(F.col("pa").alias("a"), F.col("pb").alias("b")).distinct()
     merged = components(sets.sparkSession, part_edges, scratch).select(F.col("node").alias("part"), F.col("label").alias("whole"))
     moved = sized_join(open_keys.select("u.*", "x"), merged, ["part"], scratch, "left")
@@ -219,7 +223,7 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     """(doc_id, k2, label) for every row of ``docs``."""
     scratch = Scratch(docs.sparkSession, "jaccard")
     made = scratch.save(with_sets(docs).withColumn("uid", F.monotonically_increasing_id()))
-    rows = scratch.save(made.select("doc_id", "k2", "node"))
+    rows = scratch.save(made.select("doc_id", "k2", "node").coalesce(scratch.few()))
     labels = components(docs.sparkSession, edges(made, scratch), scratch)
     return sized_join(rows, labels, ["node"], scratch, "left").select("doc_id", "k2", F.coalesce("label", "node").alias("label"))
 
